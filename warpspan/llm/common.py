@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 from collections.abc import Iterable
 
 import pyarrow as pa
@@ -59,6 +60,23 @@ def checkpoint_dir(spark: SparkSession) -> str:
 
 
 def cut(frame: DataFrame) -> DataFrame:
-    """The same rows with their lineage cut by a reliable checkpoint."""
-    checkpoint_dir(frame.sparkSession)
-    return frame.checkpoint()
+    """The same rows with their lineage cut: written once to the shared checkpoint folder and read again.
+
+    A written table is computed once, is there for every executor, and tells
+    later joins its size.
+    """
+    spark = frame.sparkSession
+    place = f"{checkpoint_dir(spark).rstrip('/')}/cut-{uuid.uuid4().hex}"
+    frame.write.parquet(place)
+    out = spark.read.schema(frame.schema).parquet(place)
+    out._cut_at = place
+    return out
+
+
+def discard(frame: DataFrame) -> None:
+    """Deletes what ``cut`` wrote for a frame that nothing needs any more."""
+    place = getattr(frame, "_cut_at", None)
+    if place:
+        context = frame.sparkSession.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(place)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
