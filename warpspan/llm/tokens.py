@@ -5,16 +5,18 @@ follow directly, or an optional blank with the run of other characters after
 it. The tokenizer's own pre-tokenisation never joins characters across these
 cuts, so a text has as many tokens as its pre-tokens together.
 
-1. Every Arrow batch of documents is turned into a *ledger*: for each document
-   the numbers of its distinct pre-tokens and how often each occurs, and the
-   batch's list of distinct pre-tokens.
-2. Distinct pre-tokens of all batches are counted in pieces once each.
-3. Piece counts go back to the batches by a join on the pre-token, and each
-   batch sums frequency times pieces for its documents.
-
-Texts are never shuffled. What moves is, for each batch, its distinct
-pre-tokens once and its compressed ledger once; a common pre-token appears once
-per batch, so no key is hot beyond the number of batches.
+1. Documents are tallied in batches. A batch gives its *ledger* (for each
+   document the numbers of its distinct pre-tokens and how often each occurs)
+   and a row for each distinct pre-token of the batch.
+2. These rows are dealt out by pre-token, so that all rows of one meet in one
+   task, which counts its pieces once.
+3. Piece counts go back by batch and meet the ledger there: each document's
+   tokens are the sum of frequency times pieces.
+
+Texts are read once and never shuffled. A pre-token has one row per batch
+however common it is, and a batch is bounded by its characters, so no task
+gets more than its share. Ledgers are compressed: numbers are sorted within a
+document and stored as differences.
 
 Null and empty texts have no tokens. Repeated rows and ids are kept apart by
 their place in the ledger. An empty table gives an empty result.
@@ -24,10 +26,10 @@ from __future__ import annotations
 
 import re
 from collections import Counter
-from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -38,9 +40,12 @@ from warpspan.llm.common import values
 _SPACE = "\t-\r \x85\xa0  -     　"
 PRE_TOKEN = re.compile(f" ?[^{_SPACE}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+")
 
-_LEDGER = "batch string, ids binary, body binary, n_distinct int"
-_WORDS = "batch string, number int, piece string"
-_COUNTS = "doc_id bigint, n_bytes bigint, n_tokens bigint"
+#: A batch is closed at so many characters; its distinct pre-tokens fit a worker's memory.
+BATCH_CHARS = 24_000_000
+
+_ROWS = pa.schema([("key", pa.string()), ("batch", pa.string()), ("number", pa.int32()), ("piece", pa.string()), ("body", pa.binary())])
+_PIECES = "batch string, number int, pieces int, body binary"
+_COUNTS = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64())])
 
 
 def special_strings(tokenizer_file: str) -> list[str]:
@@ -74,112 +79,128 @@ class _Numbers(dict):
         return number
 
 
-def _batches(source: Iterator[pa.RecordBatch], rows: int = 4096) -> Iterator[tuple[str, pa.RecordBatch]]:
-    from pyspark import TaskContext
-
-    part, place = TaskContext.get().partitionId(), 0
-    for batch in source:
-        for start in range(0, batch.num_rows, rows):
-            yield f"{part}:{place}", batch.slice(start, rows)
-            place += 1
+class _Tally:
+    """The pre-tokens of a batch of documents, in the making."""
 
+    def __init__(self) -> None:
+        self.numbers = _Numbers()
+        self.ids: list[int | None] = []
+        self.lengths: list[int] = []
+        self.sizes: list[int] = []
+        self.codes: list[int] = []
+        self.times: list[int] = []
+        self.chars = 0
 
-def _tally(batch: pa.RecordBatch, special: re.Pattern | None):
-    numbers = _Numbers()
-    codes, times, sizes, lengths = [], [], [], []
-    for text in values(batch.column(1)):
+    def add(self, doc_id: int | None, text: str | None, special: re.Pattern | None) -> None:
         counted = Counter(pre_tokens(text, special)) if text else {}
-        codes += [numbers[x] for x in counted]
-        times += counted.values()
-        sizes.append(len(counted))
-        lengths.append(len(text.encode()) if text else 0)
-    return numbers, codes, times, sizes, lengths
-
-
-def ledgers(documents: DataFrame, special: list[str]) -> DataFrame:
-    """One row per batch: ids, and the compressed sizes, numbers and frequencies of its documents."""
+        self.codes += [self.numbers[x] for x in counted]
+        self.times += counted.values()
+        self.sizes.append(len(counted))
+        self.ids.append(doc_id)
+        self.lengths.append(len(text.encode()) if text else 0)
+        self.chars += len(text or "")
+
+    def ledger(self) -> bytes:
+        """All but the pre-tokens themselves, compressed."""
+        sizes = np.array(self.sizes, dtype="<i4")
+        owner = np.repeat(np.arange(len(sizes)), sizes)
+        codes, times = np.array(self.codes, dtype=np.int64), np.array(self.times, dtype="<i4")
+        order = np.lexsort((codes, owner))
+        steps = np.diff(codes[order], prepend=0).astype("<i4")
+        plane = lambda x: np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T).tobytes()
+        ids = np.array([0 if x is None else x for x in self.ids], dtype="<i8")
+        known = np.array([x is not None for x in self.ids], dtype=np.uint8)
+        head = np.array([len(sizes), len(codes), len(self.numbers)], dtype="<i8")
+        parts = [head, ids, np.array(self.lengths, dtype="<i8"), known, sizes]
+        return zstandard.compress(b"".join([x.tobytes() for x in parts] + [plane(steps), plane(times[order])]), 6)
+
+    def rows(self, batch: str):
+        """The ledger's row, then those of the pre-tokens."""
+        yield pa.record_batch([pa.array([x], f.type) for x, f in zip((batch, batch, -1, None, self.ledger()), _ROWS, strict=True)], schema=_ROWS)
+        words = list(self.numbers)
+        for start in range(0, len(words), 8192):
+            part = words[start : start + 8192]
+            n = len(part)
+            columns = (part, [batch] * n, range(start, start + n), part, [None] * n)
+            yield pa.record_batch([pa.array(x, f.type) for x, f in zip(columns, _ROWS, strict=True)], schema=_ROWS)
+
+
+def _read_ledger(body: bytes):
+    raw = zstandard.decompress(body)
+    n, entries, distinct = np.frombuffer(raw, "<i8", 3)
+    at = 24
+
+    def take(kind: str, count: int) -> np.ndarray:
+        nonlocal at
+        out = np.frombuffer(raw, kind, count, at)
+        at += out.nbytes
+        return out
+
+    ids, lengths, known, sizes = take("<i8", n), take("<i8", n), take("u1", n), take("<i4", n)
+    planes = [np.ascontiguousarray(take("u1", 4 * entries).reshape(4, -1).T).view("<i4").ravel() for _ in range(2)]
+    return ids, known, lengths, sizes, np.cumsum(planes[0].astype(np.int64)), planes[1], distinct
+
+
+def tallies(documents: DataFrame, special: list[str], batch_chars: int = BATCH_CHARS) -> DataFrame:
+    """Rows of ledgers and of distinct pre-tokens, batch by batch; ``key`` says where a row is to go."""
     pattern = _special(special)
 
     def make(source):
-        press = zstandard.ZstdCompressor(level=3).compress
-        for name, batch in _batches(source):
-            numbers, codes, times, sizes, lengths = _tally(batch, pattern)
-            parts = [np.array(x, dtype=t).tobytes() for x, t in ((lengths, "<i8"), (sizes, "<i4"), (codes, "<i4"), (times, "<i4"))]
-            ids = pa.BufferOutputStream()
-            with pa.ipc.new_stream(ids, pa.schema([("id", pa.int64())])) as out:
-                out.write_batch(pa.record_batch([batch.column(0).cast(pa.int64())], names=["id"]))
-            yield pa.record_batch(
-                [[name], [ids.getvalue().to_pybytes()], [press(b"".join(parts))], pa.array([len(numbers)], pa.int32())],
-                names=["batch", "ids", "body", "n_distinct"],
-            )
-
-    return documents.mapInArrow(make, _LEDGER)
-
-
-def batch_words(documents: DataFrame, special: list[str]) -> DataFrame:
-    """One row per batch and distinct pre-token of it."""
-    pattern = _special(special)
+        from pyspark import TaskContext
 
-    def make(source):
-        for name, batch in _batches(source):
-            numbers = _tally(batch, pattern)[0]
-            words = list(numbers)
-            for start in range(0, len(words), 8192):
-                part = words[start : start + 8192]
-                yield pa.record_batch(
-                    [pa.array([name] * len(part)), pa.array(range(start, start + len(part)), pa.int32()), pa.array(part)],
-                    names=["batch", "number", "piece"],
-                )
+        part, place, tally = TaskContext.get().partitionId(), 0, _Tally()
+        for batch in source:
+            for doc_id, text in zip(values(batch.column(0)), values(batch.column(1)), strict=True):
+                tally.add(doc_id, text, pattern)
+                if tally.chars >= batch_chars or len(tally.ids) >= 1_000_000:
+                    yield from tally.rows(f"{part}:{place}")
+                    place, tally = place + 1, _Tally()
+        if tally.ids:
+            yield from tally.rows(f"{part}:{place}")
 
-    return documents.mapInArrow(make, _WORDS)
+    schema = "key string, batch string, number int, piece string, body binary"
+    return documents.mapInArrow(make, schema)
 
 
-def piece_counter(tokenizer_file: str):
-    """A column function from pre-token to its number of pieces."""
+def count_pieces(rows: DataFrame, tokenizer_file: str, memo_size: int = 500_000) -> DataFrame:
+    """Puts piece counts in place of pre-tokens; ledgers pass through."""
 
-    @F.arrow_udf("int")
-    def pieces(column: pa.Array) -> pa.Array:
+    def make(source):
         from tokenizers import Tokenizer
 
         tokenizer = Tokenizer.from_file(tokenizer_file)
-        counts: list[int] = []
-        for start in range(0, len(column), 2048):
-            part = column.slice(start, 2048).to_pylist()
-            counts += [len(x.ids) for x in tokenizer.encode_batch(part, add_special_tokens=False)]
-        return pa.array(counts, pa.int32())
-
-    return pieces
-
-
-def _settle(ledger: pa.Table, counts: pa.Table) -> pa.Table:
-    out = []
-    places = counts.column("number").to_numpy()
-    pieces = np.zeros(max(1, len(places)), dtype=np.int64)
-    for row in ledger.to_pylist():
-        if len(places) != row["n_distinct"]:
-            raise ValueError("documents were not read in the same batches twice; write them to a table first")
-        pieces[places] = counts.column("pieces").to_numpy()
-        ids = pa.ipc.open_stream(row["ids"]).read_all().column("id")
-        body, n = zstandard.ZstdDecompressor().decompress(row["body"]), len(ids)
-        lengths = np.frombuffer(body, "<i8", n)
-        sizes = np.frombuffer(body, "<i4", n, 8 * n)
-        rest = np.frombuffer(body, "<i4", -1, 12 * n)
-        codes, times = rest[: len(rest) // 2], rest[len(rest) // 2 :]
-        sums = np.concatenate([[0], np.cumsum(pieces[codes] * times)])
-        ends = np.cumsum(sizes)
-        out.append(pa.table({"doc_id": ids.combine_chunks(), "n_bytes": lengths, "n_tokens": sums[ends] - sums[ends - sizes]}))
-    return pa.concat_tables(out) if out else pa.table({"doc_id": pa.array([], pa.int64()), "n_bytes": pa.array([], pa.int64()), "n_tokens": pa.array([], pa.int64())})
-
-
-def count_tokens(documents: DataFrame, tokenizer_file: str, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, n_bytes, n_tokens`` for every document.
-
-    The documents are read twice, so they must come in the same batches each
-    time, as a table's files do; the join checks that and fails otherwise.
-    """
-    special = special_strings(tokenizer_file)
+        memo: dict[str, int] = {}
+        for batch in source:
+            pieces = batch.column("piece").to_pylist()
+            new = list({p for p in pieces if p is not None} - memo.keys())
+            if len(memo) + len(new) > memo_size:
+                memo.clear()
+                new = list({p for p in pieces if p is not None})
+            memo.update(zip(new, (len(x.ids) for x in tokenizer.encode_batch(new, add_special_tokens=False)), strict=True))
+            counts = pa.array([None if p is None else memo[p] for p in pieces], pa.int32())
+            yield pa.record_batch([batch.column("batch"), batch.column("number"), counts, batch.column("body")], names=["batch", "number", "pieces", "body"])
+
+    return rows.mapInArrow(make, _PIECES)
+
+
+def _settle(rows: pa.Table) -> pa.Table:
+    body = rows.column("body").drop_null()
+    words = rows.filter(pa.compute.greater_equal(rows.column("number"), 0))
+    if len(body) != 1:
+        raise ValueError("a batch of documents must have one ledger")
+    ids, known, lengths, sizes, codes, times, distinct = _read_ledger(body[0].as_py())
+    if len(words) != distinct:
+        raise ValueError("a batch of documents must get back all its pre-tokens")
+    pieces = np.zeros(max(1, distinct), dtype=np.int64)
+    pieces[words.column("number").to_numpy()] = words.column("pieces").to_numpy()
+    sums = np.concatenate([[0], np.cumsum(pieces[codes] * times)])
+    ends = np.cumsum(sizes)
+    return pa.table([pa.array(ids, mask=known == 0), lengths, sums[ends] - sums[ends - sizes]], schema=_COUNTS)
+
+
+def count_tokens(documents: DataFrame, tokenizer_file: str, id_column: str = "doc_id", text: str = "text", batch_chars: int = BATCH_CHARS) -> DataFrame:
+    """``doc_id, n_bytes, n_tokens`` for every document."""
     source = documents.select(F.col(id_column).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    words = batch_words(source, special)
-    counted = words.select("piece").distinct().withColumn("pieces", piece_counter(tokenizer_file)("piece"))
-    back = words.join(counted, "piece").select("batch", "number", "pieces")
-    return ledgers(source, special).groupBy("batch").cogroup(back.groupBy("batch")).applyInArrow(_settle, _COUNTS)
+    dealt = tallies(source, special_strings(tokenizer_file), batch_chars).repartition("key").drop("key")
+    counted = count_pieces(dealt, tokenizer_file)
+    return counted.groupBy("batch").applyInArrow(_settle, "doc_id bigint, n_bytes bigint, n_tokens bigint")
