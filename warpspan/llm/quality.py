@@ -162,8 +162,8 @@ def keep_good(documents: DataFrame, limits: tuple[Limit, ...] = STANDARD) -> Dat
     """The documents that pass, with their own columns; no join and no shuffle."""
     row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
     packed = documents.select(row, F.col("text"))
-    judged = judge(measure(packed, "_row"), limits)
-    # A filter on a deterministic column would be pushed below the projections
-    # and repeat all metrics inside itself, once for each mention.
-    kept = F.col("kept") & (F.rand(0) >= 0)
-    return judged.select("_row", kept.alias("_kept")).where("_kept").select("_row.*")
+    judged = judge(measure(packed, "_row"), limits).select("_row", "kept")
+    # A filter would be pushed below the projections and repeat all metrics in
+    # itself, once for each mention; a generator stays where it is.
+    passed = F.explode(F.filter(F.array("_row"), lambda _: F.col("kept")))
+    return judged.select(passed.alias("_row")).select("_row.*")
