@@ -7,16 +7,15 @@ cuts, so a text has as many tokens as its pre-tokens together.
 
 1. Documents are tallied in batches. A batch gives its *ledger* (for each
    document the numbers of its distinct pre-tokens and how often each occurs)
-   and a row for each distinct pre-token of the batch.
-2. These rows are dealt out by pre-token, so that all rows of one meet in one
-   task, which counts its pieces once.
+   and, for each bucket of a hash, the list of its distinct pre-tokens there.
+2. The lists are dealt out by bucket. All lists of a bucket meet in one task,
+   which counts the pieces of each distinct pre-token once.
 3. Piece counts go back by batch and meet the ledger there: each document's
    tokens are the sum of frequency times pieces.
 
-Texts are read once and never shuffled. A pre-token has one row per batch
-however common it is, and a batch is bounded by its characters, so no task
-gets more than its share. Ledgers are compressed: numbers are sorted within a
-document and stored as differences.
+Texts are read once and never shuffled; lists and ledgers are compressed. A
+pre-token is listed once per batch however common it is, and a batch is
+bounded by its characters, so no task gets more than its share.
 
 Null and empty texts have no tokens. Repeated rows and ids are kept apart by
 their place in the ledger. An empty table gives an empty result.
@@ -25,11 +24,11 @@ their place in the ledger. An empty table gives an empty result.
 from __future__ import annotations
 
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute  # noqa: F401
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -41,13 +40,17 @@ _SPACE = "\t-\r \x85\xa0  -     　"
 PRE_TOKEN = re.compile(f" ?[^{_SPACE}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+")
 
 #: A batch is closed at so many characters; its distinct pre-tokens fit a worker's memory.
-BATCH_CHARS = 24_000_000
+BATCH_CHARS = 8_000_000
 
-_ROWS = pa.schema([("key", pa.string()), ("batch", pa.string()), ("number", pa.int32()), ("piece", pa.string()), ("body", pa.binary())])
-_PIECES = "batch string, number int, pieces int, body binary"
+_ROWS = pa.schema([("bucket", pa.int32()), ("batch", pa.int64()), ("listed", pa.int32()), ("body", pa.binary())])
+_ROW_TYPES = "bucket int, batch bigint, listed int, body binary"
 _COUNTS = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64())])
 
 
+def _row(*cells) -> pa.RecordBatch:
+    return pa.record_batch([pa.array([x], f.type) for x, f in zip(cells, _ROWS, strict=True)], schema=_ROWS)
+
+
 def special_strings(tokenizer_file: str) -> list[str]:
     """The added tokens that the library recognises inside texts, longest first."""
     import json
@@ -100,29 +103,40 @@ class _Tally:
         self.lengths.append(len(text.encode()) if text else 0)
         self.chars += len(text or "")
 
-    def ledger(self) -> bytes:
-        """All but the pre-tokens themselves, compressed."""
+    def ledger(self, bucket_of: np.ndarray) -> bytes:
+        """All but the pre-tokens themselves, compressed; numbers are sorted in a document and stored as steps."""
         sizes = np.array(self.sizes, dtype="<i4")
-        owner = np.repeat(np.arange(len(sizes)), sizes)
+        owner = np.repeat(np.arange(len(sizes), dtype=np.int64), sizes)
         codes, times = np.array(self.codes, dtype=np.int64), np.array(self.times, dtype="<i4")
-        order = np.lexsort((codes, owner))
+        order = np.argsort((owner << 32) | codes, kind="stable")
         steps = np.diff(codes[order], prepend=0).astype("<i4")
         plane = lambda x: np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T).tobytes()
         ids = np.array([0 if x is None else x for x in self.ids], dtype="<i8")
         known = np.array([x is not None for x in self.ids], dtype=np.uint8)
-        head = np.array([len(sizes), len(codes), len(self.numbers)], dtype="<i8")
-        parts = [head, ids, np.array(self.lengths, dtype="<i8"), known, sizes]
+        head = np.array([len(sizes), len(codes), len(bucket_of)], dtype="<i8")
+        parts = [head, ids, np.array(self.lengths, dtype="<i8"), known, sizes, bucket_of.astype("<u2")]
         return zstandard.compress(b"".join([x.tobytes() for x in parts] + [plane(steps), plane(times[order])]), 6)
 
-    def rows(self, batch: str):
-        """The ledger's row, then those of the pre-tokens."""
-        yield pa.record_batch([pa.array([x], f.type) for x, f in zip((batch, batch, -1, None, self.ledger()), _ROWS, strict=True)], schema=_ROWS)
+    def rows(self, batch: int, buckets: int):
+        """The ledger's row, then one for each bucket with the batch's pre-tokens in the order of their numbers."""
         words = list(self.numbers)
-        for start in range(0, len(words), 8192):
-            part = words[start : start + 8192]
-            n = len(part)
-            columns = (part, [batch] * n, range(start, start + n), part, [None] * n)
-            yield pa.record_batch([pa.array(x, f.type) for x, f in zip(columns, _ROWS, strict=True)], schema=_ROWS)
+        bucket_of = np.fromiter((zlib.crc32(w.encode()) % buckets for w in words), dtype=np.int64, count=len(words))
+        yield _row(batch % buckets, batch, -1, self.ledger(bucket_of))
+        order = np.argsort(bucket_of, kind="stable")
+        cuts = np.searchsorted(bucket_of[order], np.arange(buckets + 1))
+        for bucket in range(buckets):
+            chosen = order[cuts[bucket] : cuts[bucket + 1]]
+            if len(chosen):
+                text = [words[k] for k in chosen]
+                sizes = np.array([len(w) for w in text], dtype="<u4").tobytes()
+                yield _row(bucket, batch, len(chosen), zstandard.compress(sizes + "".join(text).encode(), 6))
+
+
+def _listed(body: bytes, n: int) -> list[str]:
+    raw = zstandard.decompress(body)
+    ends = np.cumsum(np.frombuffer(raw, "<u4", n)).tolist()
+    text = raw[4 * n :].decode()
+    return [text[a:b] for a, b in zip([0, *ends], ends, strict=False)]
 
 
 def _read_ledger(body: bytes):
@@ -136,71 +150,91 @@ def _read_ledger(body: bytes):
         at += out.nbytes
         return out
 
-    ids, lengths, known, sizes = take("<i8", n), take("<i8", n), take("u1", n), take("<i4", n)
+    ids, lengths, known, sizes, bucket_of = take("<i8", n), take("<i8", n), take("u1", n), take("<i4", n), take("<u2", distinct)
     planes = [np.ascontiguousarray(take("u1", 4 * entries).reshape(4, -1).T).view("<i4").ravel() for _ in range(2)]
-    return ids, known, lengths, sizes, np.cumsum(planes[0].astype(np.int64)), planes[1], distinct
+    return ids, known, lengths, sizes, np.cumsum(planes[0].astype(np.int64)), planes[1], bucket_of
 
 
-def tallies(documents: DataFrame, special: list[str], batch_chars: int = BATCH_CHARS) -> DataFrame:
-    """Rows of ledgers and of distinct pre-tokens, batch by batch; ``key`` says where a row is to go."""
+def tallies(documents: DataFrame, special: list[str], buckets: int, batch_chars: int = BATCH_CHARS) -> DataFrame:
+    """Rows of ledgers and of lists of pre-tokens, batch by batch."""
     pattern = _special(special)
 
     def make(source):
         from pyspark import TaskContext
 
-        part, place, tally = TaskContext.get().partitionId(), 0, _Tally()
+        place, tally = TaskContext.get().partitionId() << 24, _Tally()
         for batch in source:
-            for doc_id, text in zip(values(batch.column(0)), values(batch.column(1)), strict=True):
+            for doc_id, text in zip(values(batch.column(0), 64), values(batch.column(1), 64), strict=True):
                 tally.add(doc_id, text, pattern)
                 if tally.chars >= batch_chars or len(tally.ids) >= 1_000_000:
-                    yield from tally.rows(f"{part}:{place}")
+                    yield from tally.rows(place, buckets)
                     place, tally = place + 1, _Tally()
         if tally.ids:
-            yield from tally.rows(f"{part}:{place}")
+            yield from tally.rows(place, buckets)
 
-    schema = "key string, batch string, number int, piece string, body binary"
-    return documents.mapInArrow(make, schema)
+    return documents.mapInArrow(make, _ROW_TYPES)
 
 
-def count_pieces(rows: DataFrame, tokenizer_file: str, memo_size: int = 500_000) -> DataFrame:
-    """Puts piece counts in place of pre-tokens; ledgers pass through."""
+def _tokenizer(file: str):
+    """The file's tokenizer, kept in the worker process for later tasks; one thread, as the task has one core."""
+    import os
 
-    def make(source):
-        from tokenizers import Tokenizer
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    import tokenizers
+
+    kept = tokenizers.__dict__.setdefault("_kept_by_file", {})
+    if file not in kept:
+        kept[file] = tokenizers.Tokenizer.from_file(file)
+    return kept[file]
 
-        tokenizer = Tokenizer.from_file(tokenizer_file)
+
+def count_pieces(rows: DataFrame, tokenizer_file: str, memo_size: int = 150_000) -> DataFrame:
+    """Puts the numbers of pieces in place of listed pre-tokens; ledgers pass through."""
+
+    def make(source):
+        tokenizer = _tokenizer(tokenizer_file)
         memo: dict[str, int] = {}
         for batch in source:
-            pieces = batch.column("piece").to_pylist()
-            new = list({p for p in pieces if p is not None} - memo.keys())
-            if len(memo) + len(new) > memo_size:
-                memo.clear()
-                new = list({p for p in pieces if p is not None})
-            memo.update(zip(new, (len(x.ids) for x in tokenizer.encode_batch(new, add_special_tokens=False)), strict=True))
-            counts = pa.array([None if p is None else memo[p] for p in pieces], pa.int32())
-            yield pa.record_batch([batch.column("batch"), batch.column("number"), counts, batch.column("body")], names=["batch", "number", "pieces", "body"])
+            for row in batch.to_pylist():
+                if row["listed"] >= 0:
+                    words = _listed(row["body"], row["listed"])
+                    if len(memo) > memo_size:
+                        memo.clear()
+                    new = [w for w in words if w not in memo]
+                    for start in range(0, len(new), 1024):
+                        part = new[start : start + 1024]
+                        memo.update(zip(part, (len(x.ids) for x in tokenizer.encode_batch(part, add_special_tokens=False)), strict=True))
+                    row["body"] = zstandard.compress(np.array([memo[w] for w in words], dtype="<i4").tobytes())
+                yield _row(*row.values())
 
-    return rows.mapInArrow(make, _PIECES)
+    return rows.mapInArrow(make, _ROW_TYPES)
 
 
 def _settle(rows: pa.Table) -> pa.Table:
-    body = rows.column("body").drop_null()
-    words = rows.filter(pa.compute.greater_equal(rows.column("number"), 0))
-    if len(body) != 1:
-        raise ValueError("a batch of documents must have one ledger")
-    ids, known, lengths, sizes, codes, times, distinct = _read_ledger(body[0].as_py())
-    if len(words) != distinct:
-        raise ValueError("a batch of documents must get back all its pre-tokens")
-    pieces = np.zeros(max(1, distinct), dtype=np.int64)
-    pieces[words.column("number").to_numpy()] = words.column("pieces").to_numpy()
+    by_bucket = {}
+    ledger = None
+    for row in rows.to_pylist():
+        if row["listed"] < 0:
+            ledger = row["body"]
+        else:
+            by_bucket[row["bucket"]] = np.frombuffer(zstandard.decompress(row["body"]), "<i4")
+    ids, known, lengths, sizes, codes, times, bucket_of = _read_ledger(ledger)
+    pieces = np.zeros(max(1, len(bucket_of)), dtype=np.int64)
+    for bucket, counts in by_bucket.items():
+        pieces[: len(bucket_of)][bucket_of == bucket] = counts
     sums = np.concatenate([[0], np.cumsum(pieces[codes] * times)])
     ends = np.cumsum(sizes)
     return pa.table([pa.array(ids, mask=known == 0), lengths, sums[ends] - sums[ends - sizes]], schema=_COUNTS)
 
 
-def count_tokens(documents: DataFrame, tokenizer_file: str, id_column: str = "doc_id", text: str = "text", batch_chars: int = BATCH_CHARS) -> DataFrame:
-    """``doc_id, n_bytes, n_tokens`` for every document."""
+def count_tokens(
+    documents: DataFrame, tokenizer_file: str, id_column: str = "doc_id", text: str = "text", batch_chars: int = BATCH_CHARS, buckets: int | None = None
+) -> DataFrame:
+    """``doc_id, n_bytes, n_tokens`` for every document.
+
+    Without ``buckets`` there are as many as the session has shuffle partitions, 32 at least.
+    """
     source = documents.select(F.col(id_column).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    dealt = tallies(source, special_strings(tokenizer_file), batch_chars).repartition("key").drop("key")
-    counted = count_pieces(dealt, tokenizer_file)
-    return counted.groupBy("batch").applyInArrow(_settle, "doc_id bigint, n_bytes bigint, n_tokens bigint")
+    n = buckets or min(20_000, max(32, int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    dealt = tallies(source, special_strings(tokenizer_file), n, batch_chars).repartition("bucket").sortWithinPartitions("bucket")
+    return count_pieces(dealt, tokenizer_file).groupBy("batch").applyInArrow(_settle, "doc_id bigint, n_bytes bigint, n_tokens bigint")
