@@ -79,6 +79,7 @@ def find_exponent(sizes: DataFrame, entropy_share: float | None = ENTROPY_SHARE,
 
     ``entropy_share`` is a part of the largest possible entropy, the logarithm
     of the number of sources. Entropy falls and repetition falls as a rises.
+    With only a limit of repetition the sources are as even as it allows.
     """
     sources = sizes.count()
     if sources < 2:
@@ -97,7 +98,7 @@ def find_exponent(sizes: DataFrame, entropy_share: float | None = ENTROPY_SHARE,
             low, high = grid[at - 1], grid[at]
         return low
 
-    exponent = 1.0
+    exponent = 1.0 if most_repeats is None else 0.0
     if entropy_share is not None:
         goal = entropy_share * math.log(sources)
         exponent = largest(lambda h, _: h >= goal - 1e-12)

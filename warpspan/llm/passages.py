@@ -128,8 +128,10 @@ def removal_spans(removed: DataFrame) -> DataFrame:
 
 def without_repeats(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents with later copies of units cut out of ``text``; ids are taken to name documents."""
-    spans = removal_spans(repeated(documents, id_column, text)).withColumnRenamed("doc_id", "_removed_id")
-    joined = documents.join(spans, F.col(id_column) == F.col("_removed_id"), "left")
+    spans = removal_spans(repeated(documents, id_column, text)).toDF("_removed_id", "_spans")
+    row = F.struct(*(F.col(f"`{n}`") for n in documents.columns)).alias("_row")
+    packed = documents.select(row, F.col(id_column).alias("_id"), F.col(text).alias("_text"))
+    joined = packed.join(spans, F.col("_id") == F.col("_removed_id"), "left")
 
     @F.arrow_udf("string")
     def clean(texts: pa.Array, cuts: pa.Array) -> pa.Array:
@@ -140,5 +142,5 @@ def without_repeats(documents: DataFrame, id_column: str = "doc_id", text: str =
             out.append(value)
         return pa.array(out, pa.string())
 
-    names = [F.col(f"`{n}`") if n != text else clean(F.col(text), F.col("spans")).alias(text) for n in documents.columns]
-    return joined.select(*names)
+    cut_text = clean(F.col("_text"), F.col("_spans")).alias(text)
+    return joined.select(*(F.col(f"_row.`{n}`").alias(n) if n != text else cut_text for n in documents.columns))

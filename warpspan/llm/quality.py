@@ -99,7 +99,8 @@ def _repeat_words(words: Column) -> Column:
         slow = bound_to(F.sort_array(bound_to(ordered, repeated)), spread)
         return F.when(F.size(F.array_distinct(found)) == F.size(found), F.lit(0).cast("long")).otherwise(slow)
 
-    return F.when(F.size(words) < 4, F.lit(0).cast("long")).otherwise(bound_to(windows(words), count))
+    long_enough = bound_to(words, lambda w: bound_to(windows(w), count))
+    return F.when(F.size(words) < 4, F.lit(0).cast("long")).otherwise(long_enough)
 
 
 def measure(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
@@ -112,18 +113,22 @@ def measure(documents: DataFrame, id_column: str = "doc_id", text: str = "text")
         F.filter(F.split(body, "\n"), lambda s: s.rlike("[^ \t-\r]")).alias("_lines"),
     )
     without = lambda signs: F.length(F.regexp_replace("_body", signs, "")).cast("long")
-    counted = parts.select(
-        F.col(id_column),
-        F.size("_words").cast("long").alias("n_words"),
-        F.length(F.array_join("_words", "")).cast("long").alias("word_chars"),
-        (F.length("_body").cast("long") - without("[#*$%&|<>]")).alias("n_symbols"),
-        (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
-        _repeat_words(F.col("_words")).alias("n_repeat_words"),
-        F.size("_lines").cast("long").alias("n_lines"),
-        F.size(F.filter("_words", lambda w: F.lower(w).isin(STOP_WORDS))).cast("long").alias("n_stop_words"),
-        (F.length("_body").cast("long") - without("\\p{L}+")).alias("n_letters"),
-        (F.length("_body").cast("long") - without("\\p{Lu}+")).alias("n_capitals"),
-    )
+    metrics = {
+        "n_words": F.size("_words").cast("long"),
+        "word_chars": F.length(F.array_join("_words", "")).cast("long"),
+        "n_symbols": F.length("_body").cast("long") - without("[#*$%&|<>]"),
+        "n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"),
+        "n_repeat_words": _repeat_words(F.col("_words")),
+        "n_lines": F.size("_lines").cast("long"),
+        "n_stop_words": F.size(F.filter("_words", lambda w: F.lower(w).isin(STOP_WORDS))).cast("long"),
+        "n_letters": F.length("_body").cast("long") - without("\\p{L}+"),
+        "n_capitals": F.length("_body").cast("long") - without("\\p{Lu}+"),
+    }
+    # Rows of one struct: a filter on a metric stays above the generator. Below
+    # it, it would be pushed into the projections and compute everything again
+    # for each mention of a metric.
+    row = F.array(F.struct(*(value.alias(name) for name, value in metrics.items())))
+    counted = parts.select(F.col(id_column), F.inline(row))
     ratio = lambda a, b: F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(0.0)
     return counted.select(
         "*",
@@ -162,8 +167,4 @@ def keep_good(documents: DataFrame, limits: tuple[Limit, ...] = STANDARD) -> Dat
     """The documents that pass, with their own columns; no join and no shuffle."""
     row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
     packed = documents.select(row, F.col("text"))
-    judged = judge(measure(packed, "_row"), limits).select("_row", "kept")
-    # A filter would be pushed below the projections and repeat all metrics in
-    # itself, once for each mention; a generator stays where it is.
-    passed = F.explode(F.filter(F.array("_row"), lambda _: F.col("kept")))
-    return judged.select(passed.alias("_row")).select("_row.*")
+    return judge(measure(packed, "_row"), limits).where("kept").select("_row.*")
