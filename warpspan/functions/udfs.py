@@ -19,6 +19,7 @@ ENVELOPE = T.StructType([T.StructField("lo", ARRAY), T.StructField("hi", ARRAY)]
 
 def _equal_length(x: pa.Array, y: pa.Array):
     """Groups of rows whose two arrays have the same lengths, as matrices."""
+    x, y = (c.cast(pa.list_(pa.float64())) if pa.types.is_null(c.type) else c for c in (x, y))
     lengths = np.stack([np.asarray(c.value_lengths().fill_null(-1)) for c in (x, y)], axis=1)
     for pair in np.unique(lengths, axis=0):
         rows = np.flatnonzero((lengths == pair).all(axis=1))
