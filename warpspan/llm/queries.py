@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from warpspan.llm import contamination, licenses, mixing, passages, pii, quality, sharding, simhash, tokens, toxicity
+from warpspan.llm import contamination, licenses, mixing, oracles, passages, pii, quality, sharding, simhash, tokens, toxicity
 from warpspan.llm.common import read_table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -67,4 +67,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Twins where SQL can express the operator; the others are tested against brute force."""
+    return {"op3_quality_rules": oracles.quality_rules(), "op7_decontamination": oracles.decontamination()}
