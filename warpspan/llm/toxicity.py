@@ -41,6 +41,8 @@ MARKS = "\"'“”„«»‘’"
 SAMPLE_ROWS = 20_000
 #: Learned entries of the lexicon, at most.
 ENTRIES = 200
+#: Share of the toxic documents that a learned entry must occur in.
+LEAST_SHARE = 0.01
 #: Lexicon words at least this long may be one edit away.
 EDIT_LENGTH = 5
 REACH = 4
@@ -188,10 +190,12 @@ FIXED = Model([Entry(w, False, 3.0) for w in SEED_WORDS], -4.0, (1.0, 1.5, 1.0,
 
 
 def train_rows(documents: DataFrame, labels: DataFrame, may_learn: Column, most: int = SAMPLE_ROWS) -> DataFrame:
-    """``text, toxic`` of at most ``most`` labelled documents, the first by a hash of the id."""
+    """``text, toxic`` of at most ``most`` labelled documents, the first by a hash of the id; of equal texts one."""
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & may_learn)
     chosen = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic")
+    rows = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    alike = rows.groupBy(F.xxhash64("text"), F.crc32(F.col("text").cast("binary")))
+    return alike.agg(F.max_by("text", "doc_id").alias("text"), F.max("toxic").alias("toxic")).select("text", "toxic")
 
 
 def _marks(text: str) -> set[str]:
@@ -223,22 +227,24 @@ def learn_entries(rows: DataFrame, most: int = ENTRIES) -> list[Entry]:
     counts = rows.select("text", "toxic").mapInArrow(count, "mark string, toxic bigint, clean bigint")
     total = counts.groupBy("mark").agg(F.sum("toxic").alias("t"), F.sum("clean").alias("c"))
     odds = F.log((F.col("t") + 0.5) / (n_toxic + 1)) - F.log((F.col("c") + 0.5) / (n_clean + 1))
-    # Support in toxic documents, and far more often there than elsewhere.
+    # Support in toxic documents beyond chance, and far more often there than elsewhere.
     found = (
-        total.where((F.col("t") >= max(3, n_toxic // 250)) & (F.col("t") * n_clean >= 12 * (F.col("c") + 0.5) * n_toxic))
+        total.where((F.col("t") >= max(5, math.ceil(LEAST_SHARE * n_toxic))) & (F.col("t") * n_clean >= 12 * (F.col("c") + 0.5) * n_toxic))
         .withColumn("odds", odds)
         .withColumn("gain", F.col("t") * odds)
-        .orderBy(F.desc("gain"), F.length("mark"), "mark")
+        .orderBy(F.desc("gain"), F.length("mark").desc(), "mark")
         .limit(most * 4)
         .collect()
     )
-    chosen: list[Entry] = []
+    # Of marks that say the same the longest stays: a stem is left out if a
+    # longer entry has nearly all its documents, a word if its stem is there.
+    chosen: list[tuple[Entry, int]] = []
     for row in found:
         text, stem = (row.mark[:-1], True) if row.mark.endswith("*") else (row.mark, False)
-        implied = any(e.stem and text.startswith(e.text) for e in chosen)
-        if not implied and len(chosen) < most:
-            chosen.append(Entry(text, stem, row.odds))
-    return chosen
+        known = any(e.stem and text.startswith(e.text) or e.text.startswith(text) and row.t <= 1.05 * t for e, t in chosen)
+        if not known and len(chosen) < most:
+            chosen.append((Entry(text, stem, row.odds), row.t))
+    return [entry for entry, _ in chosen]
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 40) -> tuple[float, tuple[float, ...]]:
