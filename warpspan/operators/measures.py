@@ -78,18 +78,22 @@ def sequential_counts(bounds: DataFrame, methods: list[str], by: list[str] = ["q
     Bounds prune strictly, as in the sequential algorithms: a tie with the
     limit is pruned.
     """
-    outs = []
-    for method in methods:
+    orders = {tuple(SEQUENTIAL[m][1]): f"limit{k}" for k, m in enumerate(methods)}
+    ranked = bounds
+    for order, limit in orders.items():
+        ranked = ranked.withColumn(limit, _limit(list(order)))
+    sums, rows = [F.count("*").alias("candidates")], []
+    for k, method in enumerate(methods):
         tests, order = SEQUENTIAL[method]
-        ranked = bounds.withColumn("limit", _limit(order))
-        passed, sums = F.lit(True), []
+        passed, cells = F.lit(True), []
         for name in ("box", "pass1", "pass2"):
             if name in tests:
-                passed = passed & (F.col(name) < F.col("limit"))
-            sums.append(F.sum(passed.cast("long")).alias(f"after_{name}"))
-        grouped = ranked.groupBy(*by).agg(F.count("*").alias("candidates"), *sums)
-        outs.append(grouped.select(*by, F.lit(method).alias("method"), "candidates", "after_box", "after_pass1", "after_pass2", F.col("after_pass2").alias("dtw_done")))
-    return search._union(outs)
+                passed = passed & (F.col(name) < F.col(orders[tuple(order)]))
+            sums.append(F.sum(passed.cast("long")).alias(f"m{k}_{name}"))
+            cells.append(F.col(f"m{k}_{name}").alias(f"after_{name}"))
+        rows.append(F.struct(F.lit(method).alias("method"), "candidates", *cells, F.col(f"m{k}_pass2").alias("dtw_done")))
+    # All methods from one pass over the table: two window orders share one shuffle.
+    return ranked.groupBy(*by).agg(*sums).select(*by, F.inline(F.array(*rows)))
 
 
 def stage_histogram(bounds: DataFrame, order: list[str] = ["box", "series_id"]) -> DataFrame:  # noqa: B006

@@ -21,7 +21,7 @@ _COUNTS = "candidates, after_box, after_pass1, after_pass2, dtw_done"
 
 
 def _bounds(spark: SparkSession, sf_dir: str, name: str = FIX, w: int = W, d: int = D) -> DataFrame:
-    """The table of all bounds, cut to a stored table as several windows read it."""
+    """The table of all bounds of a workload."""
     return measures.bound_table(*workload(spark, sf_dir, name), w, d=d)
 
 
