@@ -177,5 +177,11 @@ def append(index: BoxIndex, more: DataFrame, page_rows: int = LARGE_PAGE) -> Box
     return BoxIndex(index.series.select(*names).unionByName(more.select(*names)), points, pages, index.cover)
 
 
-def sums_matrix(v: np.ndarray, cover: Cover) -> np.ndarray:
-    return kernels.piecewise_sums(v, cover)
+def box_pow(sums: np.ndarray, lo: np.ndarray, hi: np.ndarray, cover: Cover, p: float = 1) -> np.ndarray:
+    """The box bound of rows of piecewise sums against one query's envelope."""
+    low, high = (kernels.piecewise_sums(side[None, :], cover) for side in (lo, hi))
+    gap = np.maximum(np.maximum(low - sums, sums - high), 0.0)
+    sizes = np.array([b - a for a, b in cover], dtype=float)
+    if p == kernels.INF:
+        return (gap / sizes).max(axis=1)
+    return (gap**p / sizes ** (p - 1)).sum(axis=1)

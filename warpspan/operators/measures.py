@@ -46,10 +46,7 @@ def _bounds_of(series: DataFrame, tile, w: int, p: float, d: int, cover) -> Data
             parts = cover or boxindex.floor_cover(n, min(d, n))
             sums = kernels.piecewise_sums(x, parts)
             for q, query in queries.items():
-                lo, hi = (kernels.piecewise_sums(side[None, :], parts) for side in (query.lo, query.hi))
-                gap = np.maximum(np.maximum(lo - sums, sums - hi), 0.0)
-                sizes = np.array([b - a for a, b in parts], dtype=float)
-                box = (gap / sizes).max(axis=1) if p == kernels.INF else (gap**p / sizes ** (p - 1)).sum(axis=1)
+                box = boxindex.box_pow(sums, query.lo, query.hi, parts, p)
                 first = kernels.pass1_pow(x, query.lo, query.hi, p)
                 second = kernels.add(first, kernels.gap2_pow(x, query.y, query.lo, query.hi, w, p), p)
                 columns = (box, first, second, kernels.dtw_pow(x, query.y, w, p), kernels.lp_pow(x, query.y, p))

@@ -43,6 +43,9 @@ METHODS = {
 QUERY_VALUES = 2_500_000
 #: Pairs that the distance kernel takes at once.
 CHUNK = 64
+#: Where the pages in reach hold more of the points than this, fetching arrays
+#: by id would move most of the data; they are scanned in place instead.
+MOST_REACHED = 0.3
 
 _FOUND = pa.schema([("query_id", pa.int64()), ("series_id", pa.int64()), ("power", pa.float64()), ("counts", pa.list_(pa.int64()))])
 _FOUND_TYPES = "query_id bigint, series_id bigint, power double, counts array<bigint>"
@@ -65,6 +68,8 @@ class Plan(NamedTuple):
     early_abandon: bool = False
     exclude_self: bool = False
     eps: float | None = None
+    #: Intervals for the box bound where arrays are scanned without their points.
+    cover: tuple[tuple[int, int], ...] | None = None
 
 
 def query_tiles(queries: DataFrame, w: int | None, most_values: int = QUERY_VALUES) -> Iterator[tuple[dict[int, Query], int]]:
@@ -107,11 +112,15 @@ class Best:
         if self.plan.eps is None:
             del self.rows[self.plan.k :]
 
-    def refine(self, query: Query, ids: np.ndarray, x: np.ndarray) -> None:
-        """The cascade over a block of candidates, cheapest bound first."""
+    def refine(self, query: Query, ids: np.ndarray, x: np.ndarray, sums: np.ndarray | None = None) -> None:
+        """The cascade over a block of candidates, cheapest bound first; ``sums`` are their points for the box bound."""
         plan = self.plan
         self.counts[0] += len(ids)
         bound = np.zeros(len(ids))
+        if sums is not None:
+            bound = boxindex.box_pow(sums, query.lo, query.hi, plan.cover, plan.p)
+            alive = bound <= self.limit
+            ids, x, bound = ids[alive], x[alive], bound[alive]
         if "pass1" in plan.passes:
             if plan.early_abandon:
                 bound, read = kernels.abandoning_pass1(x, query.lo, query.hi, np.nextafter(self.limit, np.inf), plan.p)
@@ -172,10 +181,11 @@ def scan(series: DataFrame, tile: dict[int, Query], plan: Plan, limits: dict[int
             if not batch.num_rows:
                 continue
             ids, x = batch.column(0).to_numpy(), matrix(batch.column(1))
+            sums = None if plan.cover is None else kernels.piecewise_sums(x, plan.cover)
             for q, query in queries.items():
                 _lengths_agree(x, query)
                 mine = ids != q if plan.exclude_self else slice(None)
-                best[q].refine(query, ids[mine], x[mine])
+                best[q].refine(query, ids[mine], x[mine], None if sums is None else sums[mine])
         yield _batch([row for q in queries for row in best[q].output(q)])
 
     return series.select("series_id", "v").mapInArrow(run, _FOUND_TYPES)
@@ -250,8 +260,20 @@ def _kth_limits(found: DataFrame, plan: Plan) -> dict[int, float]:
     return {r.query_id: r.dist for r in top.select("query_id", "dist").collect()}
 
 
+def _share_reached(index: boxindex.BoxIndex, hits: DataFrame) -> float:
+    """The share of all points that stand in pages which some query reaches; one row comes to the driver."""
+    near = hits.select("page_id", "rows").distinct().agg(F.coalesce(F.sum("rows"), F.lit(0)).alias("near"))
+    row = near.crossJoin(index.pages.agg(F.sum("rows").alias("every"))).first()
+    return row.near / row.every if row.every else 0.0
+
+
 def _index_search(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan) -> DataFrame:
-    """Seed from each query's nearest page, then all pages and points within the seed's distance."""
+    """Seed from each query's nearest page, then all pages and points within the seed's distance.
+
+    If these are many, the arrays are scanned where they lie, with the seeds as
+    limits and the box bound taken from the arrays: the same candidates, and no
+    shuffle.
+    """
     spark = index.series.sparkSession
     boxes = boxindex.query_boxes(_query_frame(spark, tile), plan.w, index.cover)
     pages = page_distances(index, boxes, plan.p)
@@ -264,6 +286,8 @@ def _index_search(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan)
     start = float("inf") if plan.eps is None else kernels.power(plan.eps, plan.p)
     table = spark.createDataFrame([(q, limits.get(q, start)) for q in tile], "query_id bigint, `limit` double")
     hits = pages.join(F.broadcast(table), "query_id").where("page_bound <= `limit`")
+    if _share_reached(index, hits) > MOST_REACHED:
+        return scan(index.series, tile, plan._replace(cover=tuple(index.cover)), limits)
     return refine_pairs(with_arrays(index, candidates(index, hits, table, plan.p)), tile, plan, limits)
 
 
