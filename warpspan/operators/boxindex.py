@@ -18,6 +18,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -102,6 +103,8 @@ def _edges(values: DataFrame, column: str, tiles: int) -> list[float]:
 def with_pages(points: DataFrame, page_rows: int = LARGE_PAGE, n_points: int | None = None) -> DataFrame:
     """Adds ``page_id``: strips by quantiles of s1, tiles in them by quantiles of s2."""
     n_pages = max(1, math.ceil((points.count() if n_points is None else n_points) / page_rows))
+    if n_pages == 1:
+        return points.withColumn("page_id", F.lit(0))
     strips = max(1, math.ceil(math.sqrt(n_pages)))
     per_strip = math.ceil(n_pages / strips)
     first = np.array(_edges(points, "s1", strips))
@@ -142,12 +145,21 @@ def page_table(points: DataFrame, d: int) -> DataFrame:
 
 
 def build(series: DataFrame, n: int, d: int = D, page_rows: int = LARGE_PAGE, cover: Cover | None = None) -> BoxIndex:
-    """The index over packed series of n samples; lazily, unless ``write`` stores it."""
+    """The index over packed series of n samples; ``write`` stores it.
+
+    Several steps read the points, so these (d numbers a series) are kept in
+    memory and on disk until ``release``.
+    """
     cover = check_cover(cover or floor_cover(n, d), n)
-    points = with_pages(points_of(series, cover), page_rows)
+    points = with_pages(points_of(series, cover).persist(StorageLevel.MEMORY_AND_DISK), page_rows)
     return BoxIndex(series, points, page_table(points, len(cover)), cover)
 
 
+def release(index: BoxIndex) -> None:
+    """Lets go of the points that ``build`` kept."""
+    points_of(index.series, index.cover).unpersist()
+
+
 def write(index: BoxIndex, path: str) -> None:
     """Points sorted by page, the page table, the cover, and the series by page, as Parquet."""
     spark = index.series.sparkSession

@@ -275,6 +275,9 @@ def _index_search(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan)
     shuffle.
     """
     spark = index.series.sparkSession
+    if index.pages.limit(2).count() < 2:
+        # One page prunes nothing as a page.
+        return scan(index.series, tile, plan._replace(cover=tuple(index.cover)))
     boxes = boxindex.query_boxes(_query_frame(spark, tile), plan.w, index.cover)
     pages = page_distances(index, boxes, plan.p)
     limits: dict[int, float] = {}
