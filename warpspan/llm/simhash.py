@@ -213,8 +213,13 @@ def classify(documents: DataFrame, id_column: str = "doc_id", text: str = "text"
     Documents without an id count for links but not for the smallest id.
     """
     printed = cut(_printed(documents, id_column, text))
+    return grouped(printed, near_pairs(printed.select("fp").distinct()))
+
+
+def grouped(printed: DataFrame, links: DataFrame) -> DataFrame:
+    """``doc_id, fp, component_id`` from ``doc_id, fp`` and the links between fingerprints."""
     firsts = cut(printed.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
-    found = components(near_pairs(firsts.select("fp")))
+    found = components(links)
     members = found.union(found.select("root", "root").distinct()).toDF("fp", "root")
     smallest = members.join(firsts, "fp").groupBy("root").agg(F.min("first_id").alias("component_id"))
     moved = members.join(smallest, "root").select("fp", "component_id")
@@ -237,7 +242,12 @@ def keep_one(documents: DataFrame, id_column: str = "doc_id", text: str = "text"
     Of rows that repeat an id one stays. Rows without an id stay, as they
     can't be told apart. Texts move only if more ids go than ``MOST_SENT``.
     """
-    classes = cut(classify(documents, id_column, text))
+    return keep_first(documents, classify(documents, id_column, text), id_column)
+
+
+def keep_first(documents: DataFrame, classes: DataFrame, id_column: str = "doc_id") -> DataFrame:
+    """The same from the documents' ``doc_id, component_id``."""
+    classes = cut(classes)
     name = f"_{id_column}"
     gone = cut(classes.where("doc_id <> component_id").select(F.col("doc_id").alias(name)).distinct())
     again = cut(
