@@ -1,8 +1,10 @@
 """Repeated passages: units of text hashed, grouped over the corpus, kept once.
 
-A unit is a line with ``LINE_WORDS`` words or more; a line longer than
-``LONG_LINE`` words is also cut at sentence ends into units of
-``SENTENCE_WORDS`` words or more, so that a passage set into a longer line is
+A unit is a line with ``LINE_WORDS`` words or more, or a run of neighbouring
+sentences that reaches ``SENTENCE_WORDS`` words. Sentences end at stops and
+line ends and may have any length; from each one the shortest such run
+forward and the shortest one backward are units, over line ends too. So a
+passage of short lines or short sentences, or set into a longer line, is
 still found. A unit is normalised (Unicode NFKC, lower case, punctuation and
 blanks reduced) before its 128-bit digest is taken.
 
@@ -31,7 +33,6 @@ from pyspark.sql import functions as F
 from warpspan.llm.common import cut, values
 
 LINE_WORDS = 8
-LONG_LINE = 50
 SENTENCE_WORDS = 12
 
 _LINE = re.compile(r"[^\n]+")
@@ -49,18 +50,41 @@ def normal_words(unit: str) -> list[str]:
 
 def units_of(text: str | None) -> list[tuple[int, int, int, bytes]]:
     """``(start, after, words, digest)`` of a text's units, offsets in code points."""
+    text = text or ""
+    words: list[str] = []
+    atoms: list[tuple[int, int, int, int]] = []  # first word, word after, start, after
+    spans: dict[tuple[int, int], tuple[int, int]] = {}
+    for line in _LINE.finditer(text):
+        first = len(words)
+        for part in _SENTENCE.finditer(text, *line.span()):
+            inner = normal_words(part.group())
+            if inner:
+                start = part.start() + len(part.group()) - len(part.group().lstrip())
+                atoms.append((len(words), len(words) + len(inner), start, part.end()))
+                words += inner
+        if len(words) - first >= LINE_WORDS:
+            spans[first, len(words)] = line.span()
+    end = 0
+    for begin, atom in enumerate(atoms):
+        # Forward to the first atom that makes the run long enough, then back to the last that does.
+        while end < len(atoms) and atoms[end][1] - atom[0] < SENTENCE_WORDS:
+            end += 1
+        if end == len(atoms):
+            break
+        spans.setdefault((atom[0], atoms[end][1]), (atom[2], atoms[end][3]))
+    begin = 0
+    for atom in atoms:
+        while atom[1] - atoms[begin + 1][0] >= SENTENCE_WORDS if begin + 1 < len(atoms) else False:
+            begin += 1
+        if atom[1] - atoms[begin][0] >= SENTENCE_WORDS:
+            spans.setdefault((atoms[begin][0], atom[1]), (atoms[begin][2], atom[3]))
     out = []
-    for line in _LINE.finditer(text or ""):
-        words = normal_words(line.group())
-        if len(words) < LINE_WORDS:
-            continue
-        out.append((*line.span(), len(words), _digest(words)))
-        if len(words) > LONG_LINE:
-            for part in _SENTENCE.finditer(text, *line.span()):
-                inner = normal_words(part.group())
-                if SENTENCE_WORDS <= len(inner) < len(words):
-                    start = part.start() + len(part.group()) - len(part.group().lstrip())
-                    out.append((start, part.end(), len(inner), _digest(inner)))
+    reached: dict[bytes, int] = {}
+    for (first, last), span in sorted(spans.items()):
+        digest = _digest(words[first:last])
+        if first >= reached.get(digest, 0):  # a unit is no copy of itself where a text repeats at once
+            reached[digest] = last
+            out.append((*span, last - first, digest))
     return out
 
 
@@ -92,7 +116,7 @@ def units(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -
 def repeated(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """Units to remove: ``doc_id, start, after, words, kept_id, kept_start, kept_after, digest``.
 
-    A sentence inside a line that goes as a whole isn't listed again.
+    Units of one passage overlap; ``removal_spans`` joins them.
     """
     found = cut(units(documents, id_column, text))
     rank = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "start", "after")
