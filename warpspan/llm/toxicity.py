@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from warpspan.llm.common import values
+from warpspan.llm.common import cut, values
 
 # Words of abuse to start from, and words that mark context.
 SEED_WORDS = ("trash", "pathetic", "idiot", "worthless", "disgusting", "stupid", "clown", "loser", "scum", "moron")
@@ -39,7 +39,7 @@ MARKS = "\"'“”„«»‘’"
 
 #: Labelled rows that the lexicon and the model are fitted on, at most.
 SAMPLE_ROWS = 20_000
-#: Learned entries of the lexicon, at most.
+#: Learned entries of the lexicon, at most; the words behind its stems come on top.
 ENTRIES = 200
 #: Share of the toxic documents that a learned entry must occur in.
 LEAST_SHARE = 0.01
@@ -57,10 +57,13 @@ class Entry(NamedTuple):
 
 
 class LexiconAutomaton:
-    """Accepts words within one edit of a lexicon word, or that begin with a stem."""
+    """Accepts words within one edit of a lexicon word, or that begin with a stem.
 
-    def __init__(self, entries: list[Entry]):
-        self.entries = entries
+    Edits at the first letter count only with ``first``.
+    """
+
+    def __init__(self, entries: list[Entry], first: bool = False):
+        self.entries, self.first = entries, first
         self.children: list[dict[str, int]] = [{}]
         self.ends: list[list[int]] = [[]]
         self.editable: list[bool] = [False]
@@ -89,7 +92,7 @@ class LexiconAutomaton:
         more = {
             (child, 1)
             for node, edits in states
-            if edits == 0 and node != 0
+            if edits == 0 and (self.first or node != 0)
             for child in self.children[node].values()
             if self.editable[child]
         }
@@ -101,7 +104,7 @@ class LexiconAutomaton:
             child = self.children[node].get(letter)
             if child is not None and (edits == 0 or self.editable[child]):
                 out.add((child, edits))
-            if edits == 0 and node != 0:  # the first letter is taken as it is
+            if edits == 0 and (self.first or node != 0):
                 out.update((c, 1) for c in self.children[node].values() if self.editable[c])
                 if self.editable[node]:
                     out.add((node, 1))
@@ -228,14 +231,14 @@ def learn_entries(rows: DataFrame, most: int = ENTRIES) -> list[Entry]:
     total = counts.groupBy("mark").agg(F.sum("toxic").alias("t"), F.sum("clean").alias("c"))
     odds = F.log((F.col("t") + 0.5) / (n_toxic + 1)) - F.log((F.col("c") + 0.5) / (n_clean + 1))
     # Support in toxic documents beyond chance, and far more often there than elsewhere.
-    found = (
+    marked = cut(
         total.where((F.col("t") >= max(5, math.ceil(LEAST_SHARE * n_toxic))) & (F.col("t") * n_clean >= 12 * (F.col("c") + 0.5) * n_toxic))
         .withColumn("odds", odds)
         .withColumn("gain", F.col("t") * odds)
-        .orderBy(F.desc("gain"), F.length("mark").desc(), "mark")
-        .limit(most * 4)
-        .collect()
     )
+    order = (F.desc("gain"), F.length("mark").desc(), "mark")
+    found = marked.orderBy(*order).limit(most * 4).collect()
+    whole = marked.where(~F.col("mark").endswith("*")).orderBy(*order).limit(most * 4).collect()
     # Of marks that say the same the longest stays: a stem is left out if a
     # longer entry has nearly all its documents, a word if its stem is there.
     chosen: list[tuple[Entry, int]] = []
@@ -244,7 +247,10 @@ def learn_entries(rows: DataFrame, most: int = ENTRIES) -> list[Entry]:
         known = any(e.stem and text.startswith(e.text) or e.text.startswith(text) and row.t <= 1.05 * t for e, t in chosen)
         if not known and len(chosen) < most:
             chosen.append((Entry(text, stem, row.odds), row.t))
-    return [entry for entry, _ in chosen]
+    entries = [entry for entry, _ in chosen]
+    # Stems take no edits, so the words behind them stay as well.
+    stems = tuple(e.text for e in entries if e.stem)
+    return entries + [Entry(row.mark, False, row.odds) for row in whole if row.mark.startswith(stems)]
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 40) -> tuple[float, tuple[float, ...]]:
@@ -271,11 +277,10 @@ def fit(documents: DataFrame, labels: DataFrame, may_learn: Column | None = None
     if not learned:
         return FIXED
     have = {e.text for e in learned if not e.stem}
-    implied = tuple(e.text for e in learned if e.stem)
-    entries = learned + [Entry(w, False, 3.0) for w in SEED_WORDS if w not in have and not w.startswith(implied)]
+    entries = learned + [Entry(w, False, 3.0) for w in SEED_WORDS if w not in have]
 
     def measured(source):
-        memo = _Memo(LexiconAutomaton(entries))
+        memo = _Memo(LexiconAutomaton(entries, first=True))
         for batch in source:
             x = [features(t, memo) for t in values(batch.column(0))]
             yield pa.record_batch([pa.array(x, pa.list_(pa.float64())), batch.column(1).cast(pa.int32())], names=["x", "toxic"])
@@ -292,7 +297,7 @@ def score(text: str | Column, model: Model) -> Column:
     @F.arrow_udf("double")
     def scored(texts: pa.Array) -> pa.Array:
         if not ready:
-            ready.append(_Memo(LexiconAutomaton(model.entries)))
+            ready.append(_Memo(LexiconAutomaton(model.entries, first=True)))
         x = np.array([features(t, ready[0]) for t in values(texts)]).reshape(-1, len(FEATURES))
         return pa.array(1 / (1 + np.exp(-np.clip(model.bias + x @ np.array(model.slopes), -30, 30))))
 
