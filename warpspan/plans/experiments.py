@@ -264,9 +264,9 @@ def _patterns(spark: SparkSession, sf_dir: str) -> dict[int, list[float]]:
 
 register(
     "stream_pattern_watch",
-    lambda s, d: streams.drained(streams.watch_patterns(streams.event_stream(s, d), _patterns(s, d), 2, PATTERN_EPS, 8), "append"),
+    lambda s, d: streams.drained(streams.watch_patterns(streams.event_stream(s, d), _patterns(s, d), 2, PATTERN_EPS), "append"),
     f"""WITH RECURSIVE o AS ({_ORDERED}), p AS (SELECT user_id AS query_id, list(c::DOUBLE ORDER BY pos) AS y FROM o WHERE n >= 48 AND pos <= {PATTERN_N} GROUP BY 1 ORDER BY 1 LIMIT 3),
-    x AS (SELECT user_id, event_id AS series_id, pos, list(c::DOUBLE) OVER (PARTITION BY user_id ORDER BY pos ROWS BETWEEN {PATTERN_N - 1} PRECEDING AND CURRENT ROW) AS x FROM o QUALIFY pos >= {PATTERN_N} AND pos % 8 = 0),
+    x AS (SELECT user_id, event_id AS series_id, pos, list(c::DOUBLE) OVER (PARTITION BY user_id ORDER BY pos ROWS BETWEEN {PATTERN_N - 1} PRECEDING AND CURRENT ROW) AS x FROM o QUALIFY pos >= {PATTERN_N}),
     {O.warp(PATTERN_N, 2, '1', 'SELECT query_id, series_id, x, y FROM x CROSS JOIN p')}
     SELECT user_id, series_id AS event_id, query_id AS pattern, dtw::BIGINT AS dist FROM warp JOIN x USING (series_id) WHERE dtw <= {PATTERN_EPS}""",
 )
