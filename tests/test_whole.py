@@ -5,6 +5,8 @@ import numpy as np
 from warpspan.functions import kernels
 from warpspan.plans import QUERIES
 from warpspan.plans import experiments as E
+from warpspan.plans import methods as M
+from warpspan.sources import series as S
 from warpspan.sources import tables
 
 
@@ -22,3 +24,16 @@ def test_pattern_watch_compares_every_window(spark, sf):
                 if dist <= E.PATTERN_EPS:
                     wanted.add((user, rows[end - 1][0], pattern, int(dist)))
     assert found == wanted and len({p for _, p, _, _ in wanted}) > 0
+
+
+def test_self_join_takes_every_page(spark):
+    sf = "/root/testdata/sf0.01"
+    rows = S.fixture(spark, sf, M.JOIN_FIX).select("series_id", "v").orderBy("series_id").collect()
+    assert len(rows) > 60
+    x, wanted = np.array([r.v for r in rows], dtype=float), set()
+    for k, r in enumerate(rows[:-1]):
+        y = np.repeat(x[k : k + 1], len(rows) - k - 1, axis=0)
+        for other, dist in zip(rows[k + 1 :], kernels.dtw_pow(x[k + 1 :], y, M.JOIN_W), strict=True):
+            if dist <= M.JOIN_EPS:
+                wanted.add((r.series_id, other.series_id, int(dist)))
+    assert {tuple(r) for r in QUERIES["warp_self_join"](spark, sf).collect()} == wanted and wanted

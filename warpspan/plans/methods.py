@@ -333,12 +333,11 @@ for _method in ("brute", "scan_pass2", "box_pass2"):
 JOIN_FIX, JOIN_N, JOIN_W, JOIN_EPS = "tag_walk", 64, 6, 60_000
 
 
-@query("warp_self_join", f"""WITH RECURSIVE {O.split(JOIN_FIX, 0)}, few AS (SELECT * FROM db WHERE place <= 60), {O.warp(JOIN_N, JOIN_W, '1', 'SELECT a.series_id AS query_id, b.series_id, a.v AS x, b.v AS y FROM few a JOIN few b ON a.series_id < b.series_id')}
- SELECT query_id AS left_id, series_id AS right_id, dtw::BIGINT AS dist FROM warp WHERE dtw <= {JOIN_EPS}""".replace("db AS (SELECT series_id, v FROM", "db AS (SELECT series_id, v, place FROM"))
+@query("warp_self_join")
 def warp_self_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All close pairs among the first 60 pages' tag walks (a bound on the twin's work, by the fixture's rule)."""
-    few = S.fixture(spark, sf_dir, JOIN_FIX).orderBy(S.hash_order(), "series_id").limit(60)
-    pairs = join.warp_join(few, few, JOIN_N, JOIN_EPS, JOIN_W, self_join=True)
+    """All close pairs among the pages' tag walks."""
+    every = S.fixture(spark, sf_dir, JOIN_FIX)
+    pairs = join.warp_join(every, every, JOIN_N, JOIN_EPS, JOIN_W, self_join=True)
     return pairs.select("left_id", "right_id", F.col("dist").cast("bigint").alias("dist"))
 
 
