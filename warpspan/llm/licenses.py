@@ -9,9 +9,6 @@ Finding every such block needs few comparisons:
 
 * prefix: a block that holds ``need`` of k words must hold one of the
   template's ``k - need + 1`` rarest; only occurrences of these are looked at;
-* position: a block that first meets the template at its i-th rarest word can
-  hold at most ``k - i`` of its words, so later prefix words count only if no
-  rarer one of the template stands in the block;
 * length: a block shorter than ``need`` words at a text's end is left out.
 
 What passes is verified by counting. A phrase (``ordered``) must also have its
