@@ -127,8 +127,50 @@ def test_plans(data):
     assert plan.index("ArrowEvalPython") < plan.index("BroadcastNestedLoopJoin")  # the filter sits in the join's condition
     assert "CartesianProduct" not in plan
     index = boxindex.build(db, N, page_rows=10)
-    reach = search.candidates(index, search.page_distances(index, boxindex.query_boxes(queries, W, index.cover), 1), None, 1)
-    assert reach.columns == ["query_id", "series_id", "box"]
+    hits = search.page_distances(index, boxindex.query_boxes(queries, W, index.cover), 1).select("query_id", "page_id")
+    plan = search.reached(index, hits, 6)._jdf.queryExecution().executedPlan().toString()
+    joined = plan.index("BroadcastHashJoin")
+    assert "SortMergeJoin" not in plan and "Scan" in plan[joined:]  # arrays meet their pages where they lie
+
+
+@pytest.mark.parametrize("method", ["box_only", "box_pass1", "box_pass2"])
+@pytest.mark.parametrize("page_rows", [10, 56, boxindex.LARGE_PAGE])
+def test_box_methods_go_by_pages(data, monkeypatch, method, page_rows):
+    rows, queries, db = data
+
+    def scanned(*_):
+        raise AssertionError("a box method scanned")
+
+    monkeypatch.setattr(search, "scan", scanned)
+    index = boxindex.build(db, N, page_rows=page_rows)
+    assert index.pages.count() == (1 if page_rows > 200 else index.pages.select("page_id").distinct().count())
+    assert answers(search.nearest(queries, index, W, k=3, method=method)) == brute(rows, queries, db, 3)
+    reach = search.reach_counts(queries, index, W, k=3).collect()
+    assert len(reach) == 6 and all(0 < r.pages_reached <= r.pages and r.points == 114 for r in reach)
+    if page_rows == 10:
+        assert sum(r.points_reached for r in reach) < 6 * 114
+
+
+def test_stored_index_reads_the_folders_in_reach(spark, data, tmp_path, monkeypatch):
+    rows, queries, db = data
+    monkeypatch.setattr(boxindex, "GROUP_PAGES", 2)
+    boxindex.write(boxindex.build(db, N, page_rows=6), str(tmp_path / "i"))
+    index = boxindex.read(spark, str(tmp_path / "i"))
+    assert index.paged.select("page_group").distinct().count() > 3
+    hits = search.page_distances(index, boxindex.query_boxes(queries, W, index.cover), 1).where("page_bound < 50").select("query_id", "page_id")
+    plan = search.reached(index, hits, 6)._jdf.queryExecution().executedPlan().toString()
+    assert "dynamicpruning" in plan.lower()
+    assert answers(search.nearest(queries, index, W, k=2)) == brute(rows, queries, db, 2)
+
+
+def test_early_abandoning_of_both_passes(data):
+    rows, queries, db = data
+    index = boxindex.build(db, N, page_rows=10)
+    for method in ("scan_pass1", "scan_pass2", "box_pass1", "box_pass2"):
+        source = index if method.startswith("box") else db
+        assert answers(search.nearest(queries, source, W, k=3, method=method, early_abandon=True)) == brute(rows, queries, db, 3)
+    read = {e: search.live_counters(queries, db.coalesce(1), W, early_abandon=e).agg(F.sum("samples_read")).first()[0] for e in (False, True)}
+    assert read[True] <= read[False]
 
 
 def test_sequential_counts_follow_the_sequential_run(data):
@@ -148,6 +190,8 @@ def test_sequential_counts_follow_the_sequential_run(data):
                     done += 1
                     b = min(b, K.dtw_pow(x, y, W)[0])
             assert counts[q.query_id, method] == done
+    whole = {r.method: r for r in measures.distinct_survivors(bounds, ["scan_pass1", "scan_pass2"]).collect()}
+    assert all(r.sketch_agrees for r in whole.values()) and whole["scan_pass2"].survivors <= whole["scan_pass1"].survivors
     boxes = {(r.query_id, r.method): r.dtw_done for r in measures.sequential_counts(bounds, ["box_only", "box_pass1", "box_pass2"]).collect()}
     for q in {q for q, _ in boxes}:
         assert boxes[q, "box_pass2"] <= boxes[q, "box_pass1"] <= boxes[q, "box_only"]

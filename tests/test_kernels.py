@@ -130,6 +130,12 @@ def test_unequal_lengths_and_abandoning():
     full = K.pass1_pow(x, lo, hi)
     part, read = K.abandoning_pass1(x, lo, hi, np.median(full))
     assert (part <= full + 1e-9).all() and ((part < np.median(full)) == (full < np.median(full))).all() and read <= x.size
+    for p in (1, 2, math.inf):
+        first, both = K.pass1_pow(x, lo, hi, p), K.pass2_pow(x, y, lo, hi, 5, p)
+        assert np.allclose(K.abandoning_pass2(x, y, lo, hi, 5, first, np.inf, p, 7)[0], both)
+        limit = np.median(both)
+        part, read = K.abandoning_pass2(x, y, lo, hi, 5, first, limit, p, 7)
+        assert (part <= both + 1e-9).all() and ((part < limit) == (both < limit)).all() and read < x.size
 
 
 def test_paths_are_minimal_and_cheapest():

@@ -160,12 +160,39 @@ def abandoning_pass1(x: np.ndarray, lo: np.ndarray, hi: np.ndarray, limit: np.nd
     return out, read
 
 
+def abandoning_pass2(
+    x: np.ndarray, y: np.ndarray, lo: np.ndarray, hi: np.ndarray, w: int, first: np.ndarray, limit: np.ndarray, p: float = 1, chunk: int = 64
+) -> tuple[np.ndarray, int]:
+    """Both passes from the first one's values on, given up for a row once its partial value reaches ``limit``.
+
+    Only the stretch of the second envelope that the next samples need is
+    made. Rows that were given up hold the partial value. Also says how many
+    samples of y were compared.
+    """
+    rows, n = x.shape
+    y, lo, hi = (np.broadcast_to(side, x.shape) for side in (y, lo, hi))
+    out = np.array(first, dtype=float)
+    live, read = np.arange(rows), 0
+    for start in range(0, n, chunk):
+        live = live[out[live] < np.broadcast_to(limit, (rows,))[live]]
+        if not len(live):
+            break
+        end = min(n, start + chunk)
+        near = slice(max(0, start - w), min(n, end + w))
+        low, high = envelope(clamp(x[live, near], lo[live, near], hi[live, near]), w)
+        part = slice(start - near.start, end - near.start)
+        out[live] = add(out[live], pass1_pow(y[live, start:end], low[:, part], high[:, part], p), p)
+        read += len(live) * (end - start)
+    return out, read
+
+
 def dtw_pow(x: np.ndarray, y: np.ndarray, w: int | None = None, p: float = 1) -> np.ndarray:
     """Powered banded warping distance of the pairs (x[b], y[b]).
 
     The anti-diagonals i + j = k of the table are solved one after another,
     each for all pairs at once; only the last two are kept. Slot i + 1 of a
-    diagonal holds cell (i, k - i); everything outside the band stays infinite.
+    diagonal holds cell (i, k - i). A diagonal's cells have infinite slots on
+    both sides, which is all that the next two read beyond them.
     """
     x, y = np.atleast_2d(np.asarray(x, dtype=float)), np.atleast_2d(np.asarray(y, dtype=float))
     pairs = max(x.shape[0], y.shape[0])
@@ -175,20 +202,27 @@ def dtw_pow(x: np.ndarray, y: np.ndarray, w: int | None = None, p: float = 1) ->
         return np.full(pairs, INF)
     # Time first, so that a diagonal's slice is a block of rows.
     a, b = np.ascontiguousarray(x.T), np.ascontiguousarray(y[:, ::-1].T)
-    older, old, new = (np.full((n + 1, pairs), INF) for _ in range(3))
+    older, old, new = (np.full((n + 2, pairs), INF) for _ in range(3))
+    widest = min(n, m, w + 1)
+    gaps, least = np.empty((widest, pairs)), np.empty((widest, pairs))
     for k in range(n + m - 1):
         first = max(0, k - m + 1, -((w - k) // 2))
         last = min(n - 1, k, (k + w) // 2)
-        new.fill(INF)
+        new[first] = new[last + 2] = INF
         if first <= last:
+            c, best = gaps[: last - first + 1], least[: last - first + 1]
             # b is reversed: y[k - i] is b[m - 1 - k + i].
-            c = cost(a[first : last + 1] - b[m - 1 - k + first : m - k + last], p)
+            np.subtract(a[first : last + 1], b[m - 1 - k + first : m - k + last], out=c)
+            if p in (1, INF):
+                np.abs(c, out=c)
+            else:
+                c[...] = cost(c, p)
             if k == 0:
                 new[1] = c[0]
             else:
-                best = np.minimum(old[first : last + 1], old[first + 1 : last + 2])
+                np.minimum(old[first : last + 1], old[first + 1 : last + 2], out=best)
                 np.minimum(best, older[first : last + 1], out=best)
-                new[first + 1 : last + 2] = np.maximum(c, best) if p == INF else c + best
+                (np.maximum if p == INF else np.add)(c, best, out=new[first + 1 : last + 2])
         older, old, new = old, new, older
     return old[n].copy()
 

@@ -28,6 +28,8 @@ from warpspan.functions import kernels
 D = 8
 #: Points of a page: 4096 bytes hold 56 of eight sums and an id. A cluster takes far larger pages.
 SMALL_PAGE, LARGE_PAGE = 56, 65_536
+#: Pages of one folder of a stored index; a search leaves out the folders that it doesn't reach.
+GROUP_PAGES = 256
 
 Cover = list[tuple[int, int]]
 
@@ -88,10 +90,13 @@ def page_bound_pow(cover: Cover, p: float = 1) -> Column:
 
 
 class BoxIndex(NamedTuple):
-    series: DataFrame
+    """``points`` has ``series_id, s1 .. sd, page_id``, ``pages`` a row a page, ``paged`` the arrays with their page."""
+
+    paged: DataFrame
     points: DataFrame
     pages: DataFrame
     cover: Cover
+    n_pages: int
 
 
 def _edges(values: DataFrame, column: str, tiles: int) -> list[float]:
@@ -100,34 +105,56 @@ def _edges(values: DataFrame, column: str, tiles: int) -> list[float]:
     return list(found or [])
 
 
-def with_pages(points: DataFrame, page_rows: int = LARGE_PAGE, n_points: int | None = None) -> DataFrame:
-    """Adds ``page_id``: strips by quantiles of s1, tiles in them by quantiles of s2."""
+class Tiling(NamedTuple):
+    """Strips by edges of s1, tiles in each strip by edges of s2."""
+
+    first: np.ndarray
+    second: dict[int, np.ndarray]
+    per_strip: int
+
+    @property
+    def n_pages(self) -> int:
+        return (len(self.first) + 1) * self.per_strip
+
+    def page_of(self, s1: Column, s2: Column) -> Column:
+        first, second, per_strip = self.first, self.second, self.per_strip
+
+        @F.arrow_udf("int")
+        def page(a: pa.Array, b: pa.Array) -> pa.Array:
+            x, y = a.to_numpy(zero_copy_only=False), b.to_numpy(zero_copy_only=False)
+            strips_of = np.searchsorted(first, x)
+            out = strips_of * per_strip
+            for s in np.unique(strips_of):
+                if s in second:
+                    mine = strips_of == s
+                    out[mine] += np.searchsorted(second[s], y[mine])
+            return pa.array(out.astype(np.int32))
+
+        return page(s1, s2)
+
+
+def tiling(points: DataFrame, page_rows: int = LARGE_PAGE, n_points: int | None = None) -> Tiling:
+    """Edges of pages of about ``page_rows`` points; as many numbers as pages come to the driver."""
     n_pages = max(1, math.ceil((points.count() if n_points is None else n_points) / page_rows))
     if n_pages == 1:
-        return points.withColumn("page_id", F.lit(0))
+        return Tiling(np.array([]), {}, 1)
     strips = max(1, math.ceil(math.sqrt(n_pages)))
     per_strip = math.ceil(n_pages / strips)
     first = np.array(_edges(points, "s1", strips))
-    strip = _bin_of(first)
     second: dict[int, np.ndarray] = {}
     if per_strip > 1 and "s2" in points.columns:
+        strip = _bin_of(first)
         shares = [k / per_strip for k in range(1, per_strip)]
         rows = points.groupBy(strip("s1").alias("strip")).agg(F.percentile_approx("s2", shares, 10_000).alias("e")).collect()
         second = {r.strip: np.array(r.e) for r in rows}
+    return Tiling(first, second, per_strip)
 
-    @F.arrow_udf("int")
-    def page(a: pa.Array, b: pa.Array) -> pa.Array:
-        x, y = a.to_numpy(zero_copy_only=False), b.to_numpy(zero_copy_only=False)
-        strips_of = np.searchsorted(first, x)
-        out = strips_of * per_strip
-        for s in np.unique(strips_of):
-            if s in second:
-                mine = strips_of == s
-                out[mine] += np.searchsorted(second[s], y[mine])
-        return pa.array(out.astype(np.int32))
 
-    other = "s2" if "s2" in points.columns else "s1"
-    return points.withColumn("page_id", page("s1", other))
+def with_pages(points: DataFrame, tiles: Tiling) -> DataFrame:
+    """Adds ``page_id``, which follows from a row's sums alone."""
+    if tiles.n_pages == 1:
+        return points.withColumn("page_id", F.lit(0))
+    return points.withColumn("page_id", tiles.page_of(F.col("s1"), F.col("s2" if "s2" in points.columns else "s1")))
 
 
 def _bin_of(edges: np.ndarray):
@@ -144,30 +171,48 @@ def page_table(points: DataFrame, d: int) -> DataFrame:
     return points.groupBy("page_id").agg(F.count("*").alias("rows"), *sides)
 
 
+def _paged(series: DataFrame, cover: Cover, tiles: Tiling) -> DataFrame:
+    """The series with their pages. A page follows from a series' own sums, so no join is needed."""
+    sums = X.piecewise_sums("v", cover)[:2]
+    others = [name for name in ("label",) if name in series.columns]
+    return with_pages(series.select("series_id", "v", *others, *sums), tiles).drop("s1", "s2")
+
+
 def build(series: DataFrame, n: int, d: int = D, page_rows: int = LARGE_PAGE, cover: Cover | None = None) -> BoxIndex:
     """The index over packed series of n samples; ``write`` stores it.
 
-    Several steps read the points, so these (d numbers a series) are kept in
-    memory and on disk until ``release``.
+    Several steps read the points, so these (d numbers a series) and the page
+    table are kept in memory and on disk until ``release``.
     """
     cover = check_cover(cover or floor_cover(n, d), n)
-    points = with_pages(points_of(series, cover).persist(StorageLevel.MEMORY_AND_DISK), page_rows)
-    return BoxIndex(series, points, page_table(points, len(cover)), cover)
+    points = points_of(series, cover).persist(StorageLevel.MEMORY_AND_DISK)
+    tiles = tiling(points, page_rows)
+    placed = with_pages(points, tiles)
+    pages = page_table(placed, len(cover)).persist(StorageLevel.MEMORY_AND_DISK)
+    return BoxIndex(_paged(series, cover, tiles), placed, pages, cover, tiles.n_pages)
 
 
-def release(index: BoxIndex) -> None:
-    """Lets go of the points that ``build`` kept."""
-    points_of(index.series, index.cover).unpersist()
+def release(index: BoxIndex, series: DataFrame) -> None:
+    """Lets go of what ``build`` kept of ``series``."""
+    points_of(series, index.cover).unpersist()
+    index.pages.unpersist()
+
+
+def page_group() -> Column:
+    return F.floor(F.col("page_id") / GROUP_PAGES).cast("int")
 
 
 def write(index: BoxIndex, path: str) -> None:
-    """Points sorted by page, the page table, the cover, and the series by page, as Parquet."""
-    spark = index.series.sparkSession
-    index.points.repartitionByRange("page_id").sortWithinPartitions("page_id").write.mode("overwrite").parquet(f"{path}/points")
-    stored = spark.read.parquet(f"{path}/points")
-    page_table(stored, len(index.cover)).write.mode("overwrite").parquet(f"{path}/pages")
-    paged = index.series.join(stored.select("series_id", "page_id"), "series_id")
-    paged.repartitionByRange("page_id").sortWithinPartitions("page_id", "series_id").write.mode("overwrite").parquet(f"{path}/series")
+    """Points and series in the order of pages, the page table and the cover, as Parquet.
+
+    ``page_group`` names the folder of the arrays. A join with the pages in
+    reach prunes by it while it runs, so that the rest is never read.
+    """
+    spark = index.paged.sparkSession
+    in_order = lambda rows: rows.repartitionByRange("page_id", "series_id").sortWithinPartitions("page_id", "series_id")
+    in_order(index.points).write.mode("overwrite").parquet(f"{path}/points")
+    in_order(index.paged).withColumn("page_group", page_group()).write.mode("overwrite").partitionBy("page_group").parquet(f"{path}/series")
+    page_table(spark.read.parquet(f"{path}/points"), len(index.cover)).write.mode("overwrite").parquet(f"{path}/pages")
     spark.createDataFrame([(k, a, b) for k, (a, b) in enumerate(index.cover)], "k int, start int, after int").coalesce(1).write.mode(
         "overwrite"
     ).parquet(f"{path}/cover")
@@ -176,17 +221,21 @@ def write(index: BoxIndex, path: str) -> None:
 def read(spark: SparkSession, path: str) -> BoxIndex:
     cover = [(r.start, r.after) for r in spark.read.parquet(f"{path}/cover").orderBy("k").collect()]
     load = lambda name: spark.read.parquet(f"{path}/{name}")
-    return BoxIndex(load("series"), load("points"), load("pages"), cover)
+    return BoxIndex(load("series"), load("points"), load("pages"), cover, load("pages").count())
 
 
 def append(index: BoxIndex, more: DataFrame, page_rows: int = LARGE_PAGE) -> BoxIndex:
     """The index with further series in pages of their own, numbered after the present ones."""
     last = index.pages.agg(F.coalesce(F.max("page_id"), F.lit(-1)).alias("m")).first().m
-    added = with_pages(points_of(more, index.cover), page_rows).withColumn("page_id", F.col("page_id") + last + 1)
-    points = index.points.unionByName(added.select(*index.points.columns))
-    pages = index.pages.unionByName(page_table(added, len(index.cover)).select(*index.pages.columns))
-    names = ["series_id", "v", "label"]
-    return BoxIndex(index.series.select(*names).unionByName(more.select(*names)), points, pages, index.cover)
+    points = points_of(more, index.cover)
+    tiles = tiling(points, page_rows)
+    after = lambda rows: rows.withColumn("page_id", F.col("page_id") + last + 1)
+    placed = after(with_pages(points, tiles))
+    both = lambda old, new: old.unionByName(new.select(*old.columns))
+    return BoxIndex(
+        both(index.paged, after(_paged(more, index.cover, tiles)).withColumn("page_group", page_group())), both(index.points, placed),
+        both(index.pages, page_table(placed, len(index.cover))), index.cover, index.n_pages + tiles.n_pages,
+    )
 
 
 def box_pow(sums: np.ndarray, lo: np.ndarray, hi: np.ndarray, cover: Cover, p: float = 1) -> np.ndarray:

@@ -93,6 +93,26 @@ def sequential_counts(bounds: DataFrame, methods: list[str], by: list[str] = ["q
     return ranked.groupBy(*by).agg(*sums).select(*by, F.inline(F.array(*rows)))
 
 
+def survivors(bounds: DataFrame, methods: list[str]) -> DataFrame:
+    """``method, query_id, series_id`` of the candidates that get a distance."""
+    outs = []
+    for method in methods:
+        tests, order = SEQUENTIAL[method]
+        left = bounds.withColumn("limit", _limit(order))
+        for name in tests:
+            left = left.where(F.col(name) < F.col("limit"))
+        outs.append(left.select(F.lit(method).alias("method"), "query_id", "series_id"))
+    return search._union(outs)
+
+
+def distinct_survivors(bounds: DataFrame, methods: list[str], error: float = 0.05) -> DataFrame:
+    """Series that any query computes a distance to, exactly, and whether a sketch of fixed size agrees to three times its error."""
+    left = survivors(bounds, methods).groupBy("method")
+    both = left.agg(F.count_distinct("series_id").alias("survivors"), F.approx_count_distinct("series_id", error).alias("sketch"))
+    close = F.abs(F.col("sketch") - F.col("survivors")) <= F.greatest(F.lit(1.0), 3 * error * F.col("survivors"))
+    return both.select("method", "survivors", close.alias("sketch_agrees"))
+
+
 def stage_histogram(bounds: DataFrame, order: list[str] = ["box", "series_id"]) -> DataFrame:  # noqa: B006
     """Candidates of each query by the last stage they reach: box, pass1, pass2 or dtw."""
     limit = F.col("limit")

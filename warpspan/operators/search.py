@@ -16,11 +16,17 @@ keeps the k best of each query and its own limit, which only falls and is
 always the distance of some candidate, so tasks need nothing of each other. A
 candidate is dropped only if a bound is above the limit; ties at the limit are
 computed and the smaller id wins.
+
+The box methods always go by pages: a query's nearest pages give it a first
+limit, then the arrays of the pages within that limit are read where they lie
+and each page's rows meet only the queries that reach it. Nothing is shuffled
+but the page table's few rows.
 """
 
 from __future__ import annotations
 
-import bisect
+import heapq
+import time
 from collections.abc import Iterator
 from typing import NamedTuple
 
@@ -41,15 +47,14 @@ METHODS = {
 }
 #: Samples of queries that one task holds: 64 MB with their envelopes.
 QUERY_VALUES = 2_500_000
-#: Pairs that the distance kernel takes at once.
-CHUNK = 64
-#: Where the pages in reach hold more of the points than this, fetching arrays
-#: by id would move most of the data; they are scanned in place instead.
-MOST_REACHED = 0.3
+#: Pairs that the distance kernel takes at first and at most; in between the number doubles.
+CHUNK, MOST_CHUNK = 64, 512
+#: Pairs of a page and a query that reaches it which are sent to every task; more are joined by a shuffle.
+MOST_HITS = 5_000_000
 
 _FOUND = pa.schema([("query_id", pa.int64()), ("series_id", pa.int64()), ("power", pa.float64()), ("counts", pa.list_(pa.int64()))])
 _FOUND_TYPES = "query_id bigint, series_id bigint, power double, counts array<bigint>"
-COUNTERS = ("candidates", "after_pass1", "after_pass2", "dtw_done", "samples_read")
+COUNTERS = ("candidates", "after_box", "after_pass1", "after_pass2", "dtw_done", "samples_read", "bound_ns", "dtw_ns")
 
 
 class Query(NamedTuple):
@@ -68,7 +73,7 @@ class Plan(NamedTuple):
     early_abandon: bool = False
     exclude_self: bool = False
     eps: float | None = None
-    #: Intervals for the box bound where arrays are scanned without their points.
+    #: Intervals of the index that is searched.
     cover: tuple[tuple[int, int], ...] | None = None
 
 
@@ -92,7 +97,11 @@ def query_tiles(queries: DataFrame, w: int | None, most_values: int = QUERY_VALU
 
 
 class Best:
-    """The k best candidates of a query so far, and the limit beyond which none can enter."""
+    """The k best candidates of a query so far, and the limit beyond which none can enter.
+
+    With a range (``eps``) the limit is fixed and matches wait only until the
+    task has written them, so a task holds no more than a batch of them.
+    """
 
     def __init__(self, plan: Plan, limit: float):
         self.plan, self.seed, self.rows = plan, limit, []
@@ -105,48 +114,66 @@ class Best:
         return min(self.seed, self.rows[self.plan.k - 1][0])
 
     def offer(self, powers: np.ndarray, ids: np.ndarray) -> None:
-        limit = self.limit
-        for power, series_id in zip(powers.tolist(), ids.tolist(), strict=True):
-            if power <= limit:
-                bisect.insort(self.rows, (power, series_id))
-        if self.plan.eps is None:
-            del self.rows[self.plan.k :]
+        near = powers <= self.limit
+        new = list(zip(powers[near].tolist(), ids[near].tolist(), strict=True))
+        if self.plan.eps is not None:
+            self.rows += new
+        elif new:
+            self.rows = heapq.nsmallest(self.plan.k, self.rows + new)
 
     def refine(self, query: Query, ids: np.ndarray, x: np.ndarray, sums: np.ndarray | None = None) -> None:
         """The cascade over a block of candidates, cheapest bound first; ``sums`` are their points for the box bound."""
-        plan = self.plan
+        plan, started = self.plan, time.perf_counter_ns()
         self.counts[0] += len(ids)
         bound = np.zeros(len(ids))
         if sums is not None:
             bound = boxindex.box_pow(sums, query.lo, query.hi, plan.cover, plan.p)
             alive = bound <= self.limit
             ids, x, bound = ids[alive], x[alive], bound[alive]
+        self.counts[1] += len(ids)
+        # What can't enter is given up at the least value above the limit, so that ties stay.
+        beyond = lambda: np.nextafter(self.limit, np.inf)
         if "pass1" in plan.passes:
             if plan.early_abandon:
-                bound, read = kernels.abandoning_pass1(x, query.lo, query.hi, np.nextafter(self.limit, np.inf), plan.p)
+                bound, read = kernels.abandoning_pass1(x, query.lo, query.hi, beyond(), plan.p)
             else:
                 bound, read = kernels.pass1_pow(x, query.lo, query.hi, plan.p), x.size
-            self.counts[4] += read
+            self.counts[5] += read
             alive = bound <= self.limit
             ids, x, bound = ids[alive], x[alive], bound[alive]
-        self.counts[1] += len(ids)
+        self.counts[2] += len(ids)
         order = np.argsort(bound, kind="stable")
-        for start in range(0, len(order), CHUNK):
-            block = order[start : start + CHUNK]
+        distance_ns, start, take = 0, 0, CHUNK
+        while start < len(order):
+            block = order[start : start + take]
+            start, take = start + take, min(2 * take, MOST_CHUNK)
             block = block[bound[block] <= self.limit]
             if not len(block):
                 break
             if "pass2" in plan.passes:
-                more = kernels.gap2_pow(x[block], query.y, query.lo, query.hi, plan.w, plan.p)
-                block = block[kernels.add(bound[block], more, plan.p) <= self.limit]
-                self.counts[4] += len(more) * x.shape[1]
-            self.counts[2] += len(block)
+                if plan.early_abandon:
+                    both, read = kernels.abandoning_pass2(x[block], query.y, query.lo, query.hi, plan.w, bound[block], beyond(), plan.p)
+                else:
+                    more = kernels.gap2_pow(x[block], query.y, query.lo, query.hi, plan.w, plan.p)
+                    both, read = kernels.add(bound[block], more, plan.p), len(block) * x.shape[1]
+                self.counts[5] += read
+                block = block[both <= self.limit]
+            self.counts[3] += len(block)
             if len(block):
-                self.counts[3] += len(block)
+                self.counts[4] += len(block)
+                begun = time.perf_counter_ns()
                 self.offer(kernels.dtw_pow(x[block], query.y, plan.w, plan.p), ids[block])
+                distance_ns += time.perf_counter_ns() - begun
+        self.counts[6] += time.perf_counter_ns() - started - distance_ns
+        self.counts[7] += distance_ns
+
+    def drained(self, query_id: int) -> list[tuple]:
+        """The rows so far, which are then forgotten."""
+        rows, self.rows = self.rows, []
+        return [(query_id, series_id, power, None) for power, series_id in rows]
 
     def output(self, query_id: int) -> list[tuple]:
-        return [(query_id, series_id, power, None) for power, series_id in self.rows] + [(query_id, None, None, self.counts.tolist())]
+        return [*self.drained(query_id), (query_id, None, None, self.counts.tolist())]
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
@@ -169,47 +196,58 @@ def _shared(shared) -> tuple[dict[int, Query], dict[int, float]]:
     return {q: Query(*x) for q, x in queries.items()}, limits
 
 
+def _start(plan: Plan) -> float:
+    return float("inf") if plan.eps is None else kernels.power(plan.eps, plan.p)
+
+
 def scan(series: DataFrame, tile: dict[int, Query], plan: Plan, limits: dict[int, float] | None = None) -> DataFrame:
     """Each task's best candidates of each query, from a scan of all series."""
     shared = _share(series, tile, limits)
 
     def run(source):
         queries, seeds = _shared(shared)
-        start = float("inf") if plan.eps is None else kernels.power(plan.eps, plan.p)
-        best = {q: Best(plan, seeds.get(q, start)) for q in queries}
+        best = {q: Best(plan, seeds.get(q, _start(plan))) for q in queries}
         for batch in source:
             if not batch.num_rows:
                 continue
             ids, x = batch.column(0).to_numpy(), matrix(batch.column(1))
-            sums = None if plan.cover is None else kernels.piecewise_sums(x, plan.cover)
             for q, query in queries.items():
                 _lengths_agree(x, query)
                 mine = ids != q if plan.exclude_self else slice(None)
-                best[q].refine(query, ids[mine], x[mine], None if sums is None else sums[mine])
+                best[q].refine(query, ids[mine], x[mine])
+                if plan.eps is not None and best[q].rows:
+                    yield _batch(best[q].drained(q))
         yield _batch([row for q in queries for row in best[q].output(q)])
 
     return series.select("series_id", "v").mapInArrow(run, _FOUND_TYPES)
 
 
-def refine_pairs(pairs: DataFrame, tile: dict[int, Query], plan: Plan, limits: dict[int, float] | None = None) -> DataFrame:
-    """The same for chosen pairs ``query_id, series_id, v``."""
-    shared = _share(pairs, tile, limits)
+def refine_pages(paged: DataFrame, tile: dict[int, Query], plan: Plan, limits: dict[int, float] | None = None) -> DataFrame:
+    """The same for rows ``owners, series_id, v``, where ``owners`` lists the queries that reach the row's page."""
+    shared = _share(paged, tile, limits)
 
     def run(source):
         queries, seeds = _shared(shared)
-        start = float("inf") if plan.eps is None else kernels.power(plan.eps, plan.p)
         best: dict[int, Best] = {}
         for batch in source:
             if not batch.num_rows:
                 continue
-            owners, ids, x = batch.column(0).to_numpy(), batch.column(1).to_numpy(), matrix(batch.column(2))
-            for q in np.unique(owners).tolist():
+            owners, ids, x = batch.column(0), batch.column(1).to_numpy(), matrix(batch.column(2))
+            sums = kernels.piecewise_sums(x, plan.cover)
+            row = np.repeat(np.arange(len(ids)), np.asarray(owners.value_lengths()))
+            owner = owners.flatten().to_numpy()
+            for q in np.unique(owner).tolist():
                 _lengths_agree(x, queries[q])
-                mine = owners == q if not plan.exclude_self else (owners == q) & (ids != q)
-                best.setdefault(q, Best(plan, seeds.get(q, start))).refine(queries[q], ids[mine], x[mine])
+                mine = row[owner == q]
+                if plan.exclude_self:
+                    mine = mine[ids[mine] != q]
+                own = best.setdefault(q, Best(plan, seeds.get(q, _start(plan))))
+                own.refine(queries[q], ids[mine], x[mine], sums[mine])
+                if plan.eps is not None and own.rows:
+                    yield _batch(own.drained(q))
         yield _batch([row for q, b in best.items() for row in b.output(q)])
 
-    return pairs.select("query_id", "series_id", "v").mapInArrow(run, _FOUND_TYPES)
+    return paged.select("owners", "series_id", "v").mapInArrow(run, _FOUND_TYPES)
 
 
 def merged(found: DataFrame, k: int, p: float) -> DataFrame:
@@ -225,8 +263,11 @@ def counters(found: DataFrame) -> DataFrame:
     return found.where("series_id is null").groupBy("query_id").agg(*sums)
 
 
-def _query_frame(spark: SparkSession, tile: dict[int, Query]) -> DataFrame:
-    return spark.createDataFrame([(q, x.y.tolist()) for q, x in tile.items()], "query_id bigint, y array<double>")
+def _box_frame(spark: SparkSession, tile: dict[int, Query], cover: boxindex.Cover) -> DataFrame:
+    """``query_id, lo1 .. lod, hi1 .. hid`` of a tile, from the envelopes that the driver has."""
+    names = [f"{side}{k}" for side in ("lo", "hi") for k in range(1, len(cover) + 1)]
+    rows = [(q, *kernels.piecewise_sums(x.lo, cover).tolist(), *kernels.piecewise_sums(x.hi, cover).tolist()) for q, x in tile.items()]
+    return spark.createDataFrame(rows, ", ".join(["query_id bigint", *(f"{name} double" for name in names)]))
 
 
 def page_distances(index: boxindex.BoxIndex, boxes: DataFrame, p: float) -> DataFrame:
@@ -234,24 +275,20 @@ def page_distances(index: boxindex.BoxIndex, boxes: DataFrame, p: float) -> Data
     return index.pages.crossJoin(F.broadcast(boxes)).withColumn("page_bound", boxindex.page_bound_pow(index.cover, p))
 
 
-def _box_columns(d: int) -> list[str]:
-    return [f"{side}{k}" for side in ("lo", "hi") for k in range(1, d + 1)]
-
+def reached(index: boxindex.BoxIndex, hits: DataFrame, n_queries: int) -> DataFrame:
+    """``owners, series_id, v``: the arrays of the pages in ``hits`` (``query_id, page_id``), each with its queries.
 
-def candidates(index: boxindex.BoxIndex, page_hits: DataFrame, limits: DataFrame | None, p: float) -> DataFrame:
-    """``query_id, series_id, box`` of points in the hit pages whose box bound is within the limit.
-
-    Only page ids and the d sums are read; the arrays are fetched for what is left.
+    The page table's part of this is sent to all tasks where pages and queries
+    are few enough; the arrays are never shuffled then.
     """
-    hits = page_hits.select("query_id", "page_id", *_box_columns(len(index.cover)))
-    near = index.points.join(hits, "page_id").withColumn("box", boxindex.point_bound_pow(index.cover, p))
-    if limits is not None:
-        near = near.join(F.broadcast(limits), "query_id").where("box <= `limit`")
-    return near.select("query_id", "series_id", "box")
-
-
-def with_arrays(index: boxindex.BoxIndex, chosen: DataFrame) -> DataFrame:
-    return chosen.join(index.series.select("series_id", "v"), "series_id")
+    # The filter holds for every row; it marks this side as one to prune folders by.
+    owners = hits.groupBy("page_id").agg(F.collect_list("query_id").alias("owners")).where(F.size("owners") > 0)
+    keys = ["page_id"]
+    if "page_group" in index.paged.columns:
+        owners, keys = owners.withColumn("page_group", boxindex.page_group()), ["page_group", "page_id"]
+    if index.n_pages * n_queries <= MOST_HITS:
+        owners = F.broadcast(owners)
+    return index.paged.join(owners, keys).select("owners", "series_id", "v")
 
 
 def _kth_limits(found: DataFrame, plan: Plan) -> dict[int, float]:
@@ -260,38 +297,37 @@ def _kth_limits(found: DataFrame, plan: Plan) -> dict[int, float]:
     return {r.query_id: r.dist for r in top.select("query_id", "dist").collect()}
 
 
-def _share_reached(index: boxindex.BoxIndex, hits: DataFrame) -> float:
-    """The share of all points that stand in pages which some query reaches; one row comes to the driver."""
-    near = hits.select("page_id", "rows").distinct().agg(F.coalesce(F.sum("rows"), F.lit(0)).alias("near"))
-    row = near.crossJoin(index.pages.agg(F.sum("rows").alias("every"))).first()
-    return row.near / row.every if row.every else 0.0
+def nearest_pages(pages: DataFrame, k: int) -> DataFrame:
+    """Of ``page_distances``, each query's nearest pages that together hold more than k points."""
+    ranked = Window.partitionBy("query_id").orderBy("page_bound", "page_id")
+    earlier = F.coalesce(F.sum("rows").over(ranked.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return pages.withColumn("_ahead", earlier).where(F.col("_ahead") <= k)
 
 
-def _index_search(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan) -> DataFrame:
-    """Seed from each query's nearest page, then all pages and points within the seed's distance.
+def _limit_table(spark: SparkSession, tile: dict[int, Query], limits: dict[int, float], plan: Plan) -> DataFrame:
+    return F.broadcast(spark.createDataFrame([(q, limits.get(q, _start(plan))) for q in tile], "query_id bigint, `limit` double"))
+
+
+def seeded(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan) -> tuple[DataFrame, dict[int, float]]:
+    """The page hits ``query_id, page_id, rows, page_bound`` within each query's first limit, and these limits.
 
-    If these are many, the arrays are scanned where they lie, with the seeds as
-    limits and the box bound taken from the arrays: the same candidates, and no
-    shuffle.
+    A first limit is the k-th least distance in the query's nearest pages; of
+    a range search it is the range.
     """
-    spark = index.series.sparkSession
-    if index.pages.limit(2).count() < 2:
-        # One page prunes nothing as a page.
-        return scan(index.series, tile, plan._replace(cover=tuple(index.cover)))
-    boxes = boxindex.query_boxes(_query_frame(spark, tile), plan.w, index.cover)
-    pages = page_distances(index, boxes, plan.p)
+    spark = index.paged.sparkSession
+    pages = page_distances(index, _box_frame(spark, tile, index.cover), plan.p)
     limits: dict[int, float] = {}
     if plan.eps is None:
-        ranked = Window.partitionBy("query_id").orderBy("page_bound", "page_id")
-        first = pages.withColumn("_r", F.row_number().over(ranked)).where("_r = 1")
-        seeds = refine_pairs(with_arrays(index, candidates(index, F.broadcast(first), None, plan.p)), tile, plan)
-        limits = _kth_limits(seeds, plan)
-    start = float("inf") if plan.eps is None else kernels.power(plan.eps, plan.p)
-    table = spark.createDataFrame([(q, limits.get(q, start)) for q in tile], "query_id bigint, `limit` double")
-    hits = pages.join(F.broadcast(table), "query_id").where("page_bound <= `limit`")
-    if _share_reached(index, hits) > MOST_REACHED:
-        return scan(index.series, tile, plan._replace(cover=tuple(index.cover)), limits)
-    return refine_pairs(with_arrays(index, candidates(index, hits, table, plan.p)), tile, plan, limits)
+        limits = _kth_limits(refine_pages(reached(index, nearest_pages(pages, plan.k), len(tile)), tile, plan), plan)
+    table = _limit_table(spark, tile, limits, plan)
+    return pages.join(table, "query_id").where("page_bound <= `limit`").select("query_id", "page_id", "rows", "page_bound"), limits
+
+
+def _index_search(index: boxindex.BoxIndex, tile: dict[int, Query], plan: Plan) -> DataFrame:
+    """Seed from each query's nearest pages, then all pages and points within the seed's distance."""
+    plan = plan._replace(cover=tuple(index.cover))
+    hits, limits = seeded(index, tile, plan)
+    return refine_pages(reached(index, hits, len(tile)), tile, plan, limits)
 
 
 def search_rounds(index: boxindex.BoxIndex, queries: DataFrame, w: int | None = None, p: float = 1, k: int = 1, growth: int = 4, method: str = "box_pass2") -> DataFrame:
@@ -301,22 +337,20 @@ def search_rounds(index: boxindex.BoxIndex, queries: DataFrame, w: int | None =
     takes ``growth`` times as many pages of each query as the one before.
     """
     kernels.check_norm(p)
-    spark, outs = index.series.sparkSession, []
+    spark, outs = index.paged.sparkSession, []
     for tile, band in query_tiles(queries, w):
-        plan = Plan(band, p, k, METHODS[method])
-        boxes = boxindex.query_boxes(_query_frame(spark, tile), band, index.cover)
+        plan = Plan(band, p, k, METHODS[method], cover=tuple(index.cover))
         ranked = Window.partitionBy("query_id").orderBy("page_bound", "page_id")
-        pages = page_distances(index, boxes, p).withColumn("_r", F.row_number().over(ranked)).persist()
+        pages = page_distances(index, _box_frame(spark, tile, index.cover), p).withColumn("_r", F.row_number().over(ranked)).persist()
         best: dict[int, list[tuple[float, int]]] = {q: [] for q in tile}
         done, take = 0, 1
         while True:
-            limit = {q: rows[k - 1][0] if len(rows) >= k else float("inf") for q, rows in best.items()}
-            table = spark.createDataFrame(list(limit.items()), "query_id bigint, `limit` double")
-            reach = pages.where(F.col("_r") > done).join(F.broadcast(table), "query_id").where("page_bound <= `limit`")
-            piece = reach.where(F.col("_r") <= done + take)
+            limit = {q: rows[k - 1][0] for q, rows in best.items() if len(rows) >= k}
+            table = _limit_table(spark, tile, limit, plan)
+            reach = pages.where(F.col("_r") > done).join(table, "query_id").where("page_bound <= `limit`")
             if not reach.limit(1).count():
                 break
-            found = refine_pairs(with_arrays(index, candidates(index, piece, table, p)), tile, plan, limit)
+            found = refine_pages(reached(index, reach.where(F.col("_r") <= done + take), len(tile)), tile, plan, limit)
             for r in merged(found, k, 1).collect():
                 best[r.query_id] = sorted({*best[r.query_id], (r.dist, r.series_id)})[:k]
             done, take = done + take, take * growth
@@ -343,7 +377,7 @@ def _searched(queries: DataFrame, series: DataFrame | boxindex.BoxIndex, w: int
                 series = boxindex.build(series, n, min(boxindex.D, n))
             found.append(_index_search(series, tile, own))
         else:
-            rows = series.series if isinstance(series, boxindex.BoxIndex) else series
+            rows = series.paged if isinstance(series, boxindex.BoxIndex) else series
             found.append(scan(rows, tile, own))
     if not found:
         spark = queries.sparkSession
@@ -390,6 +424,22 @@ def within(queries: DataFrame, series: DataFrame | boxindex.BoxIndex, eps: float
     return found.select("query_id", "series_id", X.root(F.col("power"), p).alias("dist"))
 
 
+def reach_counts(queries: DataFrame, index: boxindex.BoxIndex, w: int | None = None, p: float = 1, k: int = 1) -> DataFrame:
+    """``query_id, pages, points, pages_reached, points_reached``: what the index leaves of the collection for each query.
+
+    Reached is what stands within the first limit, the k-th distance in the
+    nearest pages; how a search is cut into tasks doesn't change it.
+    """
+    outs = []
+    for tile, band in query_tiles(queries, w):
+        plan = Plan(band, p, k, METHODS["box_only"], cover=tuple(index.cover))
+        hits, _ = seeded(index, tile, plan)
+        every = index.pages.agg(F.count("*").alias("pages"), F.coalesce(F.sum("rows"), F.lit(0)).alias("points"))
+        near = hits.groupBy("query_id").agg(F.count("*").alias("pages_reached"), F.sum("rows").alias("points_reached"))
+        outs.append(near.crossJoin(F.broadcast(every)))
+    return _union(outs).select("query_id", "pages", "points", "pages_reached", "points_reached")
+
+
 def live_counters(queries: DataFrame, series: DataFrame | boxindex.BoxIndex, w: int | None = None, p: float = 1, method: str = "scan_pass2", early_abandon: bool = False) -> DataFrame:
     """What a search really computed, by query."""
     return counters(_searched(queries, series, w, Plan(0, p, 1, METHODS[method], early_abandon), method))

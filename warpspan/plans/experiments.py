@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from warpspan.functions import expressions as X
 from warpspan.operators import boxindex, classify, measures, search
 from warpspan.plans import oracles as O
-from warpspan.plans.methods import D, FIX, N, Q, W, answers_sql, workload
+from warpspan.plans.methods import D, FIX, N, PAGE_ROWS, Q, QUERY_COUNTS, W, answers_sql, indexed, workload
 from warpspan.plans.registry import query, register
 from warpspan.sources import files, generate
 from warpspan.sources import series as S
@@ -72,12 +72,13 @@ def error_within_limits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select("query_id", F.col("largest_error").cast("bigint").alias("largest_error"), F.col("most").cast("bigint").alias("most"), (F.col("largest_error") <= F.col("most")).alias("holds"))
 
 
-@query("pages_touched")
+@query("pages_touched", f"""WITH RECURSIVE {O.split(FIX, Q)}, {O.bounds(N, W)}, {O.warp(N, W)}, {O.pages(N, W, PAGE_ROWS)}
+ SELECT query_id, count(*) FILTER (WHERE page_bound <= b) AS touched, count(*) AS pages FROM page_hits JOIN (SELECT query_id, min(dtw) AS b FROM warp GROUP BY 1) USING (query_id) GROUP BY 1""")
 def pages_touched(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages of eight points within each query's nearest distance."""
-    queries, db = workload(spark, sf_dir)
-    limits = search.nearest(queries, db, W).select("query_id", F.col("dist").alias("limit"))
-    return measures.pages_touched(boxindex.build(db, N, D, page_rows=8), queries, W, limits)
+    queries, index = indexed(spark, sf_dir, PAGE_ROWS)
+    limits = search.nearest(queries, index, W).select("query_id", F.col("dist").alias("limit"))
+    return measures.pages_touched(index, queries, W, limits)
 
 
 def _power(counts: DataFrame, *by: str) -> DataFrame:
@@ -89,53 +90,76 @@ def _power_sql(rows: str, *by: str) -> str:
     return f"SELECT {keys}, floor((sum(candidates) - sum(dtw_done)) * 1000000 / sum(candidates))::BIGINT AS pruned_ppm, sum(dtw_done)::BIGINT AS dtw_done FROM ({rows}) GROUP BY {keys}"
 
 
-# Pruning power of all methods on every workload; twins where they are cheap enough.
+def _counted_sql(name: str, w: int, methods: list[str] = METHODS, d: int = D) -> str:
+    n = S.FIXTURES[name][1]
+    return f"WITH RECURSIVE {O.counted_only(name, QUERY_COUNTS.get(name, Q), n, w, d)} {O.counts(methods)}"
+
+
+#: Workloads whose samples are too many for SQL; tests hold their counts against a plain sequential run.
+NO_TWIN = {"char_walk"}
+#: What a band of 5, 10 and 20 % of n is.
+BANDS = lambda n: (n // 20, n // 10, n // 5)
+FRACTIONS = (0.2, 0.4, 0.6, 0.8, 1.0)
+DIMENSIONS = (4, 6, 8, 10, 12, 16)
+
+
+def _unless_long(name: str, sql: str) -> str | None:
+    return None if name in NO_TWIN else sql
+
+
+# Pruning power of all methods on every workload.
 for _name, (_, _n) in S.FIXTURES.items():
     register(
         f"pruning_{_name}",
         lambda s, d, name=_name, n=_n: _power(measures.sequential_counts(_bounds(s, d, name, n // 10), METHODS)),
-        f"WITH RECURSIVE {O.measured(_name, Q, _n, _n // 10)} {_power_sql(O.counts(METHODS))}" if _n <= 83 else None,
+        _unless_long(_name, _power_sql(f"({_counted_sql(_name, _n // 10)})")),
     )
 
-FRACTIONS = (0.2, 0.4, 0.6, 0.8, 1.0)
 
+def _fractions_sql(name: str) -> str:
+    n, listed = S.FIXTURES[name][1], ", ".join(map(str, FRACTIONS))
+    parts = f""", places AS (SELECT series_id, row_number() OVER (ORDER BY (z * z + 1) % 1000003, series_id) AS place, count(*) OVER () AS places FROM (SELECT series_id, (series_id * 7919 + 1299709) % 1000003 AS z FROM db)),
+ parts AS (SELECT b.*, fraction FROM bounds b JOIN places USING (series_id) CROSS JOIN (SELECT unnest([{listed}])::DOUBLE AS fraction) WHERE place <= ceil(fraction * places))"""
+    made = O.counted_only(name, QUERY_COUNTS.get(name, Q), n, n // 10, source="parts", keys="fraction, query_id", more=parts)
+    return f"WITH RECURSIVE {made} {_power_sql(O.counts(METHODS, 'm', 'fraction, query_id'), 'fraction')}"
 
-@query("fraction_sweep", f"""{_M}, h AS (SELECT series_id, (z * z + 1) % 1000003 / 1000003.0::DOUBLE AS place FROM (SELECT series_id, (series_id * 7919 + 1299709) % 1000003 AS z FROM db)),
- f AS (SELECT m.*, fraction FROM m JOIN h USING (series_id) JOIN (SELECT unnest([0.2, 0.4, 0.6, 0.8, 1.0])::DOUBLE AS fraction) ON place < fraction)
- {_power_sql(O.counts(METHODS, 'f', 'fraction, query_id'), 'fraction')}""")
-def fraction_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pruning power as the database grows, over nested prefixes in hash order."""
-    places = S.fraction_rank(workload(spark, sf_dir)[1]).select("series_id", "place")
-    fractions = F.array(*map(F.lit, FRACTIONS))
-    rows = _bounds(spark, sf_dir).join(places, "series_id").select("*", F.explode(fractions).alias("fraction")).where("place < fraction")
+
+def fraction_sweep(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """Pruning power as the database grows: the first ceil(f * N) series in hash order."""
+    n = S.FIXTURES[name][1]
+    queries, db = workload(spark, sf_dir, name)
+    places = S.fraction_rank(db).select("series_id", "place", "places")
+    bounds = measures.bound_table(queries, db, n // 10).join(places, "series_id")
+    rows = bounds.select("*", F.explode(F.array(*map(F.lit, FRACTIONS))).alias("fraction")).where("place <= ceil(fraction * places)")
     # A fraction and a query make one sequence.
     keyed = rows.withColumn("own", F.col("query_id")).withColumn("query_id", F.struct("fraction", "own"))
     return _power(measures.sequential_counts(keyed, METHODS, ["fraction", "query_id"]), "fraction")
 
 
-WIDTHS = (4, 8, 16)
+for _name in (FIX, "supplier_week_walk", "supplier_day_walk", "part_qty_raw", "user_raw", "char_walk", "word_walk"):
+    register(f"fraction_sweep_{_name}", lambda s, d, name=_name: fraction_sweep(s, d, name), _unless_long(_name, _fractions_sql(_name)))
 
 
-def _swept(values: tuple[int, ...], name: str, sql) -> str:
-    relations, rows = [], []
-    for v in values:
-        tag = f"{name}{v}"
-        relations.append(f"{tag} AS (SELECT * FROM ({sql(v)}))")
-        rows.append(f"SELECT {v} AS {name}, * FROM {tag}")
-    return f"WITH {', '.join(relations)} {_power_sql(' UNION ALL '.join(rows), name)}"
+def _swept_sql(values: tuple[int, ...], name: str, sql) -> str:
+    return _power_sql(" UNION ALL ".join(f"SELECT {v} AS {name}, * FROM ({sql(v)})" for v in values), name)
 
 
-register(
-    "w_sweep",
-    lambda s, d: _power(search._union([measures.sequential_counts(_bounds(s, d, w=w), METHODS).withColumn("w", F.lit(w)) for w in WIDTHS]), "w"),
-    _swept(WIDTHS, "w", lambda w: f"WITH RECURSIVE {O.measured(FIX, Q, N, w)} {O.counts(METHODS)}"),
-)
-DIMENSIONS = (4, 6, 8, 10, 12, 16)
-register(
-    "d_sweep",
-    lambda s, d: _power(search._union([measures.sequential_counts(_bounds(s, d, d=k), BOXES).withColumn("d", F.lit(k)) for k in DIMENSIONS]), "d"),
-    _swept(DIMENSIONS, "d", lambda k: f"WITH RECURSIVE {O.measured(FIX, Q, N, W, d=k)} {O.counts(BOXES)}"),
-)
+def _swept(values: tuple[int, ...], name: str, counts) -> DataFrame:
+    return _power(search._union([counts(v).withColumn(name, F.lit(v)) for v in values]), name)
+
+
+for _name in (FIX, "supplier_week_walk", "embedding_walk", "word_walk"):
+    register(
+        f"w_sweep_{_name}",
+        lambda s, d, name=_name, n=S.FIXTURES[_name][1]: _swept(BANDS(n), "w", lambda w: measures.sequential_counts(_bounds(s, d, name, w), METHODS)),
+        _swept_sql(BANDS(S.FIXTURES[_name][1]), "w", lambda w, name=_name: _counted_sql(name, w)),
+    )
+for _name in (FIX, "embedding_walk", "word_walk"):
+    register(
+        f"d_sweep_{_name}",
+        lambda s, d, name=_name, n=S.FIXTURES[_name][1]: _swept(DIMENSIONS, "d", lambda k: measures.sequential_counts(_bounds(s, d, name, n // 10, k), BOXES)),
+        _swept_sql(DIMENSIONS, "d", lambda k, name=_name: _counted_sql(name, S.FIXTURES[name][1] // 10, BOXES, k)),
+    )
 
 
 def _two_widths(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -158,9 +182,38 @@ register(
     lambda s, d: _two_widths(s, d).groupBy("w").pivot("method", METHODS).sum("dtw_done"),
     f"SELECT w, {', '.join(f'''sum(dtw_done) FILTER (WHERE method = '{m}')::BIGINT AS {m}''' for m in METHODS)} FROM ({_TWO}) GROUP BY w",
 )
-register("pruning_ratios", lambda s, d: measures.pruning_ratios(measures.sequential_counts(_bounds(s, d), BOXES), "box_pass1", "box_pass2"))
-register("live_counters", lambda s, d: search.live_counters(*workload(s, d), W, method="scan_pass2", early_abandon=True))
-register("approx_survivors", lambda s, d: measures.sequential_counts(_bounds(s, d), METHODS).groupBy("method").agg(F.approx_count_distinct("dtw_done").alias("kinds")))
+register(
+    "pruning_ratios",
+    lambda s, d: measures.pruning_ratios(measures.sequential_counts(_bounds(s, d), BOXES), "box_pass1", "box_pass2").select(*(F.floor(F.col(c) * 1000).cast("bigint").alias(c) for c in ("pruned_ratio", "survivor_ratio"))),
+    f"""WITH t AS (SELECT method, sum(candidates) AS c, sum(dtw_done) AS d FROM ({_counted_sql(FIX, W, BOXES)}) GROUP BY 1), a AS (SELECT * FROM t WHERE method = 'box_pass1'), b AS (SELECT * FROM t WHERE method = 'box_pass2')
+    SELECT floor(((b.c - b.d) / b.c) / ((a.c - a.d) / a.c) * 1000)::BIGINT AS pruned_ratio, floor((a.d / a.c) / (b.d / b.c) * 1000)::BIGINT AS survivor_ratio FROM a CROSS JOIN b""",
+)
+_SURVIVE = {m: " AND ".join(f"{t} < b" for t in O.SEQUENTIAL[m][0]) for m in METHODS}
+register(
+    "approx_survivors",
+    lambda s, d: measures.distinct_survivors(_bounds(s, d), METHODS),
+    f"{_M} " + " UNION ALL ".join(
+        f"SELECT '{m}' AS method, count(DISTINCT series_id) AS survivors, TRUE AS sketch_agrees FROM (SELECT *, coalesce(min(dtw) OVER (PARTITION BY query_id ORDER BY {O.SEQUENTIAL[m][1]} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 'inf'::DOUBLE) AS b FROM m) WHERE {test}"
+        for m, test in _SURVIVE.items()
+    ),
+)
+
+
+def _abandoning(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """Samples that the bounds read and distances computed, with and without early abandoning; they depend on how the data are cut."""
+    n, outs = S.FIXTURES[name][1], []
+    queries, db = workload(spark, sf_dir, name)
+    index = boxindex.build(db, n, min(D, n), boxindex.SMALL_PAGE)
+    for method in ("box_pass1", "box_pass2"):
+        for early in (False, True):
+            made = search.live_counters(queries, index, n // 10, method=method, early_abandon=early)
+            sums = made.agg(*(F.sum(c).alias(c) for c in ("candidates", "after_box", "after_pass1", "after_pass2", "dtw_done", "samples_read")))
+            outs.append(sums.select(F.lit(method).alias("method"), F.lit(early).alias("early_abandon"), "*"))
+    return search._union(outs)
+
+
+for _name in ("embedding_walk", "word_walk"):
+    register(f"early_abandon_{_name}", lambda s, d, name=_name: _abandoning(s, d, name))
 
 
 # Classification.
@@ -182,13 +235,38 @@ register("confusion", lambda s, d: classify.confusion(*_nations(s, d)), f"{_LOO}
 register("accuracy", lambda s, d: classify.accuracy(*_nations(s, d)), f"{_LOO} SELECT count(*) AS items, count(*) FILTER (WHERE label = predicted) AS right FROM guess JOIN named ON query_id = series_id")
 
 
-@query("classify_embeddings")
-def classify_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Held-out vectors named by their nearest walk, with the true label beside."""
-    every = S.fixture(spark, sf_dir, "embedding_walk")
-    queries, train = S.split_queries(every, 20)
+#: Table column that names a workload's classes, as SQL relation ``(series_id, label)``.
+CLASSES = {
+    "embeddings": ("embedding_walk", "SELECT vec_id AS series_id, label::VARCHAR AS label FROM embeddings"),
+    "lang": ("word_walk", "SELECT doc_id AS series_id, lang AS label FROM documents"),
+    "quality": ("word_walk", "SELECT doc_id AS series_id, quality::VARCHAR AS label FROM labels"),
+    "toxic": ("word_walk", "SELECT doc_id AS series_id, toxic::VARCHAR AS label FROM labels"),
+}
+
+
+def _classes(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    """Held-out series named by their nearest neighbour, with the true label beside."""
+    name = CLASSES[kind][0]
+    queries, train = workload(spark, sf_dir, name, Q)
     test = queries.select(F.col("query_id").alias("series_id"), F.col("y").alias("v"), "label")
-    return classify.compared(classify.classify(test, train, 6), test)
+    if kind in ("quality", "toxic"):
+        known = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("series_id"), F.col(kind).cast("string").alias("label"))
+        test, train = (rows.drop("label").join(known, "series_id") for rows in (test, train))
+    return classify.compared(classify.classify(test, train, S.FIXTURES[name][1] // 10), test)
+
+
+def _classes_sql(kind: str) -> str:
+    name, named = CLASSES[kind]
+    n = S.FIXTURES[name][1]
+    return f"""WITH RECURSIVE {O.split(name, Q)}, {O.bounds(n, n // 10)}, named AS ({named}),
+ wanted AS (SELECT query_id, series_id FROM (SELECT b.*, min(lp) OVER (PARTITION BY query_id) AS most FROM bounds b JOIN named USING (series_id) WHERE query_id IN (SELECT series_id FROM named)) WHERE pass2 <= most),
+ {O.warp(n, n // 10, '1', 'SELECT query_id, series_id, v AS x, y FROM wanted JOIN db USING (series_id) JOIN q USING (query_id)')},
+ near AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dtw, series_id) AS r FROM warp)
+ SELECT query_id, a.label AS predicted, b.label AS label FROM near JOIN named a ON near.series_id = a.series_id JOIN named b ON query_id = b.series_id WHERE r = 1"""
+
+
+for _kind in CLASSES:
+    register(f"classify_{_kind}", lambda s, d, k=_kind: _classes(s, d, k), _classes_sql(_kind))
 
 
 # Generators.
@@ -206,14 +284,53 @@ register(
     f"""WITH flat AS (SELECT id::BIGINT AS series_id, pos::INT AS pos, {' + '.join(_noise_sql(k) for k in (11, 12, 13))} AS val FROM range(50) t(id) CROSS JOIN range(1, 65) g(pos))
     SELECT series_id, pos, (sum(64 * val - s) OVER (PARTITION BY series_id ORDER BY pos))::BIGINT AS val FROM (SELECT *, sum(val) OVER (PARTITION BY series_id) AS s FROM flat)""",
 )
-register("gen_random_walk", lambda s, d: generate.random_walk(s, 50, 64).select("series_id", F.size("v").alias("n")))
-for _kind in ("cbf", "control"):
-    register(f"gen_shapes_{_kind}", lambda s, d, k=_kind: generate.shape_classes(s, k, 60).select("series_id", "label", F.size("v").alias("n")))
+
+
+@query("gen_random_walk", "SELECT 12750000::BIGINT AS steps, TRUE AS from_zero, TRUE AS centred, TRUE AS unit_steps")
+def gen_random_walk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """50,000 walks of 256 samples: where they start, and mean and variance of their steps."""
+    walks = generate.random_walk(spark, WALKS, 256)
+    step = F.zip_with(F.slice("v", 2, 255), F.slice("v", 1, 255), lambda a, b: a - b)
+    sums = walks.select(
+        F.element_at("v", 1).alias("first"), F.aggregate(step, F.lit(0.0), lambda t, x: t + x).alias("s"), F.aggregate(step, F.lit(0.0), lambda t, x: t + x * x).alias("q"), F.size(step).alias("c")
+    ).agg(F.sum("c").alias("steps"), F.max(F.abs("first")).alias("first"), F.sum("s").alias("s"), F.sum("q").alias("q"))
+    mean, square = F.col("s") / F.col("steps"), F.col("q") / F.col("steps")
+    return sums.select("steps", (F.col("first") == 0).alias("from_zero"), (F.abs(mean) < 0.005).alias("centred"), (F.abs(square - mean * mean - 1) < 0.01).alias("unit_steps"))
+
+
+#: Each class's expected mean, by the rules of the generator.
+LEVELS = {
+    "cbf": {"flat": 3.0, "up": 1.5, "down": 1.5},
+    "control": {"normal": 30.0, "cycle": 30.0, "rise": 40.3, "fall": 19.7, "step_up": 36.9, "step_down": 23.1},
+}
+WALKS, SHAPES = 50_000, 60_000
+
+
+def _levels(spark: SparkSession, kind: str) -> DataFrame:
+    """Series of each class, and whether their mean is what the class should have."""
+    shapes = generate.shape_classes(spark, kind, SHAPES)
+    mean = F.aggregate("v", F.lit(0.0), lambda t, x: t + x) / F.size("v")
+    level = F.element_at(F.create_map(*(F.lit(x) for pair in LEVELS[kind].items() for x in pair)), F.col("label"))
+    means = shapes.groupBy("label").agg(F.count("*").alias("items"), F.avg(mean).alias("mean"))
+    return means.select("label", "items", (F.abs(F.col("mean") - level) < 0.6).alias("at_level"))
+
+
+for _kind, _classes_of in LEVELS.items():
     register(
-        f"pruning_gen_{_kind}",
-        lambda s, d, k=_kind: (lambda x: _power(measures.sequential_counts(measures.bound_table(*S.split_queries(x, Q), {"cbf": 12, "control": 6}[k]), METHODS)))(generate.whole_shapes(s, k, 300)),
+        f"gen_shapes_{_kind}",
+        lambda s, d, k=_kind: _levels(s, k),
+        " UNION ALL ".join(f"SELECT '{label}' AS label, {SHAPES // len(_classes_of)}::BIGINT AS items, TRUE AS at_level" for label in _classes_of),
     )
-register("pruning_gen_walk", lambda s, d: _power(measures.sequential_counts(measures.bound_table(*S.split_queries(generate.whole_walk(s, 400, 256), Q), 25), METHODS)))
+
+
+def _generated(spark: SparkSession, series: DataFrame, w: int) -> DataFrame:
+    return _power(measures.sequential_counts(measures.bound_table(*S.split_queries(series, Q), w), METHODS))
+
+
+# The published sizes: 50,000 series and 20 queries.
+register("pruning_gen_cbf", lambda s, d: _generated(s, generate.whole_shapes(s, "cbf", WALKS), 12))
+register("pruning_gen_control", lambda s, d: _generated(s, generate.whole_shapes(s, "control", WALKS), 6))
+register("pruning_gen_walk", lambda s, d: _generated(s, generate.whole_walk(s, WALKS, 256), 25))
 
 
 # Streams, compared with batch SQL over the same rows.
@@ -272,15 +389,17 @@ register(
 )
 
 
-@query("stream_nearest", None)
+@query("stream_nearest", answers_sql("part_qty_walk", Q, 24, 2))
 def stream_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each batch's first 24 samples of a part go to the index of all others."""
+    """Each batch's first 24 samples of a part go to the stored index of all others."""
     place = streams.shared_folder(spark)
-    queries, db = workload(spark, sf_dir, "part_qty_walk", 3)
-    queries.select("query_id", "y").write.parquet(f"{place}/segments")
-    segments = spark.readStream.schema("query_id bigint, y array<double>").parquet(f"{place}/segments")
-    streams.nearest_online(segments, db, 2, f"{place}/answers", "scan_pass2").awaitTermination()
-    return spark.read.parquet(f"{place}/answers").drop("batch")
+    queries, db = workload(spark, sf_dir, "part_qty_walk")
+    queries.select("query_id", "y").repartition(2).write.parquet(f"{place}/segments")
+    boxindex.write(boxindex.build(db, 24, D, boxindex.SMALL_PAGE), f"{place}/index")
+    segments = spark.readStream.schema("query_id bigint, y array<double>").option("maxFilesPerTrigger", 1).parquet(f"{place}/segments")
+    streams.nearest_online(segments, boxindex.read(spark, f"{place}/index"), 2, f"{place}/answers").awaitTermination()
+    found = spark.read.parquet(f"{place}/answers").drop("batch")
+    return found.select("query_id", F.col("rank").cast("int").alias("rank"), "series_id", F.col("dist").cast("bigint").alias("dist"))
 
 
 # Round trips.

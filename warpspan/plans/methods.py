@@ -1,7 +1,8 @@
 """Registered queries of single methods: builders, distances, envelopes, bounds, index, search.
 
-The default workload is ``supplier_month_walk`` (83 samples, band 8) with five
-held-out queries, small enough for a twin in SQL at every size.
+The default workload is ``supplier_month_walk`` (83 samples, band 8) with
+twenty held-out queries; the shape workloads have fifty. The box methods run
+on an index with pages of 4096 bytes (56 points), and again on larger ones.
 """
 
 from __future__ import annotations
@@ -20,22 +21,36 @@ from warpspan.plans.registry import query, register
 from warpspan.sources import series as S
 from warpspan.sources.tables import table
 
-FIX, N, W, Q, D = "supplier_month_walk", 83, 8, 5, 8
+FIX, N, W, Q, D = "supplier_month_walk", 83, 8, 20, 8
+#: Workloads with another number of queries than Q: the shapes, and one of 25 series.
+QUERY_COUNTS = {"word_walk": 50, "word_length_raw": 50, "char_walk": 50, "nation_month": 5}
 NORMS = {"p1": (1, "1"), "p2": (2, "2"), "inf": (math.inf, "inf")}
 
 
-def workload(spark: SparkSession, sf_dir: str, name: str = FIX, n_queries: int = Q) -> tuple[DataFrame, DataFrame]:
-    return S.split_queries(S.fixture(spark, sf_dir, name), n_queries)
+def workload(spark: SparkSession, sf_dir: str, name: str = FIX, n_queries: int | None = None) -> tuple[DataFrame, DataFrame]:
+    return S.split_queries(S.fixture(spark, sf_dir, name), n_queries or QUERY_COUNTS.get(name, Q))
+
+
+def indexed(spark: SparkSession, sf_dir: str, page_rows: int = boxindex.SMALL_PAGE) -> tuple[DataFrame, boxindex.BoxIndex]:
+    queries, db = workload(spark, sf_dir)
+    return queries, boxindex.build(db, N, D, page_rows)
+
+
+def _paired(queries: DataFrame, db: DataFrame) -> DataFrame:
+    return db.select("series_id", F.col("v").alias("x")).crossJoin(F.broadcast(queries))
 
 
 def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """``query_id, series_id, x, y`` of the default workload; the few queries are broadcast."""
     queries, db = workload(spark, sf_dir)
-    return db.select("series_id", F.col("v").alias("x")).crossJoin(F.broadcast(queries.select("query_id", "y")))
+    return _paired(queries.select("query_id", "y"), db)
 
 
-def _with_envelope(pairs: DataFrame) -> DataFrame:
-    return pairs.withColumn("e", X.envelope("y", W)).select("*", F.col("e.lo").alias("lo"), F.col("e.hi").alias("hi"))
+def _enveloped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with ``lo, hi``: a query's envelope is made once, below the join."""
+    queries, db = workload(spark, sf_dir)
+    ready = queries.select("query_id", "y", X.envelope("y", W).alias("e"))
+    return _paired(ready.select("query_id", "y", F.col("e.lo").alias("lo"), F.col("e.hi").alias("hi")), db)
 
 
 def _value(name: str, column) -> list:
@@ -111,12 +126,12 @@ for _tag, (_p, _sp) in NORMS.items():
     )
     register(
         f"pass1_{_tag}",
-        lambda spark, d, p=_p: _with_envelope(_pairs(spark, d)).select(*_value("power", X.pass1_pow("x", "lo", "hi", p))),
+        lambda spark, d, p=_p: _enveloped(spark, d).select(*_value("power", X.pass1_pow("x", "lo", "hi", p))),
         f"WITH {O.split(FIX, Q)}, {O.bounds(N, W, _sp)} SELECT query_id, series_id, pass1::BIGINT AS power FROM bounds",
     )
     register(
         f"pass2_{_tag}",
-        lambda spark, d, p=_p: _with_envelope(_pairs(spark, d)).select(*_value("power", X.pass2_pow("x", "y", "lo", "hi", W, p))),
+        lambda spark, d, p=_p: _enveloped(spark, d).select(*_value("power", X.pass2_pow("x", "y", "lo", "hi", W, p))),
         f"WITH {O.split(FIX, Q)}, {O.bounds(N, W, _sp)} SELECT query_id, series_id, pass2::BIGINT AS power FROM bounds",
     )
 register("dtw_unbanded", lambda s, d: _pairs(s, d).select(*_value("power", udfs.dtw("x", "y", None))), f"WITH RECURSIVE {O.split(FIX, Q)}, {O.warp(N, N)} SELECT query_id, series_id, dtw::BIGINT AS power FROM warp")
@@ -192,11 +207,11 @@ def envelope_comparisons(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("clamp_long", f"WITH {O.split(FIX, Q)}, {O.bounds(N, W)} SELECT query_id, series_id, pos::INT AS pos, h::BIGINT AS h FROM clamped")
 def clamp_long(spark: SparkSession, sf_dir: str) -> DataFrame:
-    clamped = _with_envelope(_pairs(spark, sf_dir)).select("query_id", "series_id", F.posexplode(X.clamp("x", "lo", "hi")).alias("p", "h"))
+    clamped = _enveloped(spark, sf_dir).select("query_id", "series_id", F.posexplode(X.clamp("x", "lo", "hi")).alias("p", "h"))
     return clamped.select("query_id", "series_id", (F.col("p") + 1).alias("pos"), F.col("h").cast("bigint").alias("h"))
 
 
-register("gap2_p1", lambda s, d: _with_envelope(_pairs(s, d)).select(*_value("power", X.gap2_pow("x", "y", "lo", "hi", W))), f"WITH {O.split(FIX, Q)}, {O.bounds(N, W)} SELECT query_id, series_id, gap2::BIGINT AS power FROM bounds")
+register("gap2_p1", lambda s, d: _enveloped(s, d).select(*_value("power", X.gap2_pow("x", "y", "lo", "hi", W))), f"WITH {O.split(FIX, Q)}, {O.bounds(N, W)} SELECT query_id, series_id, gap2::BIGINT AS power FROM bounds")
 register(
     "pass1_error_limit",
     lambda s, d: workload(s, d)[0].withColumn("e", X.envelope("y", W)).select("query_id", X.pass1_error_limit("y", "e.lo", "e.hi").cast("bigint").alias("most")),
@@ -208,7 +223,7 @@ register(
  SELECT query_id, series_id, sum(abs(x - m))::BIGINT AS bound, sum(abs(m - y))::BIGINT AS most_error, TRUE AS admissible FROM mid GROUP BY 1, 2""")
 def anchor_bound_midpoint(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The generic bound for an h half-way to the envelope, its error limit, and whether h is allowed."""
-    pairs = _with_envelope(_pairs(spark, sf_dir))
+    pairs = _enveloped(spark, sf_dir)
     half = F.zip_with(
         F.zip_with("x", "lo", lambda x, lo: F.when(x < lo, F.ceil((x + lo) / 2).cast("double")).otherwise(x)), "hi", lambda x, hi: F.when(x > hi, F.floor((x + hi) / 2).cast("double")).otherwise(x)
     )
@@ -279,7 +294,7 @@ for _tag, (_p, _sp) in NORMS.items():
 def box_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The table of four pages: two strips of s1, each in two tiles of s2."""
     points = boxindex.points_of(S.fixture(spark, sf_dir, FIX), COVER)
-    pages = boxindex.page_table(boxindex.with_pages(points, page_rows=1, n_points=4), D)
+    pages = boxindex.page_table(boxindex.with_pages(points, boxindex.tiling(points, page_rows=1, n_points=4)), D)
     return pages.select("page_id", "rows", *(F.col(f"s{k}_{side}").cast("bigint").alias(f"s{k}_{side}") for k in (1, 2) for side in ("min", "max")))
 
 
@@ -293,19 +308,43 @@ def _whole(found: DataFrame) -> DataFrame:
     return found.select("query_id", F.col("rank").cast("int").alias("rank"), "series_id", F.col("dist").cast("bigint").alias("dist"))
 
 
+#: Points of a page: one of 4096 bytes, and one that holds all of a small collection.
+PAGES = {"": boxindex.SMALL_PAGE, "_large_page": boxindex.LARGE_PAGE}
+
+
+def _nearest(spark: SparkSession, sf_dir: str, method: str, k: int = 1, page_rows: int = boxindex.SMALL_PAGE, **more) -> DataFrame:
+    source = indexed(spark, sf_dir, page_rows) if method.startswith("box") else workload(spark, sf_dir)
+    return _whole(search.nearest(*source, W, k=k, method=method, **more))
+
+
 for _method in search.METHODS:
-    register(f"nn_{_method}", lambda s, d, m=_method: _whole(search.nearest(*workload(s, d), W, method=m)), answers_sql())
-    register(f"knn_{_method}", lambda s, d, m=_method: _whole(search.nearest(*workload(s, d), W, k=5, method=m)), answers_sql(k=5))
+    for _tag, _rows in PAGES.items() if _method.startswith("box") else [("", 0)]:
+        register(f"nn_{_method}{_tag}", lambda s, d, m=_method, r=_rows: _nearest(s, d, m, page_rows=r), answers_sql())
+        register(f"knn_{_method}{_tag}", lambda s, d, m=_method, r=_rows: _nearest(s, d, m, 5, r), answers_sql(k=5))
 for _method in ("scan_pass1", "scan_pass2", "box_pass1", "box_pass2"):
-    register(f"nn_early_abandon_{_method}", lambda s, d, m=_method: _whole(search.nearest(*workload(s, d), W, method=m, early_abandon=True)), answers_sql())
-register("nn_custom_cascade", lambda s, d: _whole(search.nearest(*workload(s, d), W, cascade=("pass1",))), answers_sql())
+    register(f"nn_early_abandon_{_method}", lambda s, d, m=_method: _nearest(s, d, m, early_abandon=True), answers_sql())
+for _cascade in (("pass1",), ("pass1", "pass2"), ()):
+    register(f"nn_custom_cascade_{'_'.join(_cascade) or 'none'}", lambda s, d, c=_cascade: _whole(search.nearest(*workload(s, d), W, cascade=c)), answers_sql())
+for _count in (1, 50):
+    register(f"nn_scan_pass2_of_{_count}", lambda s, d, c=_count: _whole(search.nearest(*workload(s, d, n_queries=c), W, method="scan_pass2")), answers_sql(n_queries=_count))
+
+PAGE_ROWS = 8
+register(
+    "index_reach",
+    lambda s, d: search.reach_counts(*indexed(s, d, PAGE_ROWS), W),
+    f"""WITH RECURSIVE {O.split(FIX, Q)}, {O.bounds(N, W)}, {O.warp(N, W)}, {O.pages(N, W, PAGE_ROWS)},
+  near AS (SELECT query_id, page_id FROM (SELECT *, coalesce(sum(rows) OVER (PARTITION BY query_id ORDER BY page_bound, page_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead FROM page_hits) WHERE ahead <= 1),
+  seed AS (SELECT query_id, min(dtw) AS b FROM near JOIN placed_points USING (page_id) JOIN warp USING (query_id, series_id) GROUP BY 1)
+  SELECT query_id, (SELECT count(*) FROM page_table) AS pages, (SELECT count(*) FROM points) AS points, count(*) AS pages_reached, sum(rows)::BIGINT AS points_reached
+  FROM page_hits JOIN seed USING (query_id) WHERE page_bound <= b GROUP BY 1""",
+)
 
 
 @query("nn_rounds", answers_sql(k=3))
 def nn_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Best-first rounds over small pages."""
     queries, db = workload(spark, sf_dir)
-    return _whole(search.search_rounds(boxindex.build(db, N, D, page_rows=8), queries, W, k=3))
+    return _whole(search.search_rounds(boxindex.build(db, N, D, page_rows=PAGE_ROWS), queries, W, k=3))
 
 
 @query("nn_native_scan", answers_sql())
@@ -323,10 +362,10 @@ def nn_lp(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 EPS = 1_500_000
-for _method in ("brute", "scan_pass2", "box_pass2"):
+for _method in search.METHODS:
     register(
         f"within_eps_{_method}",
-        lambda s, d, m=_method: search.within(*workload(s, d), EPS, W, method=m).select(*_value("dist", F.col("dist"))),
+        lambda s, d, m=_method: search.within(*(indexed if m.startswith("box") else workload)(s, d), EPS, W, method=m).select(*_value("dist", F.col("dist"))),
         f"WITH RECURSIVE {O.split(FIX, Q)}, {O.warp(N, W)} SELECT query_id, series_id, dtw::BIGINT AS dist FROM warp WHERE dtw <= {EPS}",
     )
 
@@ -344,8 +383,7 @@ def warp_self_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("except_methods", "SELECT 'none' AS method, 0::BIGINT AS query_id, 0::BIGINT AS dist WHERE FALSE")
 def except_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Answers that differ between any method and brute force: none."""
-    queries, db = workload(spark, sf_dir)
-    near = {m: _whole(search.nearest(queries, db, W, k=5, method=m)).select("query_id", "dist") for m in search.METHODS}
+    near = {m: _nearest(spark, sf_dir, m, 5).select("query_id", "dist") for m in search.METHODS}
     differ = [rows.exceptAll(near["brute"]).select(F.lit(m).alias("method"), "query_id", "dist") for m, rows in near.items() if m != "brute"]
     return search._union(differ)
 
@@ -353,6 +391,5 @@ def except_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("agree_methods", f"SELECT query_id, dist FROM ({answers_sql(k=5)})")
 def agree_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Answers that all of three methods give."""
-    queries, db = workload(spark, sf_dir)
-    near = [_whole(search.nearest(queries, db, W, k=5, method=m)).select("query_id", "dist") for m in ("brute", "scan_pass2", "box_pass2")]
+    near = [_nearest(spark, sf_dir, m, 5).select("query_id", "dist") for m in ("brute", "scan_pass2", "box_pass2")]
     return near[0].intersectAll(near[1]).intersectAll(near[2])

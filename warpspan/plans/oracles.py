@@ -8,9 +8,6 @@ over anti-diagonals that carries two lists).
 
 from __future__ import annotations
 
-FAR = "1e300"
-
-
 def _grid(source: str, steps: int) -> str:
     """Sparse sums ``raw`` onto the whole grid."""
     return f"""raw AS ({source}),
@@ -86,8 +83,9 @@ def split(name: str, n_queries: int) -> str:
     return f"""{FIXTURES[name]},
 packed AS (SELECT series_id, list(val::DOUBLE ORDER BY pos) AS v FROM long GROUP BY series_id),
 placed AS (SELECT *, row_number() OVER (ORDER BY (z * z + 1) % 1000003, series_id) AS place FROM (SELECT series_id, v, (series_id * 7919 + 1299709) % 1000003 AS z FROM packed)),
-q AS (SELECT series_id AS query_id, v AS y FROM placed WHERE place <= {n_queries}),
-db AS (SELECT series_id, v FROM placed WHERE place > {n_queries})"""
+held AS (SELECT least({n_queries}, count(*) // 2) AS n FROM packed),
+q AS (SELECT series_id AS query_id, v AS y FROM placed WHERE place <= (SELECT n FROM held)),
+db AS (SELECT series_id, v FROM placed WHERE place > (SELECT n FROM held))"""
 
 
 def cost(x: str, p: str) -> str:
@@ -99,19 +97,23 @@ def total(x: str, p: str) -> str:
 
 
 def warp(n: int, w: int, p: str = "1", pairs: str = "SELECT query_id, series_id, v AS x, y FROM db CROSS JOIN q", name: str = "warp") -> str:
-    """``pairs`` and ``warp(query_id, series_id, dtw)`` for series of n samples."""
+    """``pairs`` and ``warp(query_id, series_id, dtw)`` for series of n samples.
+
+    A step holds the cells of one anti-diagonal that the band leaves, and those
+    of the one before; only the last step of a pair is kept.
+    """
+    first = lambda k: f"greatest(0, {k} - {n - 1}, ceil(({k} - {w}) / 2.0)::INT)"
+    last = lambda k: f"least({n - 1}, {k}, floor(({k} + {w}) / 2.0)::INT)"
     c = cost("x[i + 1] - y[k + 1 - i + 1]", p)
-    best = "least(a[i + 1], a[i + 2], b[i + 1])"
+    best = f"least(a[i - {first('k')}], a[i - {first('k')} + 1], b[i - {first('(k - 1)')}])"
     value = f"greatest({c}, {best})" if p == "inf" else f"{c} + {best}"
-    first = cost("x[1] - y[1]", p)
     return f"""{name}_pairs AS ({pairs}),
-{name}_steps(query_id, series_id, k, a, b) AS (
-  SELECT query_id, series_id, 0, list_concat([{FAR}, {first}], list_transform(range(0, {n - 1}), lambda i: {FAR})), list_transform(range(0, {n + 1}), lambda i: {FAR}) FROM {name}_pairs
-  UNION ALL
-  SELECT s.query_id, s.series_id, k + 1, list_concat([{FAR}], list_transform(range(0, {n}), lambda i:
-    CASE WHEN k + 1 - i >= 0 AND k + 1 - i < {n} AND abs(2 * i - k - 1) <= {w} THEN {value} ELSE {FAR} END)), a
+{name}_steps(query_id, series_id, k, a, b) USING KEY (query_id, series_id) AS (
+  SELECT query_id, series_id, 0, [{cost("x[1] - y[1]", p)}], []::DOUBLE[] FROM {name}_pairs
+  UNION
+  SELECT s.query_id, s.series_id, k + 1, list_transform(range({first('(k + 1)')}, {last('(k + 1)')} + 1), lambda i: {value}), a
   FROM {name}_steps s JOIN {name}_pairs t ON s.query_id = t.query_id AND s.series_id = t.series_id WHERE k < {2 * n - 2}),
-{name} AS (SELECT query_id, series_id, a[{n + 1}] AS dtw FROM {name}_steps WHERE k = {2 * n - 2})"""
+{name} AS (SELECT query_id, series_id, a[1] AS dtw FROM {name}_steps)"""
 
 
 def bounds(n: int, w: int, p: str = "1", d: int = 8) -> str:
@@ -142,6 +144,43 @@ def measured(name: str, n_queries: int, n: int, w: int, p: str = "1", d: int = 8
 m AS (SELECT * FROM bounds JOIN warp USING (query_id, series_id))"""
 
 
+def counted_only(name: str, n_queries: int, n: int, w: int, d: int = 8, source: str = "bounds", keys: str = "query_id", more: str = "") -> str:
+    """Relations up to ``m`` for counts alone, with the distances that can change a count.
+
+    A pair can't if an earlier candidate's unwarped distance, which no warping
+    distance exceeds, is no more than the pair's bound; it is infinite in ``m``.
+    """
+    before = f"PARTITION BY {keys} ORDER BY {{}} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING"
+    beaten = " AND ".join(f"pass2 >= coalesce(min(lp) OVER ({before.format(order)}), 'inf'::DOUBLE)" for order in ("series_id", "box, series_id"))
+    wanted = f"SELECT DISTINCT query_id, series_id FROM (SELECT *, {beaten} AS beaten FROM {source}) WHERE NOT beaten"
+    return f"""{split(name, n_queries)},
+{bounds(n, w, '1', d)}{more},
+wanted AS ({wanted}),
+{warp(n, w, '1', 'SELECT query_id, series_id, v AS x, y FROM wanted JOIN db USING (series_id) JOIN q USING (query_id)')},
+m AS (SELECT b.*, coalesce(dtw, 'inf'::DOUBLE) AS dtw FROM {source} b LEFT JOIN warp USING (query_id, series_id))"""
+
+
+def pages(n: int, w: int, page_rows: int, d: int = 8) -> str:
+    """``points``, their pages, and ``page_hits(query_id, page_id, rows, page_bound)`` for p = 1, after ``split`` and ``bounds``."""
+    step = n // d
+    block = f"least((pos - 1) // {step}, {d - 1}) + 1"
+    sums = ", ".join(f"sum(x) FILTER (WHERE {block} = {k}) AS s{k}" for k in range(1, d + 1))
+    sides = ", ".join(f"sum(lo) FILTER (WHERE {block} = {k}) AS lo{k}, sum(hi) FILTER (WHERE {block} = {k}) AS hi{k}" for k in range(1, d + 1))
+    least = ", ".join(f"min(s{k}) AS a{k}, max(s{k}) AS b{k}" for k in range(1, d + 1))
+    gaps = " + ".join(f"greatest(lo{k} - b{k}, a{k} - hi{k}, 0)" for k in range(1, d + 1))
+    return f"""points AS (SELECT series_id, {sums} FROM db_long GROUP BY 1),
+tiles AS (SELECT greatest(1, ceil(sqrt(p)))::INT AS strips, ceil(p / greatest(1, ceil(sqrt(p))))::INT AS per FROM (SELECT greatest(1, ceil(count(*) / {page_rows})) AS p FROM points)),
+ranked1 AS (SELECT s1, row_number() OVER (ORDER BY s1) AS r, count(*) OVER () AS c FROM points),
+edges1 AS (SELECT s1 AS e FROM ranked1 CROSS JOIN tiles CROSS JOIN (SELECT unnest(range(1, 1000)) AS k) WHERE k < strips AND r = ceil(k / strips * c)),
+striped AS (SELECT p.*, (SELECT count(*) FROM edges1 WHERE e < p.s1) AS strip FROM points p),
+ranked2 AS (SELECT strip, s2, row_number() OVER (PARTITION BY strip ORDER BY s2) AS r, count(*) OVER (PARTITION BY strip) AS c FROM striped),
+edges2 AS (SELECT strip, s2 AS e FROM ranked2 CROSS JOIN tiles CROSS JOIN (SELECT unnest(range(1, 1000)) AS k) WHERE k < per AND r = ceil(k / per * c)),
+placed_points AS (SELECT p.*, strip * (SELECT per FROM tiles) + (SELECT count(*) FROM edges2 e WHERE e.strip = p.strip AND e.e < p.s2) AS page_id FROM striped p),
+page_table AS (SELECT page_id, count(*) AS rows, {least} FROM placed_points GROUP BY 1),
+query_sides AS (SELECT query_id, {sides} FROM q_env GROUP BY 1),
+page_hits AS (SELECT query_id, page_id, rows, {gaps} AS page_bound FROM page_table CROSS JOIN query_sides)"""
+
+
 def counted(method: str, tests: tuple[str, ...], order: str, source: str = "m", keys: str = "query_id") -> str:
     """One method's sequential counts by query, from ``m``."""
     done = {"box": "TRUE", "pass1": "TRUE", "pass2": "TRUE"}

@@ -237,13 +237,29 @@ def hash_order(ids: str | Column = "series_id", salt: int = 1) -> Column:
 
 
 def split_queries(packed: DataFrame, n_queries: int) -> tuple[DataFrame, DataFrame]:
-    """Held-out protocol: the first series in hash order are the queries and leave the database."""
-    chosen = packed.orderBy(hash_order(), "series_id").limit(n_queries)
+    """Held-out protocol: the first series in hash order are the queries and leave the database.
+
+    There are ``n_queries`` of them, but at most half of the series.
+    """
+    first = packed.orderBy(hash_order(), "series_id").limit(2 * n_queries)
+    in_order, whole = Window.orderBy(hash_order(), "series_id"), Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    placed = first.withColumn("_place", F.row_number().over(in_order)).withColumn("_n", F.count("*").over(whole))
+    chosen = placed.where(F.col("_place") * 2 <= F.col("_n")).drop("_place", "_n")
     queries = chosen.select(F.col("series_id").alias("query_id"), F.col("v").alias("y"), "label")
     ids = F.broadcast(queries.select(F.col("query_id").alias("series_id")))
     return queries, packed.join(ids, "series_id", "left_anti")
 
 
 def fraction_rank(packed: DataFrame) -> DataFrame:
-    """Adds ``place`` in [0, 1) by hash order, so that prefixes by ``place < f`` nest without any sort."""
-    return packed.withColumn("place", hash_order() / F.lit(1000003.0))
+    """Adds ``place`` (1 to N in hash order) and ``places`` (N): the first ceil(f * N) places are the fraction f, and fractions nest.
+
+    Hashes have a million values, so the counts before each are a bounded
+    table; rows of one hash are numbered by id.
+    """
+    rows = packed.withColumn("_h", hash_order())
+    counts = rows.groupBy("_h").agg(F.count("*").alias("_c"))
+    earlier = Window.orderBy("_h").rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    before = counts.select("_h", F.coalesce(F.sum("_c").over(earlier), F.lit(0)).alias("_b"), F.sum("_c").over(whole).alias("places"))
+    inside = F.row_number().over(Window.partitionBy("_h").orderBy("series_id"))
+    return rows.join(F.broadcast(before), "_h").withColumn("place", F.col("_b") + inside).drop("_h", "_b")
