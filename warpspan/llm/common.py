@@ -47,18 +47,23 @@ def checkpoint_dir(spark: SparkSession) -> str:
     """The folder for checkpoints that the session names; one of our own if it names none.
 
     A cluster sets ``spark.checkpoint.dir`` to a folder that all executors
-    share. Only a session without it, as in tests on one machine, gets a
-    temporary folder.
+    share. In a session without it, one on a single machine gets a temporary
+    folder and any other a folder of the warehouse, which is shared as well.
     """
     context = spark.sparkContext
     found = context.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
-        found = os.path.join(tempfile.gettempdir(), "warpspan-checkpoints")
+        base = tempfile.gettempdir() if context.master.startswith("local") else spark.conf.get("spark.sql.warehouse.dir")
+        found = os.path.join(base, "warpspan-checkpoints")
     if not context.getCheckpointDir():
         context.setCheckpointDir(found)
     return found
 
 
+#: Places of the tables that ``cut`` wrote and nothing deleted, in order.
+_written: list[str] = []
+
+
 def cut(frame: DataFrame) -> DataFrame:
     """The same rows with their lineage cut: written once to the shared checkpoint folder and read again.
 
@@ -70,13 +75,29 @@ def cut(frame: DataFrame) -> DataFrame:
     frame.write.parquet(place)
     out = spark.read.schema(frame.schema).parquet(place)
     out._cut_at = place
+    _written.append(place)
     return out
 
 
 def discard(frame: DataFrame) -> None:
     """Deletes what ``cut`` wrote for a frame that nothing needs any more."""
     place = getattr(frame, "_cut_at", None)
-    if place:
-        context = frame.sparkSession.sparkContext
-        path = context._jvm.org.apache.hadoop.fs.Path(place)
-        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+    if place in _written:
+        _delete(frame.sparkSession, place)
+
+
+def written_so_far() -> int:
+    return len(_written)
+
+
+def discard_since(mark: int, but: DataFrame) -> None:
+    """Deletes all tables that ``cut`` wrote since ``written_so_far`` gave ``mark``, but for that of one frame."""
+    for place in _written[mark:]:
+        if place != getattr(but, "_cut_at", None):
+            _delete(but.sparkSession, place)
+
+
+def _delete(spark: SparkSession, place: str) -> None:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(place)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    _written.remove(place)

@@ -8,8 +8,10 @@ segments together differ in at most ``floor(l * reach / segments)`` bits. So
 the first few segments of that chain are equal outright; they are the join
 key. The rest of the chain is checked before the full distance.
 
-Only distinct fingerprints take part. Keys that a few fingerprints share are
-compared pair by pair. A key that many share (a large family of near copies)
+There are as many segments as the number of fingerprints asks for: more of
+them make longer keys, under which fewer fingerprints meet by chance, and more
+rows. Only distinct fingerprints take part. Keys that a few fingerprints share
+are compared pair by pair. A key that many share (a large family of near copies)
 would give a number of pairs that grows with its square, so its members go
 another, exact way: each is listed under itself and its one-bit neighbours,
 and two fingerprints that meet under any of these are at most two bits apart.
@@ -39,7 +41,8 @@ from warpspan.llm.common import cut, discard, utf8, values
 SEED = 42
 SHINGLE = 3
 REACH = 2
-SEGMENTS = 9
+#: Numbers of segments to choose from; all odd, as an even number's keys are no longer than the next lower one's.
+RINGS = (5, 9, 17, 33)
 #: Fingerprints of one key that are still compared pair by pair.
 FEW = 24
 
@@ -98,12 +101,21 @@ def fingerprint(text: str | Column = "text", width: int = SHINGLE) -> Column:
     return prints(utf8(text))
 
 
-def ring(segments: int = SEGMENTS) -> list[tuple[int, int]]:
+def ring(segments: int) -> list[tuple[int, int]]:
     """Start and width of each segment, widths as equal as can be."""
     cuts = [64 * k // segments for k in range(segments + 1)]
     return [(a, b - a) for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
+def segments_for(prints: int) -> int:
+    """The fewest segments under whose shortest key less than one other fingerprint is expected by chance."""
+    for segments in RINGS:
+        keys = [next(mask for mask, allowed in reversed(_chain_masks(start, segments, REACH)) if allowed == 0) for start in range(segments)]
+        if prints < 1 << min((mask % (1 << 64)).bit_count() for mask in keys):
+            return segments
+    return RINGS[-1]
+
+
 def _mask(parts: list[tuple[int, int]]) -> int:
     bits = sum(((1 << width) - 1) << start for start, width in parts)
     return bits - (1 << 64) if bits >= 1 << 63 else bits
@@ -146,14 +158,15 @@ def _within(a: Column, b: Column, start: Column, segments: int, reach: int) -> C
     return chain & (F.bit_count(differ) <= reach)
 
 
-def near_pairs(prints: DataFrame, segments: int = SEGMENTS, few: int = FEW) -> DataFrame:
+def near_pairs(prints: DataFrame, segments: int | None = None, few: int = FEW) -> DataFrame:
     """Links ``a < b`` between distinct fingerprints that join all within two bits of each other.
 
-    ``prints`` has one column ``fp`` without repeats. Keys shared by up to
+    ``prints`` has one column ``fp`` without repeats. ``segments`` follow from their number if not given. Keys shared by up to
     ``few`` fingerprints give every pair in reach; keys shared by more give
     hub links with the same connected components.
     """
     reach = REACH
+    segments = segments or segments_for(prints.count())
     keys = _keys(prints, segments, reach)
     shared = keys.groupBy("start", "bits").agg(F.count("*").alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b"))
     sizes = cut(shared.where("n > 1"))
@@ -203,28 +216,31 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
-def _printed(documents: DataFrame, id_column: str, text: str) -> DataFrame:
-    return documents.select(F.col(id_column).alias("doc_id"), fingerprint(text).alias("fp"))
+def text_mark(text: str | Column = "text") -> Column:
+    """A digest that tells the texts under one id apart."""
+    return F.xxhash64(F.col(text) if isinstance(text, str) else text)
 
 
 def classify(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, fp, component_id`` of every document; the component's id is its smallest document id.
+    """``doc_id, mark, fp, root, component_id`` of every document; the component's id is its smallest document id.
 
     Documents without an id count for links but not for the smallest id.
     """
-    printed = cut(_printed(documents, id_column, text))
-    return grouped(printed, near_pairs(printed.select("fp").distinct()))
+    printed = cut(documents.select(F.col(id_column).alias("doc_id"), text_mark(text).alias("mark"), fingerprint(text).alias("fp")))
+    return grouped(printed, near_pairs(cut(printed.select("fp").distinct())))
 
 
 def grouped(printed: DataFrame, links: DataFrame) -> DataFrame:
-    """``doc_id, fp, component_id`` from ``doc_id, fp`` and the links between fingerprints."""
+    """Adds ``root`` (the component's smallest node) and ``component_id`` to rows with ``doc_id, fp``, by the links between nodes."""
     firsts = cut(printed.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
     found = components(links)
     members = found.union(found.select("root", "root").distinct()).toDF("fp", "root")
     smallest = members.join(firsts, "fp").groupBy("root").agg(F.min("first_id").alias("component_id"))
-    moved = members.join(smallest, "root").select("fp", "component_id")
-    of_print = cut(firsts.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id")))
-    return printed.join(of_print, "fp").select("doc_id", "fp", "component_id")
+    moved = members.join(smallest, "root").select("fp", "root", "component_id")
+    of_print = cut(
+        firsts.join(moved, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("component_id", "first_id").alias("component_id"))
+    )
+    return printed.join(of_print, "fp").select(*printed.columns, "root", "component_id")
 
 
 def hex_print(fp: str = "fp") -> Column:
@@ -237,25 +253,32 @@ MOST_SENT = 2_000_000
 
 
 def keep_one(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents with one of each component, the one of the smallest id.
+    """The documents with one of each component; ``keep_first`` says which."""
+    return keep_first(documents, classify(documents, id_column, text), id_column, text)
 
-    Of rows that repeat an id one stays. Rows without an id stay, as they
-    can't be told apart. Texts move only if more ids go than ``MOST_SENT``.
-    """
-    return keep_first(documents, classify(documents, id_column, text), id_column)
 
+def keep_first(documents: DataFrame, classes: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
+    """One document of each component: the one of the smallest id, of that id's texts the one with the smallest mark.
 
-def keep_first(documents: DataFrame, classes: DataFrame, id_column: str = "doc_id") -> DataFrame:
-    """The same from the documents' ``doc_id, component_id``."""
-    classes = cut(classes)
-    name = f"_{id_column}"
-    gone = cut(classes.where("doc_id <> component_id").select(F.col("doc_id").alias(name)).distinct())
-    again = cut(
-        classes.where("doc_id = component_id").groupBy(F.col("doc_id").alias(name)).count().where("count > 1").select(name)
+    ``classes`` has a row ``doc_id, mark, root`` for each document. A row
+    without an id stays only if its whole component has none. Of rows alike in
+    id and text the one whose columns come first as JSON stays. Texts move only
+    if more rows go than ``MOST_SENT``.
+    """
+    rank = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
+    best = classes.groupBy("root").agg(F.min(rank).alias("best"), F.count("*").alias("size")).where("size > 1")
+    judged = classes.join(best, "root").select("doc_id", "mark", (rank != F.col("best")).alias("loses"))
+    named = cut(
+        judged.groupBy(F.col("doc_id").alias("_near_id"), F.col("mark").alias("_near_mark"))
+        .agg(F.first("loses").alias("_near_loses"), F.count("*").alias("_near_rows"))
+        .where("_near_loses or _near_rows > 1")
     )
-    match = lambda ids: documents[id_column] == ids[name]
-    ids = gone.union(again)
-    if gone.count() + again.count() <= MOST_SENT:
-        ids, again = F.broadcast(ids), F.broadcast(again)
-    single = documents.join(ids, match(ids), "left_anti")
-    return single.unionByName(documents.join(again, match(again), "left_semi").dropDuplicates([id_column]))
+    again = named.where("not _near_loses")
+    if named.count() <= MOST_SENT:
+        named, again = F.broadcast(named), F.broadcast(again)
+    match = lambda ids: documents[id_column].eqNullSafe(ids["_near_id"]) & (text_mark(documents[text]) == ids["_near_mark"])
+    single = documents.join(named, match(named), "left_anti")
+    row = F.struct(*(F.col(f"`{name}`") for name in documents.columns))
+    repeated = documents.join(again, match(again), "left_semi").select(F.col(id_column).alias("_id"), text_mark(text).alias("_mark"), row.alias("_row"))
+    one = repeated.groupBy("_id", "_mark").agg(F.min_by("_row", F.to_json("_row")).alias("_row"))
+    return single.unionByName(one.select("_row.*"))
