@@ -6,20 +6,24 @@ its first sort key, so a shard is a run of the curve and holds few distinct
 values of every dimension. Files cut from such runs have narrow min/max
 ranges in all dimensions, which lets readers skip them.
 
+Equal texts are one group: it stands in the cell of its member with the
+smallest id, side by side, so that a group falls on both sides of a cut only
+where the cut runs through it.
+
 The curve has 4,096 cells, so the table of cell counts has a fixed bound. A
-cell with many documents (a hot source, a group of copies) is split by a hash
-of the id into parts of about ``part_rows(N)`` rows; ranks then come from
-prefix sums over the table of parts, of at most 70,000 rows at any size, and a
-row number inside each part.
+cell with many documents (a hot source) is split by a hash of the text into
+parts of about ``part_rows(N)`` rows, and a group larger than that by a hash of
+the id; ranks then come from prefix sums over the table of parts, of at most
+140,000 rows at any size, and a row number inside each part.
 
 Law ``rows``: with N documents, the shards get N // n or one more each. Law
 ``bytes``: a document goes to the shard in whose share of all bytes it starts,
 so shard sizes differ from the mean by less than the largest document.
 
 Null languages and sources are values of their own, a null text has size 1
-and CRC-32 zero. Repeated rows get slots of their own; ties are broken by all
-columns that the rank uses, and rows equal in these are interchangeable. An
-empty table gives an empty result.
+and CRC-32 zero and is equal to an empty one. Repeated rows get slots of their
+own; ties are broken by all columns that the rank uses, and rows equal in these
+are interchangeable. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -35,6 +39,8 @@ DIMENSIONS = ("lang", "source", "size")
 SHARDS = 16
 #: Rows of a part where documents are few, and parts (besides cells) where they are many.
 LEAST_ROWS, MOST_PARTS = 4_096, 65_536
+#: Groups of equal texts that are sent to every task; more are joined by a shuffle.
+MOST_SENT = 2_000_000
 
 
 def part_rows(n: Column) -> Column:
@@ -95,37 +101,57 @@ def with_cell(documents: DataFrame, into: str = "_cell") -> DataFrame:
     return documents.withColumn(into, F.get(table, number))
 
 
+def with_group_cell(rows: DataFrame) -> DataFrame:
+    """Rows with ``_cell, _group, _id``: equal texts get the cell of the member with the smallest id, and ``_large`` their number if over one.
+
+    Only groups of two or more are joined back, by a broadcast if they are few.
+    """
+    first = F.min(F.struct(F.col("_id").isNull().alias("no_id"), "_id", "_cell"))
+    groups = cut(
+        rows.groupBy("_group").agg(F.count("*").alias("_large"), first.alias("_first")).where("_large > 1").select("_group", "_large", F.col("_first._cell").alias("_home"))
+    )
+    if groups.count() <= MOST_SENT:
+        groups = F.broadcast(groups)
+    return rows.join(groups, "_group", "left").withColumn("_cell", F.coalesce("_home", "_cell")).drop("_home")
+
+
 def ranked(rows: DataFrame, order: list[str], shards: int = SHARDS, law: str = "rows") -> DataFrame:
-    """Adds ``shard`` and ``slot`` to rows that have ``_cell``, ``_salt`` and ``size``.
+    """Adds ``shard`` and ``slot`` to rows that have ``_id``, ``_cell``, ``_group`` and ``size``.
 
-    ``_salt`` is a hash that splits large cells; ``order`` breaks ties inside a part.
+    ``_group`` is a hash that rows of one group share; ``order`` breaks ties in it.
     """
     if law not in ("rows", "bytes"):
         raise ValueError("law is 'rows' or 'bytes'")
     whole = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    rows = with_group_cell(rows)
     cells = rows.groupBy("_cell").agg(F.count("*").alias("_n"))
-    split = F.broadcast(
-        cells.select("_cell", F.ceil(F.col("_n") / part_rows(F.sum("_n").over(whole))).cast("int").alias("_parts"))
-    )
-    placed = rows.join(split, "_cell").withColumn("_part", F.pmod("_salt", "_parts").cast("int")).drop("_parts")
-    parts = placed.groupBy("_cell", "_part").agg(F.count("*").alias("_n"), F.sum("size").alias("_size"))
-    in_order = Window.orderBy("_cell", "_part").rowsBetween(Window.unboundedPreceding, -1)
+    most = part_rows(F.sum("_n").over(whole))
+    split = F.broadcast(cells.select("_cell", F.ceil(F.col("_n") / most).cast("int").alias("_parts"), most.alias("_most")))
+    placed = rows.join(split, "_cell").withColumn("_part", F.pmod(F.xxhash64("_group"), "_parts").cast("int"))
+    # A group beyond a part's size is parts of its own.
+    pieces = F.ceil(F.col("_large") / F.col("_most")).cast("int")
+    hot = F.col("_large") > F.col("_most")
+    placed = placed.withColumn("_hot", F.when(hot, F.col("_group")).otherwise(F.lit(0)).cast("bigint")).withColumn(
+        "_piece", F.when(hot, F.pmod(F.xxhash64("_id", *order), pieces)).otherwise(0).cast("int")
+    ).drop("_parts", "_most", "_large")
+    keys = ["_cell", "_part", "_hot", "_piece"]
+    parts = placed.groupBy(*keys).agg(F.count("*").alias("_n"), F.sum("size").alias("_size"))
+    in_order = Window.orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     before = parts.select(
-        "_cell",
-        "_part",
+        *keys,
         F.coalesce(F.sum("_n").over(in_order), F.lit(0)).alias("_rows_before"),
         F.coalesce(F.sum("_size").over(in_order), F.lit(0)).alias("_size_before"),
         F.sum("_n").over(whole).alias("_rows"),
         F.sum("_size").over(whole).alias("_bytes"),
     )
-    inside = Window.partitionBy("_cell", "_part").orderBy("_salt", *order)
+    inside = Window.partitionBy(*keys).orderBy("_group", "_id", *order)
     ahead = inside.rowsBetween(Window.unboundedPreceding, -1)
     numbered = placed.withColumn("_row", F.row_number().over(inside) - 1)
     if law == "bytes":
         numbered = numbered.withColumn("_ahead", F.coalesce(F.sum("size").over(ahead), F.lit(0)))
     else:
         numbered = numbered.withColumn("_ahead", F.col("_row").cast("long"))
-    placed = numbered.join(F.broadcast(before), ["_cell", "_part"])
+    placed = numbered.join(F.broadcast(before), keys)
     if law == "rows":
         rank, total = F.col("_rows_before") + F.col("_row"), F.col("_rows")
         base, more = F.expr(f"_rows div {shards}"), total % shards
@@ -140,25 +166,31 @@ def ranked(rows: DataFrame, order: list[str], shards: int = SHARDS, law: str = "
         )
         firsts = F.broadcast(out.groupBy("shard").agg(F.min("_rank").alias("_first")))
         out = out.join(firsts, "shard").withColumn("slot", F.col("_rank") - F.col("_first"))
-    return out.drop("_cell", "_part", "_salt", "_row", "_ahead", "_rows_before", "_size_before", "_rows", "_bytes", "_rank", "_first")
+    inner = ("_row", "_ahead", "_rows_before", "_size_before", "_rows", "_bytes", "_rank", "_first")
+    return out.drop("_id", "_group", *keys, *inner)
+
+
+def _text_group(text: Column) -> Column:
+    """A hash of the text, in which null is as empty."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
 
 
 def _digest(documents: DataFrame, id_column: str) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
     return with_cell(documents).select(
         F.col(id_column).alias("doc_id"),
+        F.col(id_column).alias("_id"),
         (F.octet_length(text).cast("long") + 1).alias("size"),
         F.crc32(text.cast("binary")).alias("text_crc32"),
-        F.length("text").alias("n_chars"),
         "_cell",
-        F.xxhash64(F.col(id_column), "text").alias("_salt"),
+        _text_group(F.col("text")).alias("_group"),
     )
 
 
 def assign(documents: DataFrame, shards: int = SHARDS, law: str = "rows", id_column: str = "doc_id", **options) -> DataFrame:
     """``doc_id, size, text_crc32, law, shard, slot`` of every document; texts are read once and never moved."""
     digest = cut(_digest(documents, id_column))
-    out = ranked(digest, ["doc_id", "text_crc32", "size"], shards, law, **options)
+    out = ranked(digest, ["text_crc32", "size"], shards, law, **options)
     return out.select(
         "doc_id", "size", "text_crc32", F.lit(law).alias("law"), "shard", F.col("slot").cast("long").alias("slot"),
         F.lit(None).cast("int").alias("grown_shard"),
@@ -166,14 +198,14 @@ def assign(documents: DataFrame, shards: int = SHARDS, law: str = "rows", id_col
 
 
 def attach(documents: DataFrame, shards: int = SHARDS, law: str = "rows", **options) -> DataFrame:
-    """The documents with ``shard`` and ``slot``, which replace columns of these names."""
-    names = [name for name in documents.columns if name not in ("shard", "slot")]
-    row = F.struct(*(F.col(f"`{name}`") for name in names)).alias("_row_values")
+    """The documents with ``shard`` and ``slot``; columns of these names that are there already come out as ``old_shard`` and ``old_slot``."""
+    names = {name: f"old_{name}" if name in ("shard", "slot") else name for name in documents.columns}
+    row = F.struct(*(F.col(f"`{name}`").alias(new) for name, new in names.items())).alias("_row_values")
     kept = with_cell(documents).select(
-        row, "_cell", (F.octet_length(F.coalesce("text", F.lit(""))).cast("long") + 1).alias("size"), F.xxhash64("doc_id", "text").alias("_salt"),
+        row, "_cell", (F.octet_length(F.coalesce("text", F.lit(""))).cast("long") + 1).alias("size"), _text_group(F.col("text")).alias("_group"),
         F.col("doc_id").alias("_id"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("_crc"),
     )
-    out = ranked(kept, ["_id", "_crc", "size"], shards, law, **options)
+    out = ranked(kept, ["_crc", "size"], shards, law, **options)
     return out.select("_row_values.*", "shard", F.col("slot").cast("long").alias("slot"))
 
 
