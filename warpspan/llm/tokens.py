@@ -9,7 +9,9 @@ cuts, so a text has as many tokens as its pre-tokens together.
    document the numbers of its distinct pre-tokens and how often each occurs)
    and, for each bucket of a hash, the list of its distinct pre-tokens there.
 2. The lists are dealt out by bucket. All lists of a bucket meet in one task,
-   which counts the pieces of each distinct pre-token once.
+   which counts the pieces of each distinct pre-token once. There are as many
+   buckets as the size of the input asks for, so a task holds the distinct
+   pre-tokens of one bucket and no more, and never forgets one of them.
 3. Piece counts go back by batch and meet the ledger there: each document's
    tokens are the sum of frequency times pieces.
 
@@ -42,6 +44,11 @@ PRE_TOKEN = re.compile(f" ?[^{_SPACE}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+")
 #: A batch is closed at so many characters; its distinct pre-tokens fit a worker's memory.
 BATCH_CHARS = 8_000_000
 
+#: Stored bytes of input for one bucket, and how few and many buckets there may be (their numbers take two bytes).
+BUCKET_BYTES, LEAST_BUCKETS, MOST_BUCKETS = 4_000_000, 16, 60_000
+#: From here on an estimate stands for "unknown".
+UNKNOWN_BYTES = 1 << 60
+
 _ROWS = pa.schema([("bucket", pa.int32()), ("batch", pa.int64()), ("listed", pa.int32()), ("body", pa.binary())])
 _ROW_TYPES = "bucket int, batch bigint, listed int, body binary"
 _COUNTS = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64())])
@@ -51,12 +58,11 @@ def _row(*cells) -> pa.RecordBatch:
     return pa.record_batch([pa.array([x], f.type) for x, f in zip(cells, _ROWS, strict=True)], schema=_ROWS)
 
 
-def special_strings(tokenizer_file: str) -> list[str]:
-    """The added tokens that the library recognises inside texts, longest first."""
+def special_strings(definition: str) -> list[str]:
+    """The added tokens that the library recognises inside texts, longest first; ``definition`` is the tokenizer's JSON."""
     import json
 
-    with open(tokenizer_file, encoding="utf-8") as file:
-        added = json.load(file).get("added_tokens", [])
+    added = json.loads(definition).get("added_tokens", [])
     return sorted((x["content"] for x in added), key=len, reverse=True)
 
 
@@ -175,31 +181,35 @@ def tallies(documents: DataFrame, special: list[str], buckets: int, batch_chars:
     return documents.mapInArrow(make, _ROW_TYPES)
 
 
-def _tokenizer(file: str):
-    """The file's tokenizer, kept in the worker process for later tasks; one thread, as the task has one core."""
+def _tokenizer(definition: str):
+    """The tokenizer of a definition, kept in the worker process for later tasks; one thread, as the task has one core."""
     import os
 
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     import tokenizers
 
-    kept = tokenizers.__dict__.setdefault("_kept_by_file", {})
-    if file not in kept:
-        kept[file] = tokenizers.Tokenizer.from_file(file)
-    return kept[file]
+    kept = tokenizers.__dict__.setdefault("_kept_by_definition", {})
+    key = zlib.crc32(definition.encode()), len(definition)
+    if key not in kept:
+        kept[key] = tokenizers.Tokenizer.from_str(definition)
+    return kept[key]
 
 
-def count_pieces(rows: DataFrame, tokenizer_file: str, memo_size: int = 150_000) -> DataFrame:
-    """Puts the numbers of pieces in place of listed pre-tokens; ledgers pass through."""
+def count_pieces(rows: DataFrame, definition: str) -> DataFrame:
+    """Puts the numbers of pieces in place of listed pre-tokens; ledgers pass through. Rows come bucket by bucket."""
+    shared = rows.sparkSession.sparkContext.broadcast(definition)
 
     def make(source):
-        tokenizer = _tokenizer(tokenizer_file)
+        tokenizer = _tokenizer(shared.value)
         memo: dict[str, int] = {}
+        bucket = None
         for batch in source:
             for row in batch.to_pylist():
                 if row["listed"] >= 0:
+                    if row["bucket"] != bucket:
+                        # A pre-token belongs to one bucket, so it is never asked for again.
+                        bucket, memo = row["bucket"], {}
                     words = _listed(row["body"], row["listed"])
-                    if len(memo) > memo_size:
-                        memo.clear()
                     new = [w for w in words if w not in memo]
                     for start in range(0, len(new), 1024):
                         part = new[start : start + 1024]
@@ -227,14 +237,23 @@ def _settle(rows: pa.Table) -> pa.Table:
     return pa.table([pa.array(ids, mask=known == 0), lengths, sums[ends] - sums[ends - sizes]], schema=_COUNTS)
 
 
+def buckets_for(documents: DataFrame) -> int:
+    """One bucket for so many stored bytes of the input, by the plan's own estimate of its size.
+
+    A plan that can't tell (rows that come from no table) has as many as the session has shuffle partitions.
+    """
+    size = int(str(documents._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    wanted = -(-size // BUCKET_BYTES) if size < UNKNOWN_BYTES else int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return min(MOST_BUCKETS, max(LEAST_BUCKETS, wanted))
+
+
 def count_tokens(
     documents: DataFrame, tokenizer_file: str, id_column: str = "doc_id", text: str = "text", batch_chars: int = BATCH_CHARS, buckets: int | None = None
 ) -> DataFrame:
-    """``doc_id, n_bytes, n_tokens`` for every document.
-
-    Without ``buckets`` there are as many as the session has shuffle partitions, 32 at least.
-    """
+    """``doc_id, n_bytes, n_tokens`` for every document; the tokenizer's file is read here and sent to the tasks."""
+    with open(tokenizer_file, encoding="utf-8") as file:
+        definition = file.read()
     source = documents.select(F.col(id_column).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    n = buckets or min(20_000, max(32, int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    dealt = tallies(source, special_strings(tokenizer_file), n, batch_chars).repartition("bucket").sortWithinPartitions("bucket")
-    return count_pieces(dealt, tokenizer_file).groupBy("batch").applyInArrow(_settle, "doc_id bigint, n_bytes bigint, n_tokens bigint")
+    n = buckets or buckets_for(documents)
+    dealt = tallies(source, special_strings(definition), n, batch_chars).repartition(n, "bucket").sortWithinPartitions("bucket")
+    return count_pieces(dealt, definition).groupBy("batch").applyInArrow(_settle, "doc_id bigint, n_bytes bigint, n_tokens bigint")
