@@ -6,16 +6,18 @@ found by repeated narrowing: the largest a whose weights reach the wished
 entropy, raised if need be until no source is repeated more than
 ``most_repeats`` times as often as the least repeated one.
 
-Weights are made real without random sampling. A source's sequence is one
-permutation of its documents after another (by a seeded hash), cut where its
-share of the token budget ends. The place of a document's first token in that
-sequence, as a part of the source's budget, says into which block of the
-mixture it goes, so every block holds each source in its weight.
-
-The places come from prefix sums over parts of each source's permutation, so
-a source with a third of all rows is as many parts as other rows would be.
-The sources' table is small beside the documents; it is sent to all tasks if
-it has at most ``MOST_SOURCES`` rows and joined by a shuffle otherwise.
+Weights are made real without random sampling. A source's documents are dealt
+by a seeded hash into parts, rows in hash order. An epoch of the source is a
+permutation of these parts, another one each time, and its sequence is epoch
+after epoch, cut where its share of the token budget ends. The place of a
+document's first token in that sequence, as a part of the source's budget,
+says into which block of the mixture it goes, so every block holds each source
+in its weight.
+
+The places come from prefix sums over the permuted parts and, in a part, over
+its rows, so a source with a third of all rows is as many parts as other rows
+would be. The sources' table is small beside the documents; it is sent to all
+tasks if it has at most ``MOST_SOURCES`` rows and joined by a shuffle otherwise.
 
 A null source is a source of its own. A document has its words as tokens, and
 one at least, so empty and null texts take part. Repeated rows of one id and
@@ -135,6 +137,56 @@ def _unit(h: Column) -> Column:
     return F.pmod(h, F.lit(1 << 40)).cast("double") / F.lit(float(1 << 40))
 
 
+def _placed(
+    items: DataFrame, entropy_share: float | None, most_repeats: float | None, budget: int | None, block_tokens: int, seed: int
+) -> DataFrame:
+    """A row for each use of each item, with ``copy, block`` and ``place`` (its order in the block).
+
+    Items have ``key, tokens, h`` and ``tie`` besides columns that are only carried.
+    """
+    light = items.select("key", "tokens", "h")
+    sizes = cut(source_sizes(light))
+    n_sources = sizes.count()
+    weights = target_weights(sizes, find_exponent(sizes, entropy_share, most_repeats), budget)
+    plan = cut(
+        weights.select(
+            "key",
+            F.col("target").alias("_target"),
+            F.col("tokens").alias("_epoch"),
+            F.ceil("repeats").cast("int").alias("_copies"),
+            F.ceil(F.col("rows") / part_rows(F.col("all_rows"))).cast("int").alias("_parts"),
+            F.sum("target").over(Window.partitionBy()).alias("_budget"),
+        )
+    )
+    plan = _sent(plan, n_sources)
+    part = F.floor(_unit(F.col("h")) * F.col("_parts")).cast("int").alias("_part")
+    sums = light.join(plan, "key").select("key", "tokens", "_copies", "_epoch", part).groupBy("key", "_part")
+    sums = sums.agg(F.sum("tokens").alias("_here"), F.first("_copies").alias("_copies"), F.first("_epoch").alias("_epoch"))
+    epochs = sums.withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("_copies") - 1)))
+    turned = Window.partitionBy("key", "copy").orderBy(F.xxhash64(F.lit(seed), "copy", "_part"), "_part").rowsBetween(Window.unboundedPreceding, -1)
+    before = F.coalesce(F.sum("_here").over(turned), F.lit(0)) + F.col("copy") * F.col("_epoch")
+    starts = epochs.select("key", "_part", F.struct("copy", before.alias("before")).alias("_use"))
+    starts = F.broadcast(starts.groupBy("key", "_part").agg(F.sort_array(F.collect_list("_use")).alias("_uses")))
+    inside = Window.partitionBy("key", "_part").orderBy("h", "tie").rowsBetween(Window.unboundedPreceding, -1)
+    dealt = items.join(plan, "key").withColumn("_part", part)
+    ahead = F.coalesce(F.sum("tokens").over(inside), F.lit(0))
+    uses = dealt.withColumn("_ahead", ahead).join(starts, ["key", "_part"]).withColumn("_use", F.explode("_uses"))
+    start = F.col("_use.before") + F.col("_ahead")
+    n_blocks = F.greatest(F.lit(1), F.ceil(F.col("_budget") / F.lit(block_tokens)))
+    block = F.least(n_blocks - 1, F.floor(start / F.col("_target") * n_blocks)).cast("int")
+    return (
+        uses.where(start < F.col("_target"))
+        .withColumn("copy", F.col("_use.copy"))
+        .withColumn("block", block)
+        .withColumn("place", F.xxhash64("h", "copy"))
+        .drop("_target", "_epoch", "_copies", "_parts", "_budget", "_part", "_ahead", "_uses", "_use")
+    )
+
+
+def _hash(id_column: str, text: str, seed: int) -> Column:
+    return F.xxhash64(F.lit(seed), F.col(id_column), F.crc32(F.coalesce(F.col(text), F.lit("")).cast("binary")))
+
+
 def schedule(
     documents: DataFrame,
     entropy_share: float | None = ENTROPY_SHARE,
@@ -153,36 +205,13 @@ def schedule(
             F.col(source).alias("source"),
             source_key(F.col(source)).alias("key"),
             tokens_in(F.col(text)).alias("tokens"),
-            F.xxhash64(F.lit(seed), F.col(id_column), F.crc32(F.coalesce(F.col(text), F.lit("")).cast("binary"))).alias("h"),
+            _hash(id_column, text, seed).alias("h"),
+            F.col(id_column).alias("tie"),
         )
     )
-    sizes = cut(source_sizes(items))
-    weights = target_weights(sizes, find_exponent(sizes, entropy_share, most_repeats), budget)
-    plan = weights.select(
-        "key",
-        "target",
-        F.ceil("repeats").cast("int").alias("copies"),
-        F.ceil(F.col("rows") / part_rows(F.col("all_rows"))).cast("int").alias("parts"),
-        F.sum("target").over(Window.partitionBy()).alias("budget"),
-    )
-    uses = (
-        items.join(_sent(plan, sizes.count()), "key")
-        .withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
-        .withColumn("place", F.xxhash64("h", "copy"))
-        .withColumn("part", F.floor(_unit(F.col("place")) * F.col("parts")).cast("int"))
-    )
-    parts = uses.groupBy("key", "copy", "part").agg(F.sum("tokens").alias("part_tokens"))
-    earlier = Window.partitionBy("key").orderBy("copy", "part").rowsBetween(Window.unboundedPreceding, -1)
-    before = parts.select("key", "copy", "part", F.coalesce(F.sum("part_tokens").over(earlier), F.lit(0)).alias("before"))
-    inside = Window.partitionBy("key", "copy", "part").orderBy("place", "doc_id", "tokens").rowsBetween(Window.unboundedPreceding, -1)
-    placed = uses.withColumn("ahead", F.coalesce(F.sum("tokens").over(inside), F.lit(0))).join(before, ["key", "copy", "part"])
-    start = F.col("before") + F.col("ahead")
-    n_blocks = F.greatest(F.lit(1), F.ceil(F.col("budget") / F.lit(block_tokens)))
-    chosen = placed.where(start < F.col("target")).withColumn(
-        "block", F.least(n_blocks - 1, F.floor(start / F.col("target") * n_blocks)).cast("int")
-    )
+    uses = _placed(items, entropy_share, most_repeats, budget, block_tokens, seed)
     in_block = Window.partitionBy("block").orderBy("place", "doc_id", "copy")
-    return chosen.select(
+    return uses.select(
         "doc_id", "source", F.col("tokens").alias("n_tokens"), "copy", "block",
         (F.row_number().over(in_block) - 1).cast("long").alias("slot"),
     )
@@ -193,57 +222,20 @@ def remix(
     entropy_share: float | None = ENTROPY_SHARE,
     most_repeats: float | None = MOST_REPEATS,
     budget: int | None = None,
+    block_tokens: int = BLOCK_TOKENS,
     seed: int = 0,
+    id_column: str = "doc_id",
     source: str = "source",
     text: str = "text",
 ) -> DataFrame:
-    """The documents, each as often as the mixture uses it; texts are not shuffled.
+    """The documents as the mixture uses them, once a use, block by block: what ``schedule`` lists, with all columns.
 
-    A source that is due r times gets every document floor(r) times, and once
-    more those whose hash is smallest, up to its budget. Only the hash below
-    which that holds is looked for, in the one part of the source where the
-    budget ends.
+    A block is whole in one task and its rows are in the order of their slots,
+    so files written from here hold blocks one after another.
     """
-    items = cut(
-        documents.select(
-            source_key(F.col(source)).alias("key"), tokens_in(F.col(text)).alias("tokens"), _row_place(source, text, seed).alias("place")
-        )
-    )
-    sizes = cut(source_sizes(items))
-    n_sources = sizes.count()
-    weights = target_weights(sizes, find_exponent(sizes, entropy_share, most_repeats), budget)
-    plan = cut(
-        weights.select(
-            "key",
-            F.floor("repeats").cast("int").alias("full"),
-            (F.col("target") - F.floor("repeats") * F.col("tokens")).alias("rest"),
-            F.ceil(F.col("rows") / part_rows(F.col("all_rows"))).cast("int").alias("parts"),
-        )
-    )
-    dealt = items.join(_sent(plan, n_sources), "key").withColumn("part", F.floor(_unit(F.col("place")) * F.col("parts")).cast("int"))
-    sums = dealt.groupBy("key", "part").agg(F.sum("tokens").alias("here"), F.first("rest").alias("rest"))
-    earlier = Window.partitionBy("key").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    last = (
-        sums.withColumn("before", F.coalesce(F.sum("here").over(earlier), F.lit(0)))
-        .where("before < rest and before + here >= rest")
-        .select("key", "part", "before")
-    )
-    inside = Window.partitionBy("key").orderBy(_unit(F.col("place")), "place").rowsBetween(Window.unboundedPreceding, -1)
-    limit = (
-        dealt.join(_sent(last, n_sources), ["key", "part"])
-        .withColumn("start", F.col("before") + F.coalesce(F.sum("tokens").over(inside), F.lit(0)))
-        .where("start < rest")
-        .groupBy("key")
-        .agg(F.max(F.struct(_unit(F.col("place")).alias("u"), F.col("place").alias("p"))).alias("limit"))
-    )
-    uses = cut(plan.join(limit, "key", "left").select(F.col("key").alias("_key"), "full", "limit"))
-    place = _row_place(source, text, seed)
     row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
-    mine = documents.select(row, source_key(F.col(source)).alias("_key"), place.alias("_place")).join(_sent(uses, n_sources), "_key")
-    once_more = F.coalesce(F.struct(_unit(F.col("_place")).alias("u"), F.col("_place").alias("p")) <= F.col("limit"), F.lit(False))
-    copies = F.col("full") + once_more.cast("int")
-    return mine.where(copies > 0).select("_row", F.explode(F.sequence(F.lit(1), copies))).select("_row.*")
-
-
-def _row_place(source: str, text: str, seed: int) -> Column:
-    return F.xxhash64(F.lit(seed), F.col(source), F.crc32(F.coalesce(F.col(text), F.lit("")).cast("binary")), F.col("doc_id"))
+    items = documents.select(
+        row, source_key(F.col(source)).alias("key"), tokens_in(F.col(text)).alias("tokens"), _hash(id_column, text, seed).alias("h"), F.col(id_column).alias("tie")
+    )
+    uses = _placed(items, entropy_share, most_repeats, budget, block_tokens, seed)
+    return uses.select("_row", "block", "place", "tie", "copy").repartition("block").sortWithinPartitions("block", "place", "tie", "copy").select("_row.*")
