@@ -6,18 +6,23 @@ windows go into one Aho-Corasick automaton over word numbers, so a text is
 read once however many items there are, and a hit's place is known in words
 and, where asked for, in bytes and code points of the original text.
 
-The benchmark is the side that every task holds. Its size is counted first:
-up to ``most_words`` words make one automaton. A larger benchmark is cut into
-runs of items of that size, each with an automaton and a scan of its own; the
-hits of the scans are then joined by text. Nothing is dropped either way.
-
-Null texts have no words, and items without words have no window. Repeated
-rows are judged each for itself. Empty tables give empty results.
+The benchmark is the side that every task holds. Up to ``most_words`` words
+make one automaton. A larger benchmark is cut into runs of items of that size.
+Each run is a scan of its own, which writes the hits of the texts that have
+any, so no task ever holds more than one automaton; the hits of all runs are
+then joined by a digest of the text. Nothing is dropped either way.
+
+Null texts have no words, and items without words have no window. An item
+without an id counts for hits and verdicts but is in no list of items.
+Repeated rows are judged each for itself. Empty tables give empty results.
 """
 
 from __future__ import annotations
 
+import functools
 import hashlib
+import itertools
+import re
 from collections.abc import Iterator
 
 import ahocorasick
@@ -26,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from warpspan.llm.common import WORD_TABLE, utf8, values, words_of
+from warpspan.llm.common import cut, utf8, values, words_of
 
 WIDTH = 13
 #: Words of one automaton; about 100 bytes a word in each Python worker.
@@ -37,6 +42,7 @@ HITS = T.StructType(
         T.StructField("n_words", T.LongType()),
         T.StructField("hit", T.ArrayType(T.StructType([T.StructField("first", T.IntegerType()), T.StructField("after", T.IntegerType())]))),
         T.StructField("items", T.ArrayType(T.StringType())),
+        T.StructField("spans", T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))),
     ]
 )
 _ARROW_HITS = pa.struct(
@@ -44,16 +50,19 @@ _ARROW_HITS = pa.struct(
         ("n_words", pa.int64()),
         ("hit", pa.list_(pa.struct([("first", pa.int32()), ("after", pa.int32())]))),
         ("items", pa.list_(pa.string())),
+        ("spans", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))),
     ]
 )
+#: The words in the original text.
+_PLACES = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 
 
 class WindowScanner:
     """Finds the benchmark windows that occur in a list of words."""
 
-    def __init__(self, items: list[tuple[str, list[bytes]]], width: int = WIDTH):
+    def __init__(self, items: list[tuple[str | None, list[bytes]]], width: int = WIDTH):
         self.numbers: dict[bytes, int] = {}
-        windows: dict[tuple[int, ...], set[str]] = {}
+        windows: dict[tuple[int, ...], set[str | None]] = {}
         for item, words in items:
             coded = [self.numbers.setdefault(w, len(self.numbers) + 1) for w in words]
             for start in range(max(1, len(coded) - width + 1) if coded else 0):
@@ -62,7 +71,7 @@ class WindowScanner:
         if windows:
             self.automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
             for window, owners in windows.items():
-                self.automaton.add_word(window, (len(window), tuple(sorted(owners))))
+                self.automaton.add_word(window, (len(window), tuple(sorted(owners - {None}))))
             self.automaton.make_automaton()
 
     def scan(self, words: list[bytes]) -> tuple[list[tuple[int, int]], set[str]]:
@@ -91,31 +100,27 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 def word_places(text: str) -> list[tuple[int, int]]:
     """Start and end of each word in code points of the original text."""
-    places, start = [], None
-    for at, sign in enumerate(text):
-        inside = ord(sign) >= 0x80 or WORD_TABLE[ord(sign)] != 0x20
-        if inside and start is None:
-            start = at
-        elif not inside and start is not None:
-            places.append((start, at))
-            start = None
-    if start is not None:
-        places.append((start, len(text)))
-    return places
-
-
-def benchmark_runs(benchmark: DataFrame, most_words: int = MOST_WORDS) -> Iterator[list[tuple[str, list[bytes]]]]:
+    return [m.span() for m in _PLACES.finditer(text)]
+
+
+def original_spans(text: str, runs: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Runs of words as code points of the text."""
+    places = word_places(text) if runs else []
+    return [(places[first][0], places[after - 1][1]) for first, after in runs]
+
+
+def benchmark_runs(benchmark: DataFrame, most_words: int = MOST_WORDS) -> Iterator[list[tuple[str | None, list[bytes]]]]:
     """The items with their words, in runs of at most ``most_words`` words (one item at least).
 
     Items stream to the driver one partition at a time; a run is let go before
     the next is read.
     """
-    run: list[tuple[str, list[bytes]]] = []
+    run: list[tuple[str | None, list[bytes]]] = []
     size = 0
     rows = benchmark.select(F.col("item_id").cast("string"), utf8("text"))
     for item, text in rows.where(F.length("text") > 0).toLocalIterator():
         words = words_of(bytes(text))
-        if not words or item is None:
+        if not words:
             continue
         if run and size + len(words) > most_words:
             yield run
@@ -125,6 +130,18 @@ def benchmark_runs(benchmark: DataFrame, most_words: int = MOST_WORDS) -> Iterat
     yield run
 
 
+def _found(value: bytes | None, scanner: WindowScanner) -> dict:
+    words = words_of(value)
+    runs, items = scanner.scan(words)
+    spans = original_spans(value.decode(), runs) if runs else []
+    return {
+        "n_words": len(words),
+        "hit": [{"first": a, "after": b} for a, b in runs],
+        "items": sorted(items),
+        "spans": [{"start": a, "end": b} for a, b in spans],
+    }
+
+
 def _scan_column(spark, run: list, width: int, text: Column) -> Column:
     shared = spark.sparkContext.broadcast(run)
     ready: list[WindowScanner] = []
@@ -133,45 +150,44 @@ def _scan_column(spark, run: list, width: int, text: Column) -> Column:
     def scan(texts: pa.Array) -> pa.Array:
         if not ready:
             ready.append(WindowScanner(shared.value, width))
-        rows = []
-        for value in values(texts):
-            words = words_of(value)
-            spans, items = ready[0].scan(words)
-            rows.append(
-                {
-                    "n_words": len(words),
-                    "hit": [{"first": a, "after": b} for a, b in spans],
-                    "items": sorted(items),
-                }
-            )
-        return pa.array(rows, _ARROW_HITS)
+        return pa.array([_found(value, ready[0]) for value in values(texts)], _ARROW_HITS)
 
     return scan(utf8(text))
 
 
-def hits_column(benchmark: DataFrame, text: str | Column = "text", width: int = WIDTH, most_words: int = MOST_WORDS) -> Column:
-    """A struct of ``n_words``, ``hit`` (word intervals) and ``items``, from one scan a run of items."""
-    text = F.col(text) if isinstance(text, str) else text
-    spark = benchmark.sparkSession
-    scans = [_scan_column(spark, run, width, text) for run in benchmark_runs(benchmark, most_words)]
-    if len(scans) == 1:
-        return scans[0]
+def _digest(text: Column) -> Column:
+    return F.struct(F.xxhash64(text).alias("a"), F.xxhash64(F.lit(1), text).alias("b"))
+
+
+def with_hits(documents: DataFrame, benchmark: DataFrame, text: str = "text", into: str = "_found", width: int = WIDTH, most_words: int = MOST_WORDS) -> DataFrame:
+    """Adds a struct of ``n_words``, ``hit`` (word intervals), ``items`` and ``spans`` (code points of the original text)."""
+    spark, body = documents.sparkSession, F.col(f"`{text}`")
+    runs = benchmark_runs(benchmark, most_words)
+    first = next(runs)
+    second = next(runs, None)
+    if second is None:
+        return documents.withColumn(into, _scan_column(spark, first, width, body))
+    parts = []
+    for run in itertools.chain((first, second), runs):
+        seen = documents.select(_digest(body).alias("_of"), _scan_column(spark, run, width, body).alias("_hit")).where(F.size("_hit.hit") > 0)
+        parts.append(cut(seen.dropDuplicates(["_of"])))
+    every = functools.reduce(DataFrame.unionByName, parts).groupBy("_of").agg(F.collect_list("_hit").alias("_hits"))
+    counted = documents.withColumn(into, _scan_column(spark, [], width, body)).withColumn("_text_of", _digest(body))
+    joined = counted.join(every, F.col("_text_of") == F.col("_of"), "left")
 
     @F.arrow_udf(HITS)
-    def joined(*parts: pa.Array) -> pa.Array:
+    def put_together(texts: pa.Array, plain: pa.Array, pieces: pa.Array) -> pa.Array:
         rows = []
-        for row in zip(*map(values, parts), strict=True):
-            spans = merged([(h["first"], h["after"]) for part in row for h in part["hit"]])
-            rows.append(
-                {
-                    "n_words": row[0]["n_words"],
-                    "hit": [{"first": a, "after": b} for a, b in spans],
-                    "items": sorted({item for part in row for item in part["items"]}),
-                }
-            )
+        for value, row, found in zip(values(texts), values(plain), values(pieces), strict=True):
+            if found:
+                hit = merged([(h["first"], h["after"]) for piece in found for h in piece["hit"]])
+                row["hit"] = [{"first": a, "after": b} for a, b in hit]
+                row["items"] = sorted({item for piece in found for item in piece["items"]})
+                row["spans"] = [{"start": a, "end": b} for a, b in original_spans(value.decode(), hit)]
+            rows.append(row)
         return pa.array(rows, _ARROW_HITS)
 
-    return joined(*scans)
+    return joined.withColumn(into, put_together(utf8(body), F.col(into), F.col("_hits"))).drop("_text_of", "_of", "_hits")
 
 
 def judged(hits: Column) -> tuple[Column, Column]:
@@ -182,35 +198,39 @@ def judged(hits: Column) -> tuple[Column, Column]:
     return n_hit, (n_hit > 0) & (20 * n_hit >= hits.n_words)
 
 
-def scan_documents(documents: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", **options) -> DataFrame:
-    """One row per document: words, hit words, items found and the verdict."""
-    found = documents.select(F.col(id_column), hits_column(benchmark, **options).alias("found"))
-    n_hit, contaminated = judged(F.col("found"))
-    items = F.col("found.items")
+def _packed(documents: DataFrame, text: str) -> DataFrame:
+    """The rows as one struct beside their text, so that no name of theirs meets one of ours."""
+    return documents.select(F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row"), F.col(f"`{text}`").alias("_text"))
+
+
+def scan_documents(documents: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    """One row per document: words, hit words, items found, the verdict, and the hit stretches of the original text."""
+    found = with_hits(_packed(documents, text), benchmark, "_text", **options)
+    n_hit, contaminated = judged(F.col("_found"))
+    items = F.col("_found.items")
     return found.select(
-        F.col(id_column),
-        F.col("found.n_words").alias("n_words"),
+        F.col(f"_row.`{id_column}`").alias(id_column),
+        F.col("_found.n_words").alias("n_words"),
         n_hit.alias("n_hit"),
         F.size(items).cast("long").alias("n_items"),
         F.sha2(F.array_join(items, ","), 256).alias("items_sha256"),
         contaminated.alias("contaminated"),
         items.alias("items"),
+        F.col("_found.spans").alias("spans"),
     )
 
 
-def drop_contaminated(documents: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
+def drop_contaminated(documents: DataFrame, benchmark: DataFrame, text: str = "text", **options) -> DataFrame:
     """The documents that aren't contaminated, with their own columns."""
-    hit = hits_column(benchmark, **options)
+    found = with_hits(_packed(documents, text), benchmark, "_text", **options)
     _, contaminated = judged(F.col("_found"))
-    row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
-    return documents.select(row, hit.alias("_found")).where(~contaminated).select("_row.*")
+    return found.where(~contaminated).select("_row.*")
 
 
 def hit_spans(text: str, scanner: WindowScanner) -> list[tuple[int, int]]:
     """Hit runs of one text in code points of the original."""
     runs, _ = scanner.scan(words_of(text.encode()))
-    places = word_places(text) if runs else []
-    return [(places[first][0], places[after - 1][1]) for first, after in runs]
+    return original_spans(text, runs)
 
 
 def items_digest(items: set[str]) -> str:

@@ -43,13 +43,13 @@ SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_s
 
 def decontamination(width: int = 13) -> str:
     words = lambda t: rf"regexp_extract_all(translate(coalesce({t}, ''), '{_UPPER}', '{_UPPER.lower()}'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
-    return f"""WITH items AS (SELECT item_id, {words('text')} AS ws FROM benchmark WHERE item_id IS NOT NULL),
+    return f"""WITH items AS (SELECT item_id, {words('text')} AS ws FROM benchmark),
 marks AS (SELECT DISTINCT item_id::VARCHAR AS item, n, array_to_string(ws[i:i + n - 1], ' ') AS g
   FROM (SELECT item_id, ws, least(len(ws), {width}) AS n, unnest(range(1, greatest(len(ws) - {width - 1}, 1) + 1)) AS i FROM items WHERE len(ws) > 0)),
 docs AS (SELECT row_number() OVER () AS rid, doc_id, {words('text')} AS ws FROM documents),
 places AS (SELECT rid, i, n, array_to_string(ws[i:i + n - 1], ' ') AS g FROM (SELECT rid, ws, n, unnest(range(1, len(ws) - n + 2)) AS i FROM docs CROSS JOIN (SELECT DISTINCT n FROM marks))),
 found AS (SELECT rid, i, m.n, item FROM places p JOIN marks m ON p.n = m.n AND p.g = m.g),
 hits AS (SELECT rid, count(DISTINCT w) AS n_hit FROM (SELECT rid, unnest(range(i, i + n)) AS w FROM found) GROUP BY rid),
-owners AS (SELECT rid, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS listed FROM (SELECT DISTINCT rid, item FROM found) GROUP BY rid)
+owners AS (SELECT rid, count(item) AS n_items, string_agg(item, ',' ORDER BY item) AS listed FROM (SELECT DISTINCT rid, item FROM found) GROUP BY rid)
 SELECT doc_id, len(ws)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(listed, '')) AS items_sha256,
   coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(ws) AS contaminated FROM docs LEFT JOIN hits USING (rid) LEFT JOIN owners USING (rid)"""
