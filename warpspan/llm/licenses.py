@@ -9,12 +9,17 @@ Finding every such block needs few comparisons:
 
 * prefix: a block that holds ``need`` of k words must hold one of the
   template's ``k - need + 1`` rarest; only occurrences of these are looked at;
-* length: a block shorter than ``need`` words at a text's end is left out.
+* length: a block shorter than ``need`` words at a text's end is left out;
+* position: the places of the template's words in the text bound what a block
+  can hold, so a block with fewer than ``need`` of these places is left out.
 
 What passes is verified by counting. A phrase (``ordered``) must also have its
 words one after another. Templates and their words' counts are bounded by the
 caller's list, not by the corpus, and travel to every task.
 
+A text's score is the highest share that a matching block holds, or 0. Counts of
+other documents change which words are looked at first and never the result.
+
 Null and empty texts have no words and score 0. Repeated rows are scanned each
 for itself; an empty table gives an empty result.
 """
@@ -22,7 +27,7 @@ for itself; an empty table gives an empty result.
 from __future__ import annotations
 
 import math
-from collections import Counter, deque
+from collections import Counter
 from typing import NamedTuple
 
 import pyarrow as pa
@@ -108,93 +113,82 @@ def word_counts(documents: DataFrame, templates: tuple[Template, ...], text: str
 
 
 class TemplateIndex:
-    """Templates by the words of their prefixes."""
+    """Templates by the words of their prefixes; ``looked_at`` and ``verified`` count blocks before and after the positional filter."""
 
     def __init__(self, templates: tuple[Template, ...], counts: dict[bytes, int]):
         self.templates = templates
         self.words = template_words(templates)
         self.sets = [frozenset(words) for words in self.words]
         self.need = [max(1, math.ceil(t.threshold * len(s) - 1e-9)) for t, s in zip(templates, self.sets, strict=True)]
-        self.rank: list[dict[bytes, int]] = []
-        self.probes: dict[bytes, list[tuple[int, int]]] = {}
+        self.probes: dict[bytes, list[int]] = {}
         for number, (words, need) in enumerate(zip(self.sets, self.need, strict=True)):
-            ordered = sorted(words, key=lambda w: (counts.get(w, 0), w))
-            self.rank.append({w: k for k, w in enumerate(ordered)})
-            for place, word in enumerate(ordered[: len(ordered) - need + 1]):
-                self.probes.setdefault(word, []).append((number, place))
+            rarest_first = sorted(words, key=lambda w: (counts.get(w, 0), w))
+            for word in rarest_first[: len(words) - need + 1]:
+                self.probes.setdefault(word, []).append(number)
         self.keys = frozenset(self.probes)
+        self.looked_at = self.verified = 0
 
     def scan(self, words: list[bytes]) -> tuple[float, list[tuple[int, int, int, float]]]:
-        """The best share of any template, and places ``(template, first word, word after, share)`` in order."""
+        """The best share of a match, and places ``(template, first word, word after, share)`` in order."""
         if self.keys.isdisjoint(words):
             return 0.0, []
-        best: float = 0.0
         places: list[tuple[int, int, int, float]] = []
-        starts: dict[int, set[int]] = {}
+        met: dict[int, list[int]] = {}
         for at, word in enumerate(words):
-            for number, place in self.probes.get(word, ()):
-                length = len(self.words[number])
-                if self.templates[number].ordered:
-                    offsets = [k for k, w in enumerate(self.words[number]) if w == word]
-                    starts.setdefault(number, set()).update(at - k for k in offsets)
-                else:
-                    starts.setdefault(number, set()).update(range(at - length + 1, at + 1))
-        for number, candidates in starts.items():
-            best = max(best, self._verify(number, sorted(candidates), words, places))
+            for number in self.probes.get(word, ()):
+                met.setdefault(number, []).append(at)
+        for number, probes in met.items():
+            places += self._phrases(number, probes, words) if self.templates[number].ordered else self._blocks(number, probes, words)
         places.sort(key=lambda p: (p[1], p[0]))
-        return best, places
-
-    def _verify(self, number: int, candidates: list[int], words: list[bytes], places: list) -> float:
-        template, wanted, need = self.words[number], self.sets[number], self.need[number]
-        length, best = len(template), 0.0
-        if self.templates[number].ordered:
-            for start in candidates:
-                if start >= 0 and words[start : start + length] == template:
-                    places.append((number, start, start + length, 1.0))
-                    best = 1.0
-            return best
-        run: list[int] | None = None
+        return max((p[3] for p in places), default=0.0), places
+
+    def _phrases(self, number: int, probes: list[int], words: list[bytes]) -> list[tuple[int, int, int, float]]:
+        template = self.words[number]
+        length = len(template)
+        starts = {at - k for at in probes for k, w in enumerate(template) if w == words[at]}
+        return [(number, s, s + length, 1.0) for s in sorted(starts) if s >= 0 and words[s : s + length] == template]
+
+    def _blocks(self, number: int, probes: list[int], words: list[bytes]) -> list[tuple[int, int, int, float]]:
+        """Matching blocks; those that overlap are one place."""
+        wanted, need, length = self.sets[number], self.need[number], len(self.words[number])
+        spots = [at for at, word in enumerate(words) if word in wanted]
+        runs: list[list] = []
         inside: Counter = Counter()
-        held, left = 0, 0
-        window: deque[bytes] = deque()
-        for start in candidates:
-            start = max(0, start)
-            end = min(len(words), start + length)
-            if end - start < need:
-                continue
-            if not window or start >= left + len(window):
-                window, inside, held, left = deque(), Counter(), 0, start
-            while left < start:
-                out = window.popleft()
-                left += 1
-                if out in wanted:
-                    inside[out] -= 1
-                    held -= inside[out] == 0
-            while left + len(window) < end:
-                new = words[left + len(window)]
-                window.append(new)
-                if new in wanted:
-                    inside[new] += 1
-                    held += inside[new] == 1
-            share = held / len(wanted)
-            best = max(best, share)
-            if held >= need:
-                if run and start <= run[1]:
-                    run[1], run[2] = end, max(run[2], share)
-                else:
-                    if run:
-                        places.append((number, *run))
-                    run = [start, end, share]
-        if run:
-            places.append((number, *run))
-        return best
+        held = low = high = 0  # the spots low .. high - 1 are in the block, and held different words
+        after = 0
+        for probe in probes:
+            for start in range(max(after, probe - length + 1), probe + 1):
+                # A block that begins before the text is the same as its first.
+                begin = max(0, start)
+                end = min(len(words), start + length) if start >= 0 else min(len(words), length)
+                self.looked_at += 1
+                while high < len(spots) and spots[high] < end:
+                    word = words[spots[high]]
+                    inside[word] += 1
+                    held += inside[word] == 1
+                    high += 1
+                while low < high and spots[low] < begin:
+                    word = words[spots[low]]
+                    inside[word] -= 1
+                    held -= inside[word] == 0
+                    low += 1
+                if high - low < need or end - begin < need:
+                    continue
+                self.verified += 1
+                if held >= need:
+                    share = held / len(wanted)
+                    if runs and begin <= runs[-1][1]:
+                        runs[-1][1], runs[-1][2] = end, max(runs[-1][2], share)
+                    else:
+                        runs.append([begin, end, share])
+            after = max(after, probe + 1)
+        return [(number, *run) for run in runs]
 
 
 def license_places(documents: DataFrame, templates: tuple[Template, ...] = PHRASES + NOTICES, text: str = "text") -> Column:
     """A column with ``n_words``, ``score`` and the ``places`` of each text.
 
-    Blocks of one notice that overlap are one place. The score is the highest
-    share of any template's words that a looked-at block holds.
+    Blocks of one notice that overlap are one place.
     """
     shared = documents.sparkSession.sparkContext.broadcast(word_counts(documents, templates, text))
     ready: list[TemplateIndex] = []
