@@ -3,9 +3,11 @@
 The lexicon holds words and stems (a stem matches any word that begins with
 it). It starts from a short fixed list and grows by words and stems that mark
 toxic documents in a bounded sample of labelled rows. All words within one
-edit of a lexicon word are accepted by the product of the trie and the
-Levenshtein automaton, which is made deterministic state by state as texts ask
-for it; most words leave it within a few letters.
+edit, at any letter, of a lexicon word of ``EDIT_LENGTH`` letters or more are
+accepted by the product of the trie and the Levenshtein automaton, which is
+made deterministic state by state as texts ask for it; most words leave it
+within a few letters. Shorter words and stems match as they are; the words
+behind a learned stem are in the lexicon themselves, so they take edits too.
 
 Each hit is weighed by its window: quotation marks around it or reporting
 words near it speak for quotation, words of address for abuse. A logistic
@@ -44,7 +46,7 @@ ENTRIES = 200
 #: Share of the toxic documents that a learned entry must occur in.
 LEAST_SHARE = 0.01
 #: Lexicon words at least this long may be one edit away.
-EDIT_LENGTH = 5
+EDIT_LENGTH = 4
 REACH = 4
 
 _WORD = re.compile(r"\w+")
@@ -57,13 +59,10 @@ class Entry(NamedTuple):
 
 
 class LexiconAutomaton:
-    """Accepts words within one edit of a lexicon word, or that begin with a stem.
+    """Accepts words within one edit of a lexicon word, or that begin with a stem."""
 
-    Edits at the first letter count only with ``first``.
-    """
-
-    def __init__(self, entries: list[Entry], first: bool = False):
-        self.entries, self.first = entries, first
+    def __init__(self, entries: list[Entry]):
+        self.entries = entries
         self.children: list[dict[str, int]] = [{}]
         self.ends: list[list[int]] = [[]]
         self.editable: list[bool] = [False]
@@ -92,7 +91,7 @@ class LexiconAutomaton:
         more = {
             (child, 1)
             for node, edits in states
-            if edits == 0 and (self.first or node != 0)
+            if edits == 0
             for child in self.children[node].values()
             if self.editable[child]
         }
@@ -104,7 +103,7 @@ class LexiconAutomaton:
             child = self.children[node].get(letter)
             if child is not None and (edits == 0 or self.editable[child]):
                 out.add((child, edits))
-            if edits == 0 and (self.first or node != 0):
+            if edits == 0:
                 out.update((c, 1) for c in self.children[node].values() if self.editable[c])
                 if self.editable[node]:
                     out.add((node, 1))
@@ -280,7 +279,7 @@ def fit(documents: DataFrame, labels: DataFrame, may_learn: Column | None = None
     entries = learned + [Entry(w, False, 3.0) for w in SEED_WORDS if w not in have]
 
     def measured(source):
-        memo = _Memo(LexiconAutomaton(entries, first=True))
+        memo = _Memo(LexiconAutomaton(entries))
         for batch in source:
             x = [features(t, memo) for t in values(batch.column(0))]
             yield pa.record_batch([pa.array(x, pa.list_(pa.float64())), batch.column(1).cast(pa.int32())], names=["x", "toxic"])
@@ -297,7 +296,7 @@ def score(text: str | Column, model: Model) -> Column:
     @F.arrow_udf("double")
     def scored(texts: pa.Array) -> pa.Array:
         if not ready:
-            ready.append(_Memo(LexiconAutomaton(model.entries, first=True)))
+            ready.append(_Memo(LexiconAutomaton(model.entries)))
         x = np.array([features(t, ready[0]) for t in values(texts)]).reshape(-1, len(FEATURES))
         return pa.array(1 / (1 + np.exp(-np.clip(model.bias + x @ np.array(model.slopes), -30, 30))))
 
