@@ -18,7 +18,7 @@ def test_trained_lexicon_takes_misspellings(spark, make_docs):
     labels = spark.createDataFrame([(i, 1, int(i % 4 == 1)) for i in range(1, 401)], "doc_id bigint, quality int, toxic int")
     model = toxicity.fit(make_docs(texts), labels)
     assert any(e.stem and "trash".startswith(e.text) for e in model.entries)
-    memo = toxicity._Memo(toxicity.LexiconAutomaton(model.entries, first=True))
+    memo = toxicity._Memo(toxicity.LexiconAutomaton(model.entries))
     for word in ("idjot", "trqsh", "wortless", "zqrgish", "ztrash", "xdiot", "diot", "pathetc", "stupyd"):
         assert memo[word] is not None and memo[word][1] == 1, word
     assert memo["w17"] is None and memo["trash"][1] == 0
