@@ -32,9 +32,16 @@ EVENTS = T.StructType(
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new folder under the one that the session names for checkpoints; a temporary one if it names none."""
+    """A new folder under the one that the session names for checkpoints.
+
+    If it names none, a session on one machine gets a temporary folder and any
+    other a folder of the warehouse, which all executors share.
+    """
     base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-    return f"{(base or os.path.join(tempfile.gettempdir(), 'warpspan-streams')).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    if not base:
+        local = spark.sparkContext.master.startswith("local")
+        base = os.path.join(tempfile.gettempdir() if local else spark.conf.get("spark.sql.warehouse.dir"), "warpspan-streams")
+    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 8) -> DataFrame:
