@@ -10,7 +10,7 @@ from warpspan.sources.tables import TABLES
 PICKED = [
     "series_supplier_month_walk", "gap_fill", "asof_grid", "json_value_series", "dtw_p1", "dtw_p2", "dtw_inf", "dtw_native", "pass2_p1", "pass2_inf", "ndtw_inf",
     "envelope_long", "envelope_packed", "envelope_queues", "psum_uneven_cover", "query_boxes", "box_pages", "nn_box_pass2", "knn_scan_pass2", "nn_native_scan", "within_eps_box_pass2",
-    "prune_counts_box", "stage_histogram", "comparisons_scan", "fraction_sweep_supplier_month_walk", "w_sweep_supplier_month_walk", "pruning_supplier_month_walk", "pruning_supplier_month_raw", "pages_touched", "index_reach", "pruning_ratios", "approx_survivors", "nn_box_only_large_page", "nn_scan_pass2_of_50", "classify_embeddings", "classify_quality", "stream_nearest", "gen_random_walk", "gen_shapes_control", "pruning_cube", "classify_nations", "gen_whole_walk", "stream_tumbling", "stream_envelope", "text_import_roundtrip",
+    "prune_counts_box", "stage_histogram", "comparisons_scan", "fraction_sweep_supplier_month_walk", "w_sweep_supplier_month_walk", "pruning_supplier_month_walk", "pruning_supplier_month_raw", "pages_touched", "index_reach", "pruning_ratios", "approx_survivors", "nn_box_only_large_page", "nn_scan_pass2_of_50", "classify_embeddings", "classify_quality", "ndtw_band_of_one", "warp_path_cost", "sql_scalar_functions", "best_match", "nearest_in", "medoids", "second_pass_comparisons", "stream_late_rows", "stream_nearest", "gen_random_walk", "gen_shapes_control", "pruning_cube", "classify_nations", "gen_whole_walk", "stream_tumbling", "stream_envelope", "text_import_roundtrip",
 ]
 
 

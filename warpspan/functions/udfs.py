@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -177,9 +178,90 @@ def _ndtw_kernel(a, b, w, p):
     return [kernels.root(kernels.ndtw_pow(u, v, w, p), p) for u, v in zip(a, b, strict=True)]
 
 
+def _sums(x: pa.Array, d: pa.Array) -> pa.Array:
+    """Sums over d stretches of equal floor length, the last with the rest; null where x is null or shorter than d."""
+    out = []
+    for v, k in zip(x.to_pylist(), d.to_pylist(), strict=True):
+        if v is None or k is None or not 0 < k <= len(v):
+            out.append(None)
+        else:
+            step = len(v) // k
+            out.append([float(sum(v[i * step : (i + 1) * step if i < k - 1 else len(v)])) for i in range(k)])
+    return pa.array(out, pa.list_(pa.float64()))
+
+
+def _sides(x: pa.Array, y: pa.Array, w: pa.Array):
+    """Row by row: x, y and y's envelope, or nothing where an array is null, empty or of another length."""
+    for a, b, band in zip(x.to_pylist(), y.to_pylist(), w.to_pylist(), strict=True):
+        if not a or not b or band is None or len(a) != len(b):
+            yield None
+        else:
+            yield np.array([a], dtype=float), np.array([b], dtype=float), *kernels.envelope(np.array([b], dtype=float), None if band < 0 else band)
+
+
+def _sql_scalars() -> dict:
+    @F.arrow_udf(ENVELOPE)
+    def warp_envelope(y: pa.Array, w: pa.Array) -> pa.Array:
+        found = [None if s is None else (s[2][0], s[3][0]) for s in _sides(y, y, w)]
+        kind = pa.list_(pa.float64())
+        return pa.StructArray.from_arrays([pa.array([None if f is None else f[k] for f in found], kind) for k in (0, 1)], ["lo", "hi"])
+
+    @F.arrow_udf(ARRAY)
+    def warp_clamp(x: pa.Array, y: pa.Array, w: pa.Array) -> pa.Array:
+        return pa.array([None if s is None else kernels.clamp(s[0], s[2], s[3])[0] for s in _sides(x, y, w)], pa.list_(pa.float64()))
+
+    @F.arrow_udf(ARRAY)
+    def warp_psum(x: pa.Array, d: pa.Array) -> pa.Array:
+        return _sums(x, d)
+
+    return {"warp_envelope": warp_envelope, "warp_clamp": warp_clamp, "warp_psum": warp_psum}
+
+
+@F.udtf(returnType="rank int, at int, dist double")
+class NearestIn:
+    """SQL: ``LATERAL nearest_in(y, candidates, w, k)``, the k nearest of an array of series, ``at`` counting from 1."""
+
+    def eval(self, y: list, candidates: list, w: int, k: int):
+        pool = [(at, x) for at, x in enumerate(candidates or [], 1) if x and y and len(x) == len(y)]
+        if pool:
+            powers = kernels.dtw_pow(np.array([x for _, x in pool], dtype=float), np.array([y], dtype=float), None if w < 0 else w)
+            for rank, (dist, at) in enumerate(sorted(zip(powers.tolist(), [at for at, _ in pool], strict=True))[:k], 1):
+                yield rank, at, float(dist)
+
+
+def pack_series(pos: str | Column, value: str | Column) -> Column:
+    """Aggregate: the values in order of their positions."""
+    pair = F.struct((F.col(pos) if isinstance(pos, str) else pos).alias("pos"), (F.col(value) if isinstance(value, str) else value).cast("double").alias("val"))
+    return F.transform(F.array_sort(F.collect_list(pair)), lambda s: s.val)
+
+
+def best_match(dist: str | Column, series_id: str | Column) -> Column:
+    """Aggregate: a struct of the least distance and its series, of equal ones the smallest id."""
+    return F.min(F.struct((F.col(dist) if isinstance(dist, str) else dist).alias("dist"), (F.col(series_id) if isinstance(series_id, str) else series_id).alias("series_id")))
+
+
+def medoid(series_id: str, v: str, w: int | None = None, most: int = 2_000) -> Column:
+    """Aggregate for small groups: the id whose summed distance to the rest of its group is least, of equal ones the smallest.
+
+    It compares all pairs of a group, so groups of more than ``most`` are refused.
+    """
+
+    @F.pandas_udf("long")
+    def find(ids: pd.Series, rows: pd.Series) -> int:
+        if len(ids) > most:
+            raise ValueError(f"a group of {len(ids)} is too large for a medoid of at most {most}")
+        x, order = np.stack(rows.tolist()), np.argsort(ids.to_numpy(), kind="stable")
+        sums = [kernels.dtw_pow(x, x[k : k + 1], w).sum() for k in order]
+        return int(ids.to_numpy()[order[int(np.argmin(sums))]])
+
+    return find(series_id, v)
+
+
 def register(spark: SparkSession) -> None:
-    """SQL names: warp_dtw, warp_ndtw, warp_pass1, warp_pass2 (x, y, w, p), warp_path and explain_bounds."""
+    """SQL names: warp_dtw, warp_ndtw, warp_pass1, warp_pass2 (x, y, w, p), warp_envelope, warp_clamp, warp_psum, warp_path, explain_bounds, nearest_in."""
     for name, kernel in (("warp_dtw", _dtw_kernel), ("warp_ndtw", _ndtw_kernel), ("warp_pass1", _pass1_kernel), ("warp_pass2", _pass2_kernel)):
         spark.udf.register(name, _varying(kernel))
-    spark.udtf.register("warp_path", WarpPath)
-    spark.udtf.register("explain_bounds", ExplainBounds)
+    for name, function in _sql_scalars().items():
+        spark.udf.register(name, function)
+    for name, table in (("warp_path", WarpPath), ("explain_bounds", ExplainBounds), ("nearest_in", NearestIn)):
+        spark.udtf.register(name, table)

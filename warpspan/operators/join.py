@@ -32,28 +32,64 @@ def _verify(pairs: DataFrame, w: int, p: float, eps: float) -> DataFrame:
     return pairs.mapInArrow(run, "left_id bigint, right_id bigint, dist double")
 
 
+#: Points of one cell that are joined in one piece; cells with more are cut by a hash of the id.
+CELL_POINTS = 50_000
+#: Cells that a box reaches along an axis, at most; a wider one is listed in a coarser grid.
+MOST_CELLS = 3
+
+
+def _cells(low, high, width: float, level):
+    """First and last cell of a stretch in the grid of a level, whose cells are twice as wide as the level's before."""
+    size = F.lit(width) * F.pow(F.lit(2.0), level)
+    return F.floor(low / size), F.floor(high / size)
+
+
+def _met(points: DataFrame, boxes: DataFrame, reaches: list[float], bound, limit: float) -> DataFrame:
+    """``left_id, query_id`` of points within ``limit`` of a box: a join on cells of a grid over the first sums.
+
+    ``points`` has ``left_id, s1 .. sd``, ``boxes`` ``query_id, lo1 .. hid``. A
+    box is listed in the few cells that it reaches at a level of its own size,
+    a point once in each level that some box uses.
+    """
+    axes = range(1, len(reaches) + 1)
+    spread = boxes.agg(*(F.avg(F.col(f"hi{k}") - F.col(f"lo{k}")).alias(f"m{k}") for k in axes)).first()
+    widths = [max(2 * r + (spread[f"m{k}"] or 0.0), 1e-9) / 2 for k, r in zip(axes, reaches, strict=True)]
+    wide = F.greatest(F.lit(1.0), *((F.col(f"hi{k}") - F.col(f"lo{k}") + 2 * r) / (w * (MOST_CELLS - 1)) for k, r, w in zip(axes, reaches, widths, strict=True)))
+    leveled = boxes.withColumn("_level", F.ceil(F.log2(wide)).cast("int"))
+    levels = [r._level for r in leveled.select("_level").distinct().collect()]
+    if not levels:
+        return points.select("left_id", F.lit(None).cast("bigint").alias("query_id")).where("false")
+    names = [f"_c{k}" for k in axes]
+    spots = points.withColumn("_level", F.explode(F.array(*map(F.lit, sorted(levels)))))
+    for name, k, width in zip(names, axes, widths, strict=True):
+        spots = spots.withColumn(name, _cells(F.col(f"s{k}"), F.col(f"s{k}"), width, F.col("_level"))[0])
+    listed = leveled
+    for name, k, r, width in zip(names, axes, reaches, widths, strict=True):
+        first, last = _cells(F.col(f"lo{k}") - r, F.col(f"hi{k}") + r, width, F.col("_level"))
+        listed = listed.withColumn(name, F.explode(F.sequence(first, last)))
+    keys = ["_level", *names]
+    hot = spots.groupBy(*keys).agg(F.ceil(F.count("*") / CELL_POINTS).cast("int").alias("_pieces")).where("_pieces > 1")
+    hot = F.broadcast(hot)  # one row for CELL_POINTS points
+    spots = spots.join(hot, keys, "left").withColumn("_piece", F.pmod(F.xxhash64("left_id"), F.coalesce("_pieces", F.lit(1))).cast("int")).drop("_pieces")
+    listed = listed.join(hot, keys, "left").withColumn("_piece", F.explode(F.sequence(F.lit(0), F.coalesce("_pieces", F.lit(1)) - 1))).drop("_pieces")
+    return spots.join(listed, [*keys, "_piece"]).where(bound <= limit).select("left_id", "query_id")
+
+
 def warp_join(left: DataFrame, right: DataFrame, n: int, eps: float, w: int | None = None, p: float = 1, d: int = boxindex.D, self_join: bool = False) -> DataFrame:
     """Pairs with a distance of ``eps`` or less: ``left_id, right_id, dist``.
 
-    A range join on the first sum: a left point has one cell of width at least
-    eps, a right box is listed in the cells that it reaches. Pairs that meet
-    are held to the whole box bound before the arrays are fetched and verified
-    by both passes and the distance. A self join gives each pair once, the
-    smaller id on the left.
+    A range join on the first two sums, in grids whose cells suit the boxes.
+    Pairs that meet in a cell are held to the whole box bound before the arrays
+    are fetched and verified by both passes and the distance. A self join gives
+    each pair once, the smaller id on the left.
     """
     kernels.check_norm(p)
     w = kernels.check_band(w, n)
     cover = boxindex.floor_cover(n, min(d, n))
-    d = len(cover)
     points = boxindex.points_of(left, cover).withColumnRenamed("series_id", "left_id")
     boxes = boxindex.query_boxes(right.select(F.col("series_id").alias("query_id"), F.col("v").alias("y")), w, cover)
-    reach = eps * ((cover[0][1] - cover[0][0]) ** (1 - 1 / p) if p != kernels.INF else cover[0][1] - cover[0][0])
-    mean_box = boxes.agg(F.avg(F.col("hi1") - F.col("lo1"))).first()[0] or 0.0
-    width = max(reach, mean_box, 1e-9)
-    cell = lambda c: F.floor(c / F.lit(width))
-    spots = points.withColumn("cell", cell(F.col("s1")))
-    listed = boxes.withColumn("cell", F.explode(F.sequence(cell(F.col("lo1") - reach), cell(F.col("hi1") + reach))))
-    met = spots.join(listed, "cell").where(boxindex.point_bound_pow(cover, p) <= kernels.power(eps, p))
+    reaches = [eps * ((b - a) ** (1 - 1 / p) if p != kernels.INF else b - a) for a, b in cover[:2]]
+    met = _met(points, boxes, reaches, boxindex.point_bound_pow(cover, p), kernels.power(eps, p))
     if self_join:
         met = met.where("left_id < query_id")
     chosen = met.select("left_id", F.col("query_id").alias("right_id"))

@@ -4,8 +4,8 @@ Counters of the sequential algorithms are exact without running them one
 candidate after another. A candidate that a bound prunes has a distance no
 smaller than the limit, so leaving it out never changes the limit; the limit
 before a candidate is therefore the least true distance of all earlier ones,
-which is a window over the table of all bounds and distances. That table is
-what a measurement costs; searches don't need it.
+which is a prefix minimum over the table of all bounds and distances. That
+table is what a measurement costs; searches don't need it.
 """
 
 from __future__ import annotations
@@ -19,6 +19,7 @@ from pyspark.sql.window import Window
 from warpspan.functions import expressions as X
 from warpspan.functions import kernels
 from warpspan.operators import boxindex, search
+from warpspan.sources import store
 from warpspan.sources.series import matrix
 
 BOUNDS = ("box", "pass1", "pass2", "dtw", "lp")
@@ -56,9 +57,21 @@ def _bounds_of(series: DataFrame, tile, w: int, p: float, d: int, cover) -> Data
     return series.select("series_id", "v").mapInArrow(run, f"query_id bigint, series_id bigint, {types}")
 
 
-def _limit(order: list[str]) -> Column:
-    before = Window.partitionBy("query_id").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
-    return F.coalesce(F.min("dtw").over(before), F.lit(float("inf")))
+def with_limit(bounds: DataFrame, order: list[str], name: str = "limit") -> DataFrame:
+    """Adds the least distance among each query's earlier candidates, infinite for the first.
+
+    Rows are cut into ranges of (query, order), so that a query's sequence may
+    be as long as the collection: the least distance of the ranges before comes
+    from a table of one row a range, and that inside a range from a window.
+    The ranges are stored, as they hang on a sample.
+    """
+    ranged = store.stored(bounds.repartitionByRange("query_id", *order).withColumn("_block", F.spark_partition_id()))
+    least = ranged.groupBy("query_id", "_block").agg(F.min("dtw").alias("_least"))
+    earlier = Window.partitionBy("query_id").orderBy("_block").rowsBetween(Window.unboundedPreceding, -1)
+    before = F.broadcast(least.select("query_id", "_block", F.min("_least").over(earlier).alias("_before")))
+    inside = Window.partitionBy("query_id", "_block").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    limit = F.coalesce(F.least(F.min("dtw").over(inside), F.col("_before")), F.lit(float("inf")))
+    return ranged.join(before, ["query_id", "_block"]).withColumn(name, limit).drop("_block", "_before")
 
 
 #: Method to the bounds it tests, with the visiting order of its candidates.
@@ -78,7 +91,7 @@ def sequential_counts(bounds: DataFrame, methods: list[str], by: list[str] = ["q
     orders = {tuple(SEQUENTIAL[m][1]): f"limit{k}" for k, m in enumerate(methods)}
     ranked = bounds
     for order, limit in orders.items():
-        ranked = ranked.withColumn(limit, _limit(list(order)))
+        ranked = with_limit(ranked, list(order), limit)
     sums, rows = [F.count("*").alias("candidates")], []
     for k, method in enumerate(methods):
         tests, order = SEQUENTIAL[method]
@@ -89,7 +102,7 @@ def sequential_counts(bounds: DataFrame, methods: list[str], by: list[str] = ["q
             sums.append(F.sum(passed.cast("long")).alias(f"m{k}_{name}"))
             cells.append(F.col(f"m{k}_{name}").alias(f"after_{name}"))
         rows.append(F.struct(F.lit(method).alias("method"), "candidates", *cells, F.col(f"m{k}_pass2").alias("dtw_done")))
-    # All methods from one pass over the table: two window orders share one shuffle.
+    # All methods from one pass over the table.
     return ranked.groupBy(*by).agg(*sums).select(*by, F.inline(F.array(*rows)))
 
 
@@ -98,7 +111,7 @@ def survivors(bounds: DataFrame, methods: list[str]) -> DataFrame:
     outs = []
     for method in methods:
         tests, order = SEQUENTIAL[method]
-        left = bounds.withColumn("limit", _limit(order))
+        left = with_limit(bounds, order)
         for name in tests:
             left = left.where(F.col(name) < F.col("limit"))
         outs.append(left.select(F.lit(method).alias("method"), "query_id", "series_id"))
@@ -119,7 +132,7 @@ def stage_histogram(bounds: DataFrame, order: list[str] = ["box", "series_id"])
     stage = (
         F.when(F.col("box") >= limit, "box").when(F.col("pass1") >= limit, "pass1").when(F.col("pass2") >= limit, "pass2").otherwise("dtw")
     )
-    ranked = bounds.withColumn("limit", _limit(order))
+    ranked = with_limit(bounds, order)
     return ranked.groupBy("query_id", stage.alias("stage")).agg(F.count("*").alias("candidates"))
 
 
@@ -151,6 +164,29 @@ def scan_comparisons(queries: DataFrame, series: DataFrame, w: int) -> DataFrame
     return pairs.groupBy("query_id").agg(F.sum(made).alias("comparisons"), F.sum(F.size("v").cast("long") * 2).alias("most"))
 
 
+def second_pass_comparisons(bounds: DataFrame, queries: DataFrame, series: DataFrame, w: int) -> DataFrame:
+    """Comparisons of samples in the second pass, for the candidates that the first leaves in a sequential scan, by query.
+
+    A second envelope by queues is counted as it runs; the query is then held
+    against it, with one or two comparisons a sample. ``most`` is 5 a sample.
+    """
+    left = with_limit(bounds, ["series_id"]).where("pass1 < `limit`").select("query_id", "series_id")
+    env = queries.select("query_id", "y", X.envelope("y", w).alias("e"))
+    pairs = left.join(series.select("series_id", "v"), "series_id").join(F.broadcast(env), "query_id")
+
+    def count(source):
+        for batch in source:
+            x, y, lo, hi = (matrix(batch.column(k)) for k in range(1, 5)) if batch.num_rows else [np.zeros((0, 1))] * 4
+            made = []
+            for h, own in zip(kernels.clamp(x, lo, hi), y, strict=True):
+                _, top, seen = kernels.envelope_by_queues(h.tolist(), w)
+                made.append(seen + 2 * len(own) - int((own > np.array(top)).sum()))
+            yield pa.record_batch([batch.column(0), pa.array(made, pa.int64()), pa.array([5 * x.shape[1]] * len(made), pa.int64())], names=["query_id", "comparisons", "most"])
+
+    rows = pairs.select("query_id", "v", "y", "e.lo", "e.hi").mapInArrow(count, "query_id bigint, comparisons bigint, most bigint")
+    return rows.groupBy("query_id").agg(F.sum("comparisons").alias("comparisons"), F.sum("most").alias("most"))
+
+
 def comparison_limits(counts: DataFrame, n: int) -> DataFrame:
     """The stated limits (2N + 3)n of the scan with one pass, and 5 comparisons a sample more for each candidate that the first leaves."""
     c = counts.where("method = 'scan_pass2'")

@@ -44,6 +44,11 @@ register(
     lambda s, d: measures.comparison_limits(measures.sequential_counts(_bounds(s, d), ["scan_pass2"]), N),
     f"{_M} SELECT query_id, ((2 * candidates + 3) * {N})::BIGINT AS limit_pass1, ((2 * candidates + 3) * {N} + 5 * after_pass1 * {N})::BIGINT AS limit_pass2 FROM ({O.counts(['scan_pass2'])})",
 )
+register(
+    "second_pass_comparisons",
+    lambda s, d: (lambda qs, db: measures.second_pass_comparisons(measures.bound_table(qs, db, W), qs, db, W).select("query_id", (F.col("comparisons") <= F.col("most")).alias("holds"), "most"))(*workload(s, d)),
+    f"{_M} SELECT query_id, TRUE AS holds, (5 * {N} * after_pass1)::BIGINT AS most FROM ({O.counts(['scan_pass2'])}) WHERE after_pass1 > 0",
+)
 register(
     "cells_done",
     lambda s, d: measures.cells_done(measures.sequential_counts(_bounds(s, d), METHODS), N, W),
@@ -389,6 +394,18 @@ register(
 )
 
 
+@query("stream_late_rows", "SELECT count(*) AS late FROM events WHERE ts < TIMESTAMP '2024-01-11' AND ts < (SELECT max(ts) FROM events WHERE ts >= TIMESTAMP '2024-01-21') - INTERVAL 1 HOUR")
+def stream_late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Thirds of the month in the wrong order, one a trigger: rows are late from the second trigger after a watermark on."""
+    place = streams.shared_folder(spark)
+    events = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    third = F.least(F.lit(2), F.floor((F.dayofmonth("ts") - 1) / 10))
+    for part in (2, 1, 0):
+        events.where(third == part).coalesce(1).write.mode("append").parquet(f"{place}/in")
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{place}/in")
+    return spark.createDataFrame([(streams.late_rows(stream),)], "late bigint")
+
+
 @query("stream_nearest", answers_sql("part_qty_walk", Q, 24, 2))
 def stream_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each batch's first 24 samples of a part go to the stored index of all others."""

@@ -155,6 +155,20 @@ register(
     f"WITH RECURSIVE {O.split(FIX, Q)}, {O.warp(N, N, '1', 'SELECT query_id, series_id, list_sort(v) AS x, list_sort(y) AS y FROM db CROSS JOIN q')} SELECT query_id, series_id, dtw::BIGINT AS power FROM warp",
 )
 register("ndtw_banded_p1", lambda s, d: _pairs(s, d).select(*_value("power", udfs.ndtw("x", "y", W))))
+# With a band of one each point has three partners, and the cheapest cover follows from four sums carried from point to point.
+register(
+    "ndtw_band_of_one",
+    lambda s, d: _pairs(s, d).select(*_value("power", udfs.ndtw("x", "y", 1))),
+    f"""WITH RECURSIVE {O.split(FIX, Q)}, pairs AS (SELECT query_id, series_id, v AS x, y FROM db CROSS JOIN q),
+    states(query_id, series_id, i, none, mine, other, twice) USING KEY (query_id, series_id) AS (
+      SELECT query_id, series_id, 1, 0.0::DOUBLE, 'inf'::DOUBLE, 'inf'::DOUBLE, 'inf'::DOUBLE FROM pairs
+      UNION
+      SELECT s.query_id, s.series_id, i + 1, least(twice, least(none, mine, other) + abs(x[i] - y[i])),
+        abs(x[i + 1] - y[i]) + least(mine, twice, least(none, other) + abs(x[i] - y[i])), abs(x[i] - y[i + 1]) + least(other, twice, least(none, mine) + abs(x[i] - y[i])),
+        abs(x[i + 1] - y[i]) + abs(x[i] - y[i + 1]) + least(none, mine, other, twice)
+      FROM states s JOIN pairs p ON s.query_id = p.query_id AND s.series_id = p.series_id WHERE i < {N})
+    SELECT query_id, s.series_id, least(twice, least(none, mine, other) + abs(x[{N}] - y[{N}]))::BIGINT AS power FROM states s JOIN pairs USING (query_id, series_id)""",
+)
 
 BANDS = (0, 4, 8, 16, 83)
 
@@ -253,6 +267,60 @@ def warp_path_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql(f"SELECT query_id, series_id, e.* FROM warp_best, LATERAL warp_path(x, y, {W}) e")
 
 
+@query("warp_path_cost", f"""WITH RECURSIVE {O.split(FIX, Q)}, {O.warp(N, W)}, best AS (SELECT query_id, series_id, dtw FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dtw, series_id) AS r FROM warp) WHERE r = 1)
+ SELECT query_id, series_id, dtw::BIGINT AS cost, dtw::BIGINT AS aligned_l1, {N}::BIGINT AS xs, {N}::BIGINT AS ys, TRUE AS monotonic, TRUE AS in_band FROM best""")
+def warp_path_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What a path must be: its matches cost the distance, and so do the two series aligned by it; it covers both in order and in the band."""
+    rows = warp_path_rows(spark, sf_dir)
+    before = Window.partitionBy("query_id", "series_id").orderBy("step")
+    last = F.struct(F.lag("i").over(before).alias("i"), F.lag("j").over(before).alias("j"))
+    stepped = rows.withColumn("last", last).withColumn("ok", F.coalesce((F.col("i") - F.col("last.i")).between(0, 1) & (F.col("j") - F.col("last.j")).between(0, 1), F.lit(True)))
+    long = stepped.groupBy("query_id", "series_id").agg(
+        F.sum(F.abs(F.col("xi") - F.col("yj"))).alias("cost"), udfs.pack_series("step", "xi").alias("x"), udfs.pack_series("step", "yj").alias("y"),
+        F.count_distinct("i").alias("xs"), F.count_distinct("j").alias("ys"), F.min("ok").alias("monotonic"), F.max(F.abs(F.col("i") - F.col("j"))).alias("far"),
+    )
+    return long.select("query_id", "series_id", F.col("cost").cast("bigint").alias("cost"), X.lp_distance_pow("x", "y").cast("bigint").alias("aligned_l1"), "xs", "ys", "monotonic", (F.col("far") <= W).alias("in_band"))
+
+
+@query("sql_scalar_functions", f"""WITH {O.split(FIX, Q)}, {O.bounds(N, W)}, s AS (SELECT series_id, {', '.join(f"sum(x) FILTER (WHERE least((pos - 1) // {N // D}, {D - 1}) = {k - 1}) AS s{k}" for k in (1, D))} FROM db_long GROUP BY 1)
+ SELECT query_id, series_id, sum(lo)::BIGINT AS lows, sum(hi)::BIGINT AS highs, sum(h)::BIGINT AS clamped, max(s1)::BIGINT AS first_sum, max(s{D})::BIGINT AS last_sum FROM clamped JOIN s USING (series_id) GROUP BY 1, 2""")
+def sql_scalar_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Envelope, clamp and piecewise sums by their SQL names."""
+    udfs.register(spark)
+    _pairs(spark, sf_dir).createOrReplaceTempView("warp_scalars")
+    total = lambda a: f"CAST(aggregate({a}, 0D, (t, x) -> t + x) AS BIGINT)"
+    return spark.sql(f"""SELECT query_id, series_id, {total('e.lo')} AS lows, {total('e.hi')} AS highs, {total('c')} AS clamped, CAST(s[0] AS BIGINT) AS first_sum, CAST(s[{D - 1}] AS BIGINT) AS last_sum
+      FROM (SELECT query_id, series_id, warp_envelope(y, {W}) AS e, warp_clamp(x, y, {W}) AS c, warp_psum(x, {D}) AS s FROM warp_scalars)""")
+
+
+@query("best_match", f"WITH RECURSIVE {O.split(FIX, Q)}, {O.warp(N, W)} SELECT query_id, min(dtw)::BIGINT AS dist, arg_min(series_id, (dtw, series_id)) AS series_id FROM warp GROUP BY 1")
+def best_match(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The nearest series as an aggregate over all pairs."""
+    found = _pairs(spark, sf_dir).select("query_id", "series_id", udfs.dtw("x", "y", W).alias("dist"))
+    return found.groupBy("query_id").agg(udfs.best_match("dist", "series_id").alias("b")).select("query_id", F.col("b.dist").cast("bigint").alias("dist"), "b.series_id")
+
+
+@query("nearest_in", f"""WITH RECURSIVE {O.FIXTURES['nation_month']}, packed AS (SELECT series_id, list(val::DOUBLE ORDER BY pos) AS v FROM long GROUP BY 1),
+ {O.warp(80, 8, '1', 'SELECT a.series_id AS query_id, b.series_id, b.v AS x, a.v AS y FROM packed a CROSS JOIN packed b')}
+ SELECT query_id, rank::INT AS rank, series_id, dtw::BIGINT AS dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dtw, series_id) AS rank FROM warp) WHERE rank <= 3""")
+def nearest_in(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each nation's three nearest among all nations, by a table function over a small array of series."""
+    udfs.register(spark)
+    nations = S.nation_month(spark, sf_dir)
+    pool = nations.agg(F.array_sort(F.collect_list(F.struct("series_id", "v"))).alias("p"))
+    nations.select(F.col("series_id").alias("query_id"), F.col("v").alias("y")).crossJoin(F.broadcast(pool)).createOrReplaceTempView("warp_nations")
+    return spark.sql("SELECT query_id, n.rank, p[n.at - 1].series_id AS series_id, CAST(n.dist AS BIGINT) AS dist FROM warp_nations, LATERAL nearest_in(y, transform(p, x -> x.v), 8, 3) n")
+
+
+@query("medoids", f"""WITH RECURSIVE {O.FIXTURES['nation_month']}, packed AS (SELECT series_id, list(val::DOUBLE ORDER BY pos) AS v FROM long GROUP BY 1),
+ named AS (SELECT n_nationkey::BIGINT AS series_id, r_name AS label FROM nation JOIN region ON n_regionkey = r_regionkey),
+ {O.warp(80, 8, '1', 'SELECT a.series_id AS query_id, b.series_id, b.v AS x, a.v AS y FROM packed a JOIN named m ON a.series_id = m.series_id JOIN named o ON m.label = o.label JOIN packed b ON b.series_id = o.series_id')}
+ SELECT label, query_id AS medoid FROM (SELECT label, query_id, row_number() OVER (PARTITION BY label ORDER BY sum(dtw), query_id) AS r FROM warp JOIN named ON query_id = named.series_id GROUP BY 1, 2) WHERE r = 1""")
+def medoids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each region's most central nation, by a grouped aggregate."""
+    return S.nation_month(spark, sf_dir).groupBy("label").agg(udfs.medoid("series_id", "v", 8).alias("medoid"))
+
+
 # The index.
 def _blocks(cover: boxindex.Cover) -> str:
     return " ".join(f"WHEN pos BETWEEN {a + 1} AND {b} THEN {k}" for k, (a, b) in enumerate(cover, 1))

@@ -8,9 +8,6 @@ session names for checkpoints.
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -22,6 +19,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from warpspan.functions import kernels
 from warpspan.operators import search
+from warpspan.sources.store import shared_folder
 
 EVENTS = T.StructType(
     [
@@ -31,19 +29,6 @@ EVENTS = T.StructType(
 )
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """A new folder under the one that the session names for checkpoints.
-
-    If it names none, a session on one machine gets a temporary folder and any
-    other a folder of the warehouse, which all executors share.
-    """
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        local = spark.sparkContext.master.startswith("local")
-        base = os.path.join(tempfile.gettempdir() if local else spark.conf.get("spark.sql.warehouse.dir"), "warpspan-streams")
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
-
-
 def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 8) -> DataFrame:
     """The events as a stream of files, with ``ts`` fit for a watermark and ``cents`` whole."""
     reader = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_batch)
@@ -100,6 +85,23 @@ def once(events: DataFrame, late: str = "1 day") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def late_rows(stream: DataFrame, late: str = "1 hour") -> int:
+    """How many rows of all that is there come after the watermark has passed them, from the query's own progress.
+
+    A trigger's rows are held against the watermark that the trigger before it
+    began with, as in every stateful operator here; late rows are left out.
+    """
+    place = shared_folder(stream.sparkSession)
+    keyed = stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{place}/rows/batch={number}")
+
+    query = keyed.writeStream.option("checkpointLocation", f"{place}/log").foreachBatch(write).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return sum(state.numRowsDroppedByWatermark for progress in query.recentProgress for state in progress.stateOperators)
+
+
 def paired(left: DataFrame, right: DataFrame, within: str = "10 minutes", late: str = "1 hour") -> DataFrame:
     """Two streams joined where a user's events are at most ``within`` apart."""
     a = left.select(F.col("user_id"), F.col("ts").alias("left_ts"), F.col("event_id").alias("left_id")).withWatermark("left_ts", late)
