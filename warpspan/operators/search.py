@@ -47,8 +47,10 @@ METHODS = {
 }
 #: Samples of queries that one task holds: 64 MB with their envelopes.
 QUERY_VALUES = 2_500_000
-#: Pairs that the distance kernel takes at first and at most; in between the number doubles.
-CHUNK, MOST_CHUNK = 64, 512
+#: Candidates of a query that are refined at once at first; the number doubles from turn to turn.
+CHUNK = 32
+#: Pairs of all queries together that the distance kernel takes at once.
+MOST_PAIRS = 2_048
 #: Pairs of a page and a query that reaches it which are sent to every task; more are joined by a shuffle.
 MOST_HITS = 5_000_000
 
@@ -103,8 +105,8 @@ class Best:
     task has written them, so a task holds no more than a batch of them.
     """
 
-    def __init__(self, plan: Plan, limit: float):
-        self.plan, self.seed, self.rows = plan, limit, []
+    def __init__(self, plan: Plan, limit: float, query_id: int):
+        self.plan, self.seed, self.query_id, self.rows = plan, limit, query_id, []
         self.counts = np.zeros(len(COUNTERS), dtype=np.int64)
 
     @property
@@ -121,59 +123,101 @@ class Best:
         elif new:
             self.rows = heapq.nsmallest(self.plan.k, self.rows + new)
 
-    def refine(self, query: Query, ids: np.ndarray, x: np.ndarray, sums: np.ndarray | None = None) -> None:
-        """The cascade over a block of candidates, cheapest bound first; ``sums`` are their points for the box bound."""
+    def filtered(self, query: Query, rows: np.ndarray, ids: np.ndarray, x: np.ndarray, sums: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Rows of a block that the box bound and the first pass leave, with their bounds, the least first."""
         plan, started = self.plan, time.perf_counter_ns()
-        self.counts[0] += len(ids)
-        bound = np.zeros(len(ids))
+        if plan.exclude_self:
+            rows = rows[ids[rows] != self.query_id]
+        self.counts[0] += len(rows)
+        bound = np.zeros(len(rows))
         if sums is not None:
-            bound = boxindex.box_pow(sums, query.lo, query.hi, plan.cover, plan.p)
+            bound = boxindex.box_pow(sums[rows], query.lo, query.hi, plan.cover, plan.p)
             alive = bound <= self.limit
-            ids, x, bound = ids[alive], x[alive], bound[alive]
-        self.counts[1] += len(ids)
-        # What can't enter is given up at the least value above the limit, so that ties stay.
-        beyond = lambda: np.nextafter(self.limit, np.inf)
+            rows, bound = rows[alive], bound[alive]
+        self.counts[1] += len(rows)
         if "pass1" in plan.passes:
+            block = x[rows]
             if plan.early_abandon:
-                bound, read = kernels.abandoning_pass1(x, query.lo, query.hi, beyond(), plan.p)
+                bound, read = kernels.abandoning_pass1(block, query.lo, query.hi, self.beyond, plan.p)
             else:
-                bound, read = kernels.pass1_pow(x, query.lo, query.hi, plan.p), x.size
+                bound, read = kernels.pass1_pow(block, query.lo, query.hi, plan.p), block.size
             self.counts[5] += read
             alive = bound <= self.limit
-            ids, x, bound = ids[alive], x[alive], bound[alive]
-        self.counts[2] += len(ids)
+            rows, bound = rows[alive], bound[alive]
+        self.counts[2] += len(rows)
         order = np.argsort(bound, kind="stable")
-        distance_ns, start, take = 0, 0, CHUNK
-        while start < len(order):
-            block = order[start : start + take]
-            start, take = start + take, min(2 * take, MOST_CHUNK)
-            block = block[bound[block] <= self.limit]
-            if not len(block):
-                break
-            if "pass2" in plan.passes:
-                if plan.early_abandon:
-                    both, read = kernels.abandoning_pass2(x[block], query.y, query.lo, query.hi, plan.w, bound[block], beyond(), plan.p)
-                else:
-                    more = kernels.gap2_pow(x[block], query.y, query.lo, query.hi, plan.w, plan.p)
-                    both, read = kernels.add(bound[block], more, plan.p), len(block) * x.shape[1]
-                self.counts[5] += read
-                block = block[both <= self.limit]
-            self.counts[3] += len(block)
-            if len(block):
-                self.counts[4] += len(block)
-                begun = time.perf_counter_ns()
-                self.offer(kernels.dtw_pow(x[block], query.y, plan.w, plan.p), ids[block])
-                distance_ns += time.perf_counter_ns() - begun
-        self.counts[6] += time.perf_counter_ns() - started - distance_ns
-        self.counts[7] += distance_ns
-
-    def drained(self, query_id: int) -> list[tuple]:
+        self.counts[6] += time.perf_counter_ns() - started
+        return rows[order], bound[order]
+
+    @property
+    def beyond(self) -> float:
+        """The least value above the limit: what reaches it can't enter, and ties stay."""
+        return np.nextafter(self.limit, np.inf)
+
+    def drained(self) -> list[tuple]:
         """The rows so far, which are then forgotten."""
         rows, self.rows = self.rows, []
-        return [(query_id, series_id, power, None) for power, series_id in rows]
+        return [(self.query_id, series_id, power, None) for power, series_id in rows]
+
+    def output(self) -> list[tuple]:
+        return [*self.drained(), (self.query_id, None, None, self.counts.tolist())]
 
-    def output(self, query_id: int) -> list[tuple]:
-        return [*self.drained(query_id), (query_id, None, None, self.counts.tolist())]
+
+def refine(bests: dict[int, Best], queries: dict[int, Query], plan: Plan, ids: np.ndarray, x: np.ndarray, rows_of: dict[int, np.ndarray], sums: np.ndarray | None = None) -> None:
+    """The cascade over a block of candidates; ``rows_of`` names the rows that each query meets.
+
+    Each query's candidates are filtered by the cheap bounds and put in order.
+    Then, turn by turn, the next few of all queries go through the second pass
+    and the distance together, as one call costs little more for many pairs.
+    """
+    names = list(rows_of)
+    for start in range(0, len(names), MOST_PAIRS // CHUNK):
+        open_ = {q: bests[q].filtered(queries[q], rows_of[q], ids, x, sums) for q in names[start : start + MOST_PAIRS // CHUNK]}
+        take = CHUNK
+        while open_:
+            parts = {}
+            for q, (rows, bound) in open_.items():
+                good = int(np.searchsorted(bound[:take], bests[q].limit, side="right"))
+                if good:
+                    parts[q] = rows[:good], bound[:good]
+            # A query is done when its next candidate is beyond its limit.
+            open_ = {q: (rows[take:], bound[take:]) for q, (rows, bound) in open_.items() if q in parts and len(parts[q][0]) == take and len(rows) > take}
+            if parts:
+                _refine_together(parts, bests, queries, plan, ids, x)
+            take = min(2 * take, MOST_PAIRS // max(1, len(open_)))
+
+
+def _refine_together(parts: dict, bests: dict[int, Best], queries: dict[int, Query], plan: Plan, ids: np.ndarray, x: np.ndarray) -> None:
+    started = time.perf_counter_ns()
+    own = list(parts)
+    sizes = [len(parts[q][0]) for q in own]
+    owner = np.repeat(np.arange(len(own)), sizes)
+    rows, bound = (np.concatenate([parts[q][k] for q in own]) for k in (0, 1))
+    y, lo, hi = (np.stack([getattr(queries[q], side) for q in own]) for side in ("y", "lo", "hi"))
+    block = x[rows]
+    limits = np.array([bests[q].limit for q in own])[owner]
+    if "pass2" in plan.passes:
+        read = [size * x.shape[1] for size in sizes]
+        if plan.early_abandon:
+            beyond = np.array([bests[q].beyond for q in own])[owner]
+            both, samples = kernels.abandoning_pass2(block, y[owner], lo[owner], hi[owner], plan.w, bound, beyond, plan.p)
+            read = [samples * size // len(rows) for size in sizes]
+        else:
+            both = kernels.add(bound, kernels.gap2_pow(block, y[owner], lo[owner], hi[owner], plan.w, plan.p), plan.p)
+        alive = both <= limits
+        block, owner, rows = block[alive], owner[alive], rows[alive]
+        for q, samples in zip(own, read, strict=True):
+            bests[q].counts[5] += samples
+    begun = time.perf_counter_ns()
+    powers = kernels.dtw_pow(block, y[owner], plan.w, plan.p) if len(rows) else np.zeros(0)
+    ended = time.perf_counter_ns()
+    for k, q in enumerate(own):
+        mine = owner == k
+        done = int(mine.sum())
+        bests[q].counts[3:5] += done
+        bests[q].counts[6:8] += ((begun - started) // len(own), (ended - begun) * done // max(1, len(rows)))
+        if done:
+            bests[q].offer(powers[mine], ids[rows[mine]])
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
@@ -206,18 +250,18 @@ def scan(series: DataFrame, tile: dict[int, Query], plan: Plan, limits: dict[int
 
     def run(source):
         queries, seeds = _shared(shared)
-        best = {q: Best(plan, seeds.get(q, _start(plan))) for q in queries}
+        best = {q: Best(plan, seeds.get(q, _start(plan)), q) for q in queries}
         for batch in source:
             if not batch.num_rows:
                 continue
             ids, x = batch.column(0).to_numpy(), matrix(batch.column(1))
-            for q, query in queries.items():
+            every = np.arange(len(ids))
+            for query in queries.values():
                 _lengths_agree(x, query)
-                mine = ids != q if plan.exclude_self else slice(None)
-                best[q].refine(query, ids[mine], x[mine])
-                if plan.eps is not None and best[q].rows:
-                    yield _batch(best[q].drained(q))
-        yield _batch([row for q in queries for row in best[q].output(q)])
+            refine(best, queries, plan, ids, x, {q: every for q in queries})
+            if plan.eps is not None:
+                yield _batch([row for b in best.values() for row in b.drained()])
+        yield _batch([row for b in best.values() for row in b.output()])
 
     return series.select("series_id", "v").mapInArrow(run, _FOUND_TYPES)
 
@@ -236,16 +280,14 @@ def refine_pages(paged: DataFrame, tile: dict[int, Query], plan: Plan, limits: d
             sums = kernels.piecewise_sums(x, plan.cover)
             row = np.repeat(np.arange(len(ids)), np.asarray(owners.value_lengths()))
             owner = owners.flatten().to_numpy()
-            for q in np.unique(owner).tolist():
+            rows_of = {q: row[owner == q] for q in np.unique(owner).tolist()}
+            for q in rows_of:
                 _lengths_agree(x, queries[q])
-                mine = row[owner == q]
-                if plan.exclude_self:
-                    mine = mine[ids[mine] != q]
-                own = best.setdefault(q, Best(plan, seeds.get(q, _start(plan))))
-                own.refine(queries[q], ids[mine], x[mine], sums[mine])
-                if plan.eps is not None and own.rows:
-                    yield _batch(own.drained(q))
-        yield _batch([row for q, b in best.items() for row in b.output(q)])
+                best.setdefault(q, Best(plan, seeds.get(q, _start(plan)), q))
+            refine(best, queries, plan, ids, x, rows_of, sums)
+            if plan.eps is not None:
+                yield _batch([row for b in best.values() for row in b.drained()])
+        yield _batch([row for b in best.values() for row in b.output()])
 
     return paged.select("owners", "series_id", "v").mapInArrow(run, _FOUND_TYPES)
 
