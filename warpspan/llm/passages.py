@@ -11,16 +11,17 @@ is a line with as many. Words are normalised (Unicode NFKC, lower case, runs of
 letters and digits) before a unit's 128-bit digest is taken.
 
 Of all units with one digest the earliest ranked stays, by document id, then by
-text and place. All others are to be removed. Units overlap; the ones to be
+a hash of the text, then by place. All others are to be removed. Units overlap; the ones to be
 removed in a text are joined to passages, and a passage goes if it has
 ``PASSAGE_WORDS`` words or more. What is lost of a copy that stands inside other
 words is less than a ``WINDOW`` before its first common mark and two behind, so
 a copy of over 50 words is found whatever stands around it. Passages come with
-their offsets in the original text and the place of what is kept.
+their offsets in the original text and the id of what is kept.
 
 A digest that occurs a million times is reduced before it is shuffled (a
 minimum per task), and the occurrences meet the kept one in a join whose large
-side adaptive execution can split.
+side adaptive execution can split. Units are made twice, once for either step,
+rather than stored: their table would be larger than the texts.
 
 Null and empty texts have no units. Rows without an id rank after all others
 and are never kept if another has the unit. Repeated rows of one id and text
@@ -43,10 +44,10 @@ from pyspark.sql.window import Window
 from warpspan.llm.common import cut, values
 
 #: Words among which one is a mark, words of a unit at least, and words of a passage that goes.
-WINDOW, UNIT_WORDS, PASSAGE_WORDS = 7, 24, 32
+WINDOW, UNIT_WORDS, PASSAGE_WORDS = 9, 24, 26
 
 _WORD = re.compile(r"[^\W_]+")
-_UNITS = "doc_id bigint, mark bigint, start int, after int, first int, last int, d0 bigint, d1 bigint"
+_UNITS = "doc_id bigint, mark bigint, start int, after int, first int, last int, again boolean, d0 bigint, d1 bigint"
 #: Odd bases of the polynomial hashes: of letters in a word, and of words in a unit.
 _LETTERS, _BASES = 0x9E3779B97F4A7C15, (0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
 _powers: dict[int, np.ndarray] = {}
@@ -122,8 +123,11 @@ def marks_in(hashes: np.ndarray, window: int = WINDOW) -> np.ndarray:
 
 
 def units_of(text: str | None) -> np.ndarray:
-    """A row ``start, after, first word, word after, d0, d1`` for each unit of a text, by place; offsets in code points."""
-    none = np.zeros((0, 6), dtype=np.int64)
+    """A row ``start, after, first word, word after, again, d0, d1`` for each unit of a text, by place; offsets in code points.
+
+    ``again`` is 1 for a unit that stands earlier in the text already.
+    """
+    none = np.zeros((0, 7), dtype=np.int64)
     starts, ends, words = words_hashed(text) if text else (none, none, none)
     if len(words) < UNIT_WORDS:
         return none
@@ -133,22 +137,19 @@ def units_of(text: str | None) -> np.ndarray:
     breaks = np.array([m.start() for m in re.finditer("\n", text)] + [len(text)])
     line_last = np.searchsorted(starts, breaks)
     line_first = np.concatenate([[0], line_last[:-1]])
-    # A line's start to the first mark that is far enough, and from the last one that is to a line's end.
-    onward, back = np.searchsorted(marks, line_first + UNIT_WORDS), np.searchsorted(marks, line_last - UNIT_WORDS, side="right") - 1
-    ahead, behind = (line_last > line_first) & (onward < len(marks)), (line_last > line_first) & (back >= 0)
     long = line_last - line_first >= UNIT_WORDS
-    firsts = np.concatenate([first, line_first[ahead], marks[back[behind]], line_first[long]])
-    lasts = np.concatenate([last, marks[onward[ahead]], line_last[behind], line_last[long]])
+    firsts, lasts = np.concatenate([first, line_first[long]]), np.concatenate([last, line_last[long]])
     spans = np.unique((firsts << 32) | lasts)
     first, last = spans >> 32, spans & ((1 << 32) - 1)
     digests = [_runs_hashed(_mixed(words + np.uint64(k)), first, last, base).view(np.int64) for k, base in enumerate(_BASES)]
-    out = np.stack([starts[first], ends[last - 1], first, last, *digests], axis=1)
+    out = np.stack([starts[first], ends[last - 1], first, last, np.zeros_like(first), *digests], axis=1)
     if len(np.unique(digests[0])) < len(out):
         # A unit is no copy of itself where a text repeats at once.
         reached: dict[tuple[int, int], int] = {}
         keep = np.ones(len(out), dtype=bool)
-        for row, (begin, end, a, b) in enumerate(out[:, 2:].tolist()):
+        for row, (begin, end, _, a, b) in enumerate(out[:, 2:].tolist()):
             if begin >= reached.get((a, b), 0):
+                out[row, 4] = (a, b) in reached
                 reached[a, b] = end
             else:
                 keep[row] = False
@@ -157,36 +158,40 @@ def units_of(text: str | None) -> np.ndarray:
 
 
 def units(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, mark, start, after, first, last, d0, d1``: a row for each unit; ``mark`` tells texts of one id apart."""
-    names = ["start", "after", "first", "last", "d0", "d1"]
-    kinds = (pa.int32(),) * 4 + (pa.int64(),) * 2
+    """``doc_id, mark, start, after, first, last, again, d0, d1``: a row for each unit; ``mark`` tells texts of one id apart."""
+    names = ["start", "after", "first", "last", "again", "d0", "d1"]
+    kinds = (*(pa.int32(),) * 4, pa.bool_(), *(pa.int64(),) * 2)
 
     def make(source):
         for batch in source:
-            found = [units_of(value) for value in values(batch.column(2))]
-            rows = np.concatenate(found) if found else np.zeros((0, 6), dtype=np.int64)
-            owner = pa.array(np.repeat(np.arange(len(found)), [len(f) for f in found]))
-            columns = [pa.array(rows[:, k]).cast(kind) for k, kind in enumerate(kinds)]
-            yield pa.record_batch([batch.column(0).take(owner), batch.column(1).take(owner), *columns], names=["doc_id", "mark", *names])
+            for piece in (batch.slice(k, 512) for k in range(0, batch.num_rows, 512)):
+                found = [units_of(value) for value in piece.column(2).to_pylist()]
+                rows = np.concatenate(found)
+                owner = pa.array(np.repeat(np.arange(len(found)), [len(f) for f in found]))
+                columns = [pa.array(rows[:, k]).cast(kind) for k, kind in enumerate(kinds)]
+                yield pa.record_batch([piece.column(0).take(owner), piece.column(1).take(owner), *columns], names=["doc_id", "mark", *names])
 
     body = F.col(text).cast("string")
     return documents.select(F.col(id_column).cast("bigint"), F.xxhash64(body), body).mapInArrow(make, _UNITS)
 
 
-def repeated(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """Passages to remove: ``doc_id, mark, start, after, words, kept_id, kept_start, kept_after, digest``.
+#: What a missing id ranks as.
+_LAST_ID = (1 << 63) - 1
 
-    ``kept_*`` and ``digest`` are of a passage's first unit.
-    """
-    found = cut(units(documents, id_column, text))
-    rank = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark", "start", "after")
+
+def repeated(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
+    """Passages to remove: ``doc_id, mark, start, after, words, kept_id, digest``; the last two are of a passage's first unit."""
+    rank = F.struct(F.coalesce("doc_id", F.lit(_LAST_ID)).alias("id"), "mark")
     kept = cut(
-        found.groupBy("d0", "d1")
-        .agg(F.min(rank).alias("kept"), F.max(rank).alias("last_rank"))
-        .where("kept <> last_rank")
+        units(documents, id_column, text)
+        .select("d0", "d1", rank.alias("rank"))
+        .groupBy("d0", "d1")
+        .agg(F.count("*").alias("n"), F.min("rank").alias("kept"))
+        .where("n > 1")
         .select("d0", "d1", "kept")
     )
-    again = found.join(kept, ["d0", "d1"]).where(rank != F.col("kept"))
+    # The kept text's own first occurrence stays, and so do repeated rows of that text.
+    again = units(documents, id_column, text).join(kept, ["d0", "d1"]).where((rank != F.col("kept")) | F.col("again")).drop("again").distinct()
     # Units that overlap or touch are one passage.
     text_of = Window.partitionBy("doc_id", "mark").orderBy("first", "last")
     reach = F.max("last").over(text_of.rowsBetween(Window.unboundedPreceding, -1))
@@ -196,9 +201,9 @@ def repeated(documents: DataFrame, id_column: str = "doc_id", text: str = "text"
     passages = numbered.groupBy("doc_id", "mark", "_passage").agg(
         F.min("start").alias("start"), F.max("after").alias("after"), (F.max("last") - F.min("first")).alias("words"), head
     )
-    kept_of = [F.col(f"_head.kept.{name}").alias(f"kept_{new}") for name, new in (("doc_id", "id"), ("start", "start"), ("after", "after"))]
     return passages.where(F.col("words") >= PASSAGE_WORDS).select(
-        "doc_id", "mark", "start", "after", "words", *kept_of, F.lower(F.concat(*(F.lpad(F.hex(f"_head.{d}"), 16, "0") for d in ("d0", "d1")))).alias("digest")
+        "doc_id", "mark", "start", "after", "words", F.nullif(F.col("_head.kept.id"), F.lit(_LAST_ID)).alias("kept_id"),
+        F.lower(F.concat(*(F.lpad(F.hex(f"_head.{d}"), 16, "0") for d in ("d0", "d1")))).alias("digest"),
     )
 
 
