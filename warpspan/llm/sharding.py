@@ -28,6 +28,8 @@ are interchangeable. An empty table gives an empty result.
 
 from __future__ import annotations
 
+from typing import NamedTuple
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -101,57 +103,71 @@ def with_cell(documents: DataFrame, into: str = "_cell") -> DataFrame:
     return documents.withColumn(into, F.get(table, number))
 
 
-def with_group_cell(rows: DataFrame) -> DataFrame:
-    """Rows with ``_cell, _group, _id``: equal texts get the cell of the member with the smallest id, and ``_large`` their number if over one.
+_PART_KEYS = ["_cell", "_part", "_hot", "_piece"]
+
+
+class Layout(NamedTuple):
+    """Small tables that say where rows go: groups of equal texts, cells, and parts with what stands before them."""
+
+    groups: DataFrame
+    cells: DataFrame
+    parts: DataFrame
+
+
+def _in_parts(rows: DataFrame, groups: DataFrame, cells: DataFrame) -> DataFrame:
+    """Adds the part's keys. Rows have ``_id, _cell, _group, size`` and ``_crc``."""
+    rows = rows.join(groups, "_group", "left").withColumn("_cell", F.coalesce("_home", "_cell"))
+    placed = rows.join(F.broadcast(cells), "_cell").withColumn("_part", F.pmod(F.xxhash64("_group"), "_parts").cast("int"))
+    # A group beyond a part's size is parts of its own.
+    pieces, hot = F.ceil(F.col("_large") / F.col("_most")).cast("int"), F.coalesce(F.col("_large") > F.col("_most"), F.lit(False))
+    return (
+        placed.withColumn("_hot", F.when(hot, F.col("_group")).otherwise(F.lit(0)).cast("bigint"))
+        .withColumn("_piece", F.when(hot, F.pmod(F.xxhash64("_id", "_crc", "size"), pieces)).otherwise(0).cast("int"))
+        .drop("_parts", "_most", "_large", "_home")
+    )
+
 
-    Only groups of two or more are joined back, by a broadcast if they are few.
+def layout(light: DataFrame) -> Layout:
+    """The tables for rows with ``_id, _cell, _group, size, _crc``; ``light`` should hold no more than these.
+
+    A group takes the cell of its member with the smallest id. Only groups of
+    two or more are listed; they are sent to all tasks if they are few.
     """
     first = F.min(F.struct(F.col("_id").isNull().alias("no_id"), "_id", "_cell"))
     groups = cut(
-        rows.groupBy("_group").agg(F.count("*").alias("_large"), first.alias("_first")).where("_large > 1").select("_group", "_large", F.col("_first._cell").alias("_home"))
+        light.groupBy("_group").agg(F.count("*").alias("_large"), first.alias("_first")).where("_large > 1").select("_group", "_large", F.col("_first._cell").alias("_home"))
     )
     if groups.count() <= MOST_SENT:
         groups = F.broadcast(groups)
-    return rows.join(groups, "_group", "left").withColumn("_cell", F.coalesce("_home", "_cell")).drop("_home")
-
-
-def ranked(rows: DataFrame, order: list[str], shards: int = SHARDS, law: str = "rows") -> DataFrame:
-    """Adds ``shard`` and ``slot`` to rows that have ``_id``, ``_cell``, ``_group`` and ``size``.
-
-    ``_group`` is a hash that rows of one group share; ``order`` breaks ties in it.
-    """
-    if law not in ("rows", "bytes"):
-        raise ValueError("law is 'rows' or 'bytes'")
     whole = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    rows = with_group_cell(rows)
-    cells = rows.groupBy("_cell").agg(F.count("*").alias("_n"))
+    homes = light.join(groups, "_group", "left").groupBy(F.coalesce("_home", "_cell").alias("_cell")).agg(F.count("*").alias("_n"))
     most = part_rows(F.sum("_n").over(whole))
-    split = F.broadcast(cells.select("_cell", F.ceil(F.col("_n") / most).cast("int").alias("_parts"), most.alias("_most")))
-    placed = rows.join(split, "_cell").withColumn("_part", F.pmod(F.xxhash64("_group"), "_parts").cast("int"))
-    # A group beyond a part's size is parts of its own.
-    pieces = F.ceil(F.col("_large") / F.col("_most")).cast("int")
-    hot = F.col("_large") > F.col("_most")
-    placed = placed.withColumn("_hot", F.when(hot, F.col("_group")).otherwise(F.lit(0)).cast("bigint")).withColumn(
-        "_piece", F.when(hot, F.pmod(F.xxhash64("_id", *order), pieces)).otherwise(0).cast("int")
-    ).drop("_parts", "_most", "_large")
-    keys = ["_cell", "_part", "_hot", "_piece"]
-    parts = placed.groupBy(*keys).agg(F.count("*").alias("_n"), F.sum("size").alias("_size"))
-    in_order = Window.orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
+    cells = cut(homes.select("_cell", F.ceil(F.col("_n") / most).cast("int").alias("_parts"), most.alias("_most")))
+    parts = _in_parts(light, groups, cells).groupBy(*_PART_KEYS).agg(F.count("*").alias("_n"), F.sum("size").alias("_size"))
+    in_order = Window.orderBy(*_PART_KEYS).rowsBetween(Window.unboundedPreceding, -1)
     before = parts.select(
-        *keys,
+        *_PART_KEYS,
         F.coalesce(F.sum("_n").over(in_order), F.lit(0)).alias("_rows_before"),
         F.coalesce(F.sum("_size").over(in_order), F.lit(0)).alias("_size_before"),
         F.sum("_n").over(whole).alias("_rows"),
         F.sum("_size").over(whole).alias("_bytes"),
     )
-    inside = Window.partitionBy(*keys).orderBy("_group", "_id", *order)
+    return Layout(groups, cells, cut(before))
+
+
+def ranked(rows: DataFrame, plan: Layout, shards: int = SHARDS, law: str = "rows") -> DataFrame:
+    """Adds ``shard`` and ``slot`` to rows with ``_id, _cell, _group, size, _crc``, in one shuffle."""
+    if law not in ("rows", "bytes"):
+        raise ValueError("law is 'rows' or 'bytes'")
+    placed = _in_parts(rows, plan.groups, plan.cells)
+    inside = Window.partitionBy(*_PART_KEYS).orderBy("_group", "_id", "_crc", "size")
     ahead = inside.rowsBetween(Window.unboundedPreceding, -1)
     numbered = placed.withColumn("_row", F.row_number().over(inside) - 1)
     if law == "bytes":
         numbered = numbered.withColumn("_ahead", F.coalesce(F.sum("size").over(ahead), F.lit(0)))
     else:
         numbered = numbered.withColumn("_ahead", F.col("_row").cast("long"))
-    placed = numbered.join(F.broadcast(before), keys)
+    placed = numbered.join(F.broadcast(plan.parts), _PART_KEYS)
     if law == "rows":
         rank, total = F.col("_rows_before") + F.col("_row"), F.col("_rows")
         base, more = F.expr(f"_rows div {shards}"), total % shards
@@ -167,7 +183,7 @@ def ranked(rows: DataFrame, order: list[str], shards: int = SHARDS, law: str = "
         firsts = F.broadcast(out.groupBy("shard").agg(F.min("_rank").alias("_first")))
         out = out.join(firsts, "shard").withColumn("slot", F.col("_rank") - F.col("_first"))
     inner = ("_row", "_ahead", "_rows_before", "_size_before", "_rows", "_bytes", "_rank", "_first")
-    return out.drop("_id", "_group", *keys, *inner)
+    return out.drop("_id", "_group", "_crc", *_PART_KEYS, *inner)
 
 
 def _text_group(text: Column) -> Column:
@@ -175,38 +191,35 @@ def _text_group(text: Column) -> Column:
     return F.xxhash64(F.coalesce(text, F.lit("")))
 
 
-def _digest(documents: DataFrame, id_column: str) -> DataFrame:
+def _keyed(documents: DataFrame, id_column: str = "doc_id") -> DataFrame:
+    """The documents as one struct ``_whole`` beside what the layout asks for."""
     text = F.coalesce(F.col("text"), F.lit(""))
     return with_cell(documents).select(
-        F.col(id_column).alias("doc_id"),
+        F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_whole"),
         F.col(id_column).alias("_id"),
-        (F.octet_length(text).cast("long") + 1).alias("size"),
-        F.crc32(text.cast("binary")).alias("text_crc32"),
         "_cell",
         _text_group(F.col("text")).alias("_group"),
+        (F.octet_length(text).cast("long") + 1).alias("size"),
+        F.crc32(text.cast("binary")).alias("_crc"),
     )
 
 
-def assign(documents: DataFrame, shards: int = SHARDS, law: str = "rows", id_column: str = "doc_id", **options) -> DataFrame:
+def assign(documents: DataFrame, shards: int = SHARDS, law: str = "rows", id_column: str = "doc_id") -> DataFrame:
     """``doc_id, size, text_crc32, law, shard, slot`` of every document; texts are read once and never moved."""
-    digest = cut(_digest(documents, id_column))
-    out = ranked(digest, ["text_crc32", "size"], shards, law, **options)
+    light = cut(_keyed(documents, id_column).drop("_whole"))
+    out = ranked(light.withColumn("doc_id", F.col("_id")).withColumn("text_crc32", F.col("_crc")), layout(light), shards, law)
     return out.select(
         "doc_id", "size", "text_crc32", F.lit(law).alias("law"), "shard", F.col("slot").cast("long").alias("slot"),
         F.lit(None).cast("int").alias("grown_shard"),
     )
 
 
-def attach(documents: DataFrame, shards: int = SHARDS, law: str = "rows", **options) -> DataFrame:
+def attach(documents: DataFrame, shards: int = SHARDS, law: str = "rows") -> DataFrame:
     """The documents with ``shard`` and ``slot``; columns of these names that are there already come out as ``old_shard`` and ``old_slot``."""
-    names = {name: f"old_{name}" if name in ("shard", "slot") else name for name in documents.columns}
-    row = F.struct(*(F.col(f"`{name}`").alias(new) for name, new in names.items())).alias("_row_values")
-    kept = with_cell(documents).select(
-        row, "_cell", (F.octet_length(F.coalesce("text", F.lit(""))).cast("long") + 1).alias("size"), _text_group(F.col("text")).alias("_group"),
-        F.col("doc_id").alias("_id"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("_crc"),
-    )
-    out = ranked(kept, ["_crc", "size"], shards, law, **options)
-    return out.select("_row_values.*", "shard", F.col("slot").cast("long").alias("slot"))
+    keyed = _keyed(documents)
+    out = ranked(keyed, layout(cut(keyed.drop("_whole"))), shards, law)
+    names = [F.col(f"_whole.`{name}`").alias(f"old_{name}" if name in ("shard", "slot") else name) for name in documents.columns]
+    return out.select(*names, "shard", F.col("slot").cast("long").alias("slot"))
 
 
 def write_shards(documents: DataFrame, path: str, shards: int = SHARDS, **options) -> None:
