@@ -126,6 +126,13 @@ def test_exponent_weights_and_blocks(spark):
         assert slots == list(range(len(slots)))
     again = mixing.remix(docs, None, 4.0, block_tokens=200)
     assert again.columns == docs.columns and collections.Counter(r.doc_id for r in again.collect()) == uses
+    twice = docs.where("doc_id < 40").union(docs.where("doc_id < 40").withColumn("lang", F.lit("de")))
+    shared = collections.Counter(r.doc_id for r in mixing.schedule(twice, None, 4.0).collect())
+    found = mixing.remix(twice, None, 4.0).collect()
+    assert collections.Counter(r.doc_id for r in found) == shared
+    for i in range(40):
+        langs = collections.Counter(r.lang for r in found if r.doc_id == i)
+        assert abs(langs["en"] - langs["de"]) <= 1
     small = mixing.schedule(docs, None, None, budget=300)
     assert abs(small.agg(F.sum("n_tokens")).first()[0] - 300) <= 7 * 4
 

@@ -37,6 +37,8 @@ from warpspan.llm.common import BLANKS, cut
 from warpspan.llm.sharding import part_rows
 
 MOST_SOURCES = 100_000
+#: Documents whose uses are sent to every task.
+MOST_SENT = 2_000_000
 MOST_REPEATS = 4.0
 ENTROPY_SHARE = 0.97
 BLOCK_TOKENS = 1_000_000
@@ -231,11 +233,25 @@ def remix(
     """The documents as the mixture uses them, once a use, block by block: what ``schedule`` lists, with all columns.
 
     A block is whole in one task and its rows are in the order of their slots,
-    so files written from here hold blocks one after another.
+    so files written from here hold blocks one after another. The schedule is
+    made from small rows; texts move once, to their blocks, and once more to
+    meet their uses only where more than ``MOST_SENT`` documents have some.
+    Rows alike in id and text share their uses out among them.
     """
-    row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
-    items = documents.select(
-        row, source_key(F.col(source)).alias("key"), tokens_in(F.col(text)).alias("tokens"), _hash(id_column, text, seed).alias("h"), F.col(id_column).alias("tie")
-    )
+    h, mark = _hash(id_column, text, seed), F.xxhash64(F.col(text))
+    items = cut(documents.select(source_key(F.col(source)).alias("key"), tokens_in(F.col(text)).alias("tokens"), h.alias("h"), F.col(id_column).alias("tie"), mark.alias("mark")))
     uses = _placed(items, entropy_share, most_repeats, budget, block_tokens, seed)
-    return uses.select("_row", "block", "place", "tie", "copy").repartition("block").sortWithinPartitions("block", "place", "tie", "copy").select("_row.*")
+    listed = uses.groupBy("h", "mark").agg(F.sort_array(F.collect_list(F.struct("block", "place", "copy"))).alias("_uses"))
+    alike = items.groupBy("h", "mark").agg(F.count("*").cast("int").alias("_alike"))
+    listed = cut(listed.join(alike, ["h", "mark"]).withColumnsRenamed({"h": "_use_h", "mark": "_use_mark"}))
+    if listed.count() <= MOST_SENT:
+        listed = F.broadcast(listed)
+    row = F.struct(*(F.col(f"`{name}`") for name in documents.columns)).alias("_row")
+    rows = documents.select(row, h.alias("_h"), mark.alias("_mark"))
+    met = rows.join(listed, (F.col("_h") == F.col("_use_h")) & (F.col("_mark") == F.col("_use_mark")))
+    twins = Window.partitionBy("_h", "_mark").orderBy(F.to_json("_row"))
+    several = met.where("_alike > 1").withColumn("_mine", (F.row_number().over(twins) - 1).cast("int"))
+    own = F.filter("_uses", lambda use, k: k % F.col("_alike") == F.col("_mine"))
+    shares = met.where("_alike = 1").select("_row", "_uses").unionByName(several.select("_row", own.alias("_uses")))
+    out = shares.select("_row", F.explode("_uses").alias("_use")).select("_row", "_use.*")
+    return out.repartition("block").sortWithinPartitions("block", "place", "copy").select("_row.*")
