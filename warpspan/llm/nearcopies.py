@@ -1,9 +1,12 @@
 """Near copies: groups of documents whose five-word shingle sets are alike to 0.8 by Jaccard.
 
 This is the near-duplicate operator's setting for a similarity of whole sets.
-Fingerprints of 64 bits can't decide it: at a similarity of 0.8 two of them
-differ in ten bits, give or take three, and no key is left that such a pair
-must share. So candidates come from the sets themselves.
+Its method comes first: fingerprints of the five-word runs, pairs of them in
+reach by pigeonring chains, an exact check of each pair, and star contractions.
+Fingerprints of 64 bits can't decide the rest: at a similarity of 0.8 two of
+them differ in ten bits, give or take three, and no key is left that such a
+pair must share. So what the fingerprints leave apart is compared by candidates
+from the sets themselves.
 
 Two sets that are alike to 0.8 share an element among the first fifth (and
 one) of each, whatever order the elements are put in, as long as it is one
@@ -15,13 +18,17 @@ changes the cost and never the result.
 A candidate pair is checked by size, then by a parity map: a set's elements
 are dealt to 256 places, each of which holds whether their number is odd. Two
 maps differ in no more places than the sets in elements, and alike sets differ
-in a ninth of their elements at most. Only for pairs that pass are the whole
-sets fetched and their Jaccard similarity computed.
-
-Equal sets are one node. Keys that a few nodes share give every pair. At a key
-that many share (a large family) all members are compared with one of them,
-those alike become one component, and only pairs across components are left;
-after some rounds what is left is compared in full.
+in a ninth of their elements at most. Both tests are part of the join on keys,
+so pairs that fail are never rows. Only for pairs that pass are the whole sets
+fetched and their Jaccard similarity computed.
+
+Equal sets are one node. Keys that a few nodes share give every pair across
+components. At a key that many share (a large family) all members are compared
+with one of them, those alike become one component, and only pairs across
+components are left; after some rounds what is left is compared in full. Members
+of one key that are in different components after that cost a comparison of two
+maps for each pair, so a large crowd of texts none of which are alike still
+takes time by its square there, but no rows.
 
 Null and empty texts have the empty set and count as equal. Repeated rows and
 ids stay; an empty table gives an empty result.
@@ -36,7 +43,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from warpspan.llm import simhash
-from warpspan.llm.common import cut, utf8, values
+from warpspan.llm.common import cut, discard, utf8, values
 
 WIDTH = 5
 #: The least similarity as a fraction.
@@ -101,15 +108,22 @@ def parity_map(hashes: np.ndarray) -> np.ndarray:
 
 
 def signed(documents: DataFrame, common: np.ndarray, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, mark, fp, n, p0 .. p3, keys``: each document's node, the size of its set, its parity map and its prefix."""
+    """``doc_id, mark, fp, fingerprint, n, p0 .. p3, keys``: each document's node, its fingerprint, the size of its set, its parity map and its prefix."""
     by_value = np.argsort(common)
     known = common[by_value]
 
     def make(source):
         for batch in source:
             nodes, sizes, keys, maps = [], [], [], np.zeros((batch.num_rows, 4), dtype=np.int64)
+            prints, runs = [], []
             for row, value in enumerate(values(batch.column(2))):
-                hashes = shingle_set(value)
+                runs.append(np.array(simhash.shingle_hashes(value, WIDTH), dtype=np.uint64))
+                if len(runs) == 256 or row == batch.num_rows - 1:
+                    prints.append(simhash.majority(np.concatenate(runs), np.array([len(r) for r in runs], dtype=np.int64)))
+                    last, runs = runs[-1], []
+                else:
+                    last = runs[-1]
+                hashes = np.unique(last)
                 at = np.minimum(np.searchsorted(known, hashes), max(len(known) - 1, 0))
                 late = known[at] == hashes if len(known) else np.zeros(len(hashes), bool)
                 ordered = np.concatenate([hashes[~late], common[np.sort(by_value[at[late]])]])
@@ -120,12 +134,13 @@ def signed(documents: DataFrame, common: np.ndarray, id_column: str = "doc_id",
             ends = np.cumsum([0, *map(len, keys)])
             flat = np.concatenate(keys) if keys else np.array([], np.int64)
             lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))
-            columns = [batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), *(pa.array(maps[:, k]) for k in range(4)), lists]
-            yield pa.record_batch(columns, names=["doc_id", "mark", "fp", "n", *_MAPS, "keys"])
+            printed = pa.array(np.concatenate(prints).view(np.int64) if prints else np.array([], np.int64))
+            columns = [batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), printed, pa.array(sizes, pa.int32()), *(pa.array(maps[:, k]) for k in range(4)), lists]
+            yield pa.record_batch(columns, names=["doc_id", "mark", "fp", "fingerprint", "n", *_MAPS, "keys"])
 
     kind = documents.schema[id_column].dataType.simpleString()
     source = documents.select(F.col(id_column).alias("doc_id"), simhash.text_mark(text).alias("mark"), utf8(text).alias("text"))
-    return source.mapInArrow(make, f"doc_id {kind}, mark bigint, fp bigint, n int, {', '.join(f'{m} bigint' for m in _MAPS)}, keys array<bigint>")
+    return source.mapInArrow(make, f"doc_id {kind}, mark bigint, fp bigint, fingerprint bigint, n int, {', '.join(f'{m} bigint' for m in _MAPS)}, keys array<bigint>")
 
 
 class Verifier:
@@ -152,13 +167,14 @@ class Verifier:
         texts = self.documents.join(chosen, mine, "left_semi").select(utf8(self.text).alias("text"))
         return cut(texts.mapInArrow(make, "fp bigint, hashes binary"))
 
-    def alike(self, pairs: DataFrame) -> DataFrame:
-        """The pairs ``a, b`` whose sets are alike."""
-        light = self.known.select("fp", "n", *_MAPS)
-        side = lambda name: light.toDF(name, f"n_{name}", *(f"{m}_{name}" for m in _MAPS))
-        differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in _MAPS), F.lit(0))
-        near = _near_size(F.col("n_a"), F.col("n_b")) & ((WHOLE + PART) * differ <= (WHOLE - PART) * (F.col("n_a") + F.col("n_b")))
-        left = cut(pairs.join(side("a"), "a").join(side("b"), "b").where(near).select("a", "b"))
+    def mapped(self) -> DataFrame:
+        """``fp, n, p0 .. p3`` of every node."""
+        return self.known.select("fp", "n", *_MAPS)
+
+    def alike(self, pairs: DataFrame, tested: bool = False) -> DataFrame:
+        """The pairs ``a, b`` whose sets are alike; ``tested`` says that size and parity maps left them."""
+        side = lambda name: self.mapped().toDF(name, f"n_{name}", *(f"{m}_{name}" for m in _MAPS))
+        left = cut(pairs if tested else pairs.join(side("a"), "a").join(side("b"), "b").where(_may_be_alike()).select("a", "b"))
         sets = self._sets(cut(left.select(F.explode(F.array("a", "b")).alias("fp")).distinct()))
         if left.count() <= simhash.MOST_SENT:
             # The pairs go to the sets, so that a set moves once, to its partner.
@@ -184,12 +200,18 @@ def _near_size(a: Column, b: Column) -> Column:
     return WHOLE * F.least(a, b) >= PART * F.greatest(a, b)
 
 
+def _may_be_alike() -> Column:
+    """Size and parity map, of rows with ``n_a, p0_a .. p3_b``."""
+    differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in _MAPS), F.lit(0))
+    return _near_size(F.col("n_a"), F.col("n_b")) & ((WHOLE + PART) * differ <= (WHOLE - PART) * (F.col("n_a") + F.col("n_b")))
+
+
 def _every_pair(members: DataFrame) -> DataFrame:
-    """Pairs of different components at a key."""
-    one = members.select("key", F.col("fp").alias("a"), F.col("root").alias("root_a"))
-    two = members.select("key", F.col("fp").alias("b"), F.col("root").alias("root_b"))
-    near = (F.col("a") < F.col("b")) & (F.col("root_a") != F.col("root_b"))
-    return one.join(two, "key").where(near).select("a", "b").distinct()
+    """Pairs of different components at a key that size and parity map leave; ``members`` has ``key, fp, root, n, p0 .. p3``."""
+    side = lambda name: members.select("key", *(F.col(c).alias(f"{c}_{name}") for c in ("fp", "root", "n", *_MAPS)))
+    near = (F.col("fp_a") < F.col("fp_b")) & (F.col("root_a") != F.col("root_b")) & _may_be_alike()
+    one, two = side("a"), side("b")
+    return one.join(two, (one["key"] == two["key"]) & near).select(F.col("fp_a").alias("a"), F.col("fp_b").alias("b")).distinct()
 
 
 def _rooted(members: DataFrame, links: DataFrame) -> DataFrame:
@@ -197,9 +219,20 @@ def _rooted(members: DataFrame, links: DataFrame) -> DataFrame:
     return members.drop("root").join(found, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
 
 
+def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
+    """Candidates ``a, b`` by the operator's method: nodes of one fingerprint, and of two within its reach, by the first node of each."""
+    every = cut(nodes.select("fp", "fingerprint").distinct())
+    firsts = cut(every.groupBy("fingerprint").agg(F.min("fp").alias("first")))
+    same = every.join(firsts, "fingerprint").where("fp <> first").select(F.col("first").alias("a"), F.col("fp").alias("b"))
+    near = simhash.near_pairs(firsts.select(F.col("fingerprint").alias("fp"))).toDF("one", "two")
+    across = near.join(firsts.toDF("one", "x"), "one").join(firsts.toDF("two", "y"), "two")
+    return same.unionByName(across.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))).distinct()
+
+
 def near_links(documents: DataFrame, nodes: DataFrame, id_column: str = "doc_id", text: str = "text", few: int = FEW) -> DataFrame:
     """Links ``a, b`` between alike nodes that have the components of all such pairs."""
     check = Verifier(documents, nodes, id_column, text)
+    links = check.alike(fingerprint_pairs(nodes))
     postings = nodes.select("fp", F.explode("keys").alias("key"))
     shared = postings.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("b")).where("a <> b").select("key")
     met = cut(postings.join(cut(shared), "key", "left_semi").distinct())
@@ -207,23 +240,25 @@ def near_links(documents: DataFrame, nodes: DataFrame, id_column: str = "doc_id"
     marks = [F.sum(F.xxhash64("fp", F.lit(k)).cast("decimal(38,0)")).alias(f"mark{k}") for k in (0, 1)]
     lists = met.groupBy("key").agg(F.count("*").alias("size"), *marks)
     single = cut(lists.groupBy("size", "mark0", "mark1").agg(F.min("key").alias("key")).select("key", "size"))
-    members = cut(met.join(single, "key").withColumn("root", F.col("fp")))
-    links = check.alike(_every_pair(members.where(F.col("size") <= few)))
+    members = cut(_rooted(met.join(single, "key"), links).join(check.mapped(), "fp"))
+    discard(met)
+    links = links.unionByName(check.alike(_every_pair(members.where(F.col("size") <= few)), tested=True))
     crowded = members.where(F.col("size") > few)
     if crowded.isEmpty():
         return links
     for turn in range(ROUNDS + 1):
-        crowded = cut(_rooted(crowded, links))
+        last, crowded = crowded, cut(_rooted(crowded, links))
+        discard(last)
         parts = crowded.groupBy("key", "root").agg(F.count("*").cast("double").alias("c"))
-        sizes = parts.groupBy("key").agg(F.sum("c").alias("m"), ((F.sum("c") ** 2 - F.sum(F.col("c") ** 2)) / 2).alias("open")).where("open > 0")
+        sizes = cut(parts.groupBy("key").agg(F.sum("c").alias("m"), ((F.sum("c") ** 2 - F.sum(F.col("c") ** 2)) / 2).alias("open")).where("open > 0"))
         state = sizes.agg(F.sum("m").alias("rows"), F.sum("open").alias("open")).first()
         if not state.open:
             return links
-        crowded = crowded.join(sizes.select("key"), "key", "left_semi")
+        open_keys = crowded.join(sizes.select("key"), "key", "left_semi")
         if turn == ROUNDS or state.open <= few * state.rows:
-            return links.unionByName(check.alike(_every_pair(crowded)))
-        heads = crowded.groupBy("key").agg(F.min_by(F.struct("fp", "root"), F.xxhash64("fp", F.lit(turn))).alias("head"))
-        rest = crowded.join(heads, "key").where(F.col("head.root") != F.col("root"))
+            return links.unionByName(check.alike(_every_pair(open_keys), tested=True))
+        heads = open_keys.groupBy("key").agg(F.min_by(F.struct("fp", "root"), F.xxhash64("fp", F.lit(turn))).alias("head"))
+        rest = open_keys.join(heads, "key").where(F.col("head.root") != F.col("root"))
         pairs = rest.select(F.least("fp", "head.fp").alias("a"), F.greatest("fp", "head.fp").alias("b")).distinct()
         links = links.unionByName(check.alike(pairs))
     return links
