@@ -47,3 +47,31 @@ def test_non_monotonic_distance_of_two_thousand_pairs_is_quick():
     for w in (1, 8):
         K.ndtw_pows(x, y, w)
     assert time.process_time() - start < 20
+
+
+def test_counts_from_few_rows_are_those_of_all_rows(spark, monkeypatch):
+    """Ties, nested parts and several numbers of sums; the table leaves most pairs and distances out."""
+    from pyspark.sql import functions as F
+
+    from warpspan.operators import measures
+    from warpspan.sources import series as S
+
+    monkeypatch.setattr(measures, "SEEDS", 4)
+    rng = np.random.default_rng(7)
+    rows = rng.integers(-3, 4, (400, 32)).cumsum(axis=1).astype(float)
+    rows[200:230] = rows[10:40]
+    every = spark.createDataFrame([(i, r.tolist(), None) for i, r in enumerate(rows)], S.PACKED).repartition(4)
+    queries, db = S.split_queries(every, 5)
+    db = db.withColumn("first", (F.col("series_id") % 3).cast("int"))
+    made = measures.counting_table(queries, db, 3, (4, 8), 3)
+    methods = list(measures.SEQUENTIAL)
+    assert made.rows.where("dtw < double('inf')").count() < 0.6 * 5 * db.count()
+    for part in range(3):
+        own = db.where(F.col("first") <= part)
+        assert made.sizes[part] == own.count()
+        for k, d in enumerate((4, 8)):
+            few = made.rows.where(F.col("first") <= part).withColumnRenamed(f"box{k}", "box")
+            found = measures.sequential_counts(few, methods, candidates=F.lit(made.sizes[part]))
+            wanted = measures.sequential_counts(measures.bound_table(queries, own, 3, d=d), methods)
+            assert found.schema == wanted.schema or found.columns == wanted.columns
+            assert sorted(map(tuple, found.collect())) == sorted(map(tuple, wanted.collect()))
