@@ -27,8 +27,8 @@ components. At a key that many share (a large family) all members are compared
 with one of them, those alike become one component, and only pairs across
 components are left; after some rounds what is left is compared in full. Members
 of one key that are in different components after that cost a comparison of two
-maps for each pair, so a large crowd of texts none of which are alike still
-takes time by its square there, but no rows.
+maps for each pair, and pairs that the maps leave are rows, so a large crowd of
+texts that are almost alike still takes time and rows by its square there.
 
 Null and empty texts have the empty set and count as equal. Repeated rows and
 ids stay; an empty table gives an empty result.
