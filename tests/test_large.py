@@ -75,3 +75,29 @@ def test_counts_from_few_rows_are_those_of_all_rows(spark, monkeypatch):
             wanted = measures.sequential_counts(measures.bound_table(queries, own, 3, d=d), methods)
             assert found.schema == wanted.schema or found.columns == wanted.columns
             assert sorted(map(tuple, found.collect())) == sorted(map(tuple, wanted.collect()))
+
+
+@pytest.mark.parametrize("p", [1, 2, math.inf])
+def test_join_moves_series_and_never_pairs(spark, monkeypatch, p):
+    """Cells in many pieces; candidate pairs once carried both arrays through two joins."""
+    from warpspan.operators import join
+    from warpspan.sources import series as S
+
+    monkeypatch.setattr(join, "PIECE_VALUES", 1)
+    monkeypatch.setattr(join, "PAIRS_AT_ONCE", 100)
+    rng = np.random.default_rng(11)
+    rows = rng.integers(-5, 6, (700, 24)).cumsum(axis=1).astype(float)
+    rows[600:620] = rows[20:40]
+    eps = {1: 60.0, 2: 16.0, math.inf: 5.0}[p]
+    every = spark.createDataFrame([(i, r.tolist(), None) for i, r in enumerate(rows)] + [(700, None, None)], S.PACKED).repartition(4)
+    some = every.where("series_id < 90")
+    at = [(i, j) for i in range(700) for j in range(i + 1, 700)]
+    power = K.dtw_pow(rows[[i for i, _ in at]], rows[[j for _, j in at]], 3, p)
+    wanted = {pair for pair, near in zip(at, power <= K.power(eps, p), strict=True) if near}
+    assert len(wanted) > 30
+    found = join.warp_join(every, every, 24, eps, 3, p, self_join=True)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "left_id" in plan and "Join Inner" not in plan
+    assert sorted((r.left_id, r.right_id) for r in found.collect()) == sorted(wanted)
+    across = join.warp_join(every, some, 24, eps, 3, p).collect()
+    assert sorted((r.left_id, r.right_id) for r in across) == sorted({(a, b) for x, y in wanted for a, b in ((x, y), (y, x)) if b < 90} | {(i, i) for i in range(90)})
