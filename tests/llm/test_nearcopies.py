@@ -78,3 +78,25 @@ def test_parity_maps_never_exceed_the_difference():
         b = np.unique(np.concatenate([a[rng.randint(0, 20) :], np.array([rng.getrandbits(64) for _ in range(rng.randint(0, 60))], dtype=np.uint64)]))
         differ = np.bitwise_count((nearcopies.parity_map(a) ^ nearcopies.parity_map(b)).view(np.uint64)).sum()
         assert differ <= len(np.setxor1d(a, b))
+
+
+def _shuffle_files(spark):
+    """Data files of shuffles on the session's disk."""
+    found = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    names = [found.apply(k).getName() for k in range(found.size())]
+    return {n for n in names if n.startswith("shuffle_") and n.endswith(".data")}
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    """They stayed until the driver collected its garbage, and rounds of small tables filled the disk."""
+    from pyspark.sql import functions as F
+
+    from warpspan.llm.common import cut
+
+    frame = spark.range(5000).groupBy((F.col("id") % 997).alias("k")).count()
+    before = _shuffle_files(spark)
+    made = cut(frame)
+    assert _shuffle_files(spark) <= before
+    frame.write.format("noop").mode("overwrite").save()
+    assert _shuffle_files(spark) - before  # what is not written by cut keeps them
+    assert made.count() == 997

@@ -43,7 +43,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from warpspan.llm import simhash
-from warpspan.llm.common import cut, discard, utf8, values
+from warpspan.llm.common import cut, discard, freeing, utf8, values
 
 WIDTH = 5
 #: The least similarity as a fraction.
@@ -266,8 +266,10 @@ def near_links(documents: DataFrame, nodes: DataFrame, id_column: str = "doc_id"
 
 def classify(documents: DataFrame, id_column: str = "doc_id", text: str = "text", few: int = FEW) -> DataFrame:
     """``doc_id, mark, fp, root, component_id`` of every document; the component's id is its smallest document id."""
-    nodes = cut(signed(documents, common_shingles(documents, text), id_column, text))
-    return simhash.grouped(nodes.select("doc_id", "mark", "fp"), near_links(documents, nodes, id_column, text, few))
+    with freeing(documents.sparkSession):
+        nodes = cut(signed(documents, common_shingles(documents, text), id_column, text))
+        links = near_links(documents, nodes, id_column, text, few)
+    return simhash.grouped(nodes.select("doc_id", "mark", "fp"), links)
 
 
 def keep_one(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:

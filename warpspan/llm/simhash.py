@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from warpspan.llm.common import cut, discard, utf8, values
+from warpspan.llm.common import cut, discard, freeing, utf8, values
 
 SEED = 42
 SHINGLE = 3
@@ -209,7 +209,8 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         small = large.join(lowest, "u").select(F.greatest("v", "low").alias("u"), "low").union(lowest.select("u", "low"))
         last, edges = edges, cut(small.where("u <> low").select("u", F.col("low").alias("v")).distinct())
         discard(last)
-        state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        with freeing(edges.sparkSession):
+            state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
         before = state
