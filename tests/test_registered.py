@@ -37,3 +37,9 @@ def test_entry_and_names(spark):
     assert entry.entry(spark).count() == 5
     queries, twins = entry.queries(), entry.oracle_sql()
     assert set(twins) <= set(queries) and set(QUERIES) <= set(queries)
+
+
+@pytest.mark.parametrize("name, source", [("gen_random_walk", "customer"), ("gen_shapes_cbf", "orders"), ("gen_shapes_control", "orders"), ("gen_whole_walk", "customer")])
+def test_generators_draw_for_the_rows_of_a_table(spark, sf, name, source):
+    assert [f.rsplit("/", 1)[1] for f in QUERIES[name](spark, sf).inputFiles()] == [f"{source}.parquet"]
+    test_twin(spark, sf, name)
