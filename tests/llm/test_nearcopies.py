@@ -6,7 +6,7 @@ import time
 import numpy as np
 import pytest
 
-from warpspan.llm import nearcopies
+from warpspan.llm import common, nearcopies, simhash
 
 pipeline = pytest.importorskip("corpus_pipeline")
 
@@ -105,3 +105,48 @@ def test_written_tables_leave_no_shuffle_files(spark):
     frame.write.format("noop").mode("overwrite").save()
     assert _shuffle_files(spark) - before  # what is not written by cut keeps them
     assert made.count() == 997
+
+
+def _links():
+    """A long chain, stars around the largest and the smallest node, random links and repeats, over the whole range of nodes."""
+    rng = random.Random(3)
+    nodes = list(dict.fromkeys(rng.getrandbits(64) - (1 << 63) for _ in range(900)))
+    chain = list(zip(nodes[:200], nodes[1:200], strict=False))
+    high, low = sorted(nodes[200:300]), sorted(nodes[300:400])
+    stars = [(high[-1], x) for x in high[:-1]] + [(low[0], x) for x in low[1:]]
+    some = [tuple(rng.sample(nodes[400:], 2)) for _ in range(260)]
+    return [*chain, *stars, *some, *some[:20], (nodes[0], nodes[0])]
+
+
+def test_components_of_few_links_take_few_stages(spark):
+    """Each round of contraction took eight stages for a handful of rows."""
+    links = _links()
+    root = {}
+    for a, b in links:
+        x, y = root.setdefault(a, a), root.setdefault(b, b)
+        root = {k: min(x, y) if r in (x, y) else r for k, r in root.items()}
+    wanted = {k: r for k, r in root.items() if k != r}
+    frame = spark.createDataFrame(links, "a bigint, b bigint")
+    stage = lambda: spark.sparkContext._jsc.sc().dagScheduler().nextStageId()
+    before = stage()
+    found = simhash.components(frame)
+    assert stage() - before <= 6
+    assert {r.node: r.root for r in found.collect()} == wanted
+    assert {r.node: r.root for r in simhash.components(frame, most_collected=100).collect()} == wanted
+    assert simhash.components(frame.where("false")).count() == 0
+
+
+def test_groups_are_the_same_by_contraction(make_docs, edited, monkeypatch):
+    whole = simhash.components
+    monkeypatch.setattr(simhash, "components", lambda links: whole(links, most_collected=0))
+    found = {r.doc_id: r.component_id for r in nearcopies.classify(make_docs(edited), few=3).collect()}
+    assert found == _groups(edited)
+
+
+def test_near_dedup_deletes_what_it_used(make_docs, edited):
+    """Nodes with their prefixes, candidates and sets stayed on disk through the later stages."""
+    mark = common.written_so_far()
+    kept = nearcopies.keep_one(make_docs(edited))
+    wide = [p for p in common._written[mark:] if {"keys", "hashes", "p0"} & set(kept.sparkSession.read.parquet(p).columns)]
+    assert not wide
+    assert {r.doc_id for r in kept.collect()} == set(_groups(edited).values())

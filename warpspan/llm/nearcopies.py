@@ -151,6 +151,9 @@ class Verifier:
         first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")).alias("first")
         self.known = cut(nodes.groupBy("fp").agg(F.first("n").alias("n"), *(F.first(m).alias(m) for m in _MAPS), first))
 
+    def done(self) -> None:
+        discard(self.known)
+
     def _sets(self, wanted: DataFrame) -> DataFrame:
         """``fp, hashes``: the whole sets of the wanted nodes, from one document of each."""
         chosen = self.known.join(wanted, "fp", "left_semi").select(F.col("first.doc_id").alias("_set_id"), F.col("first.mark").alias("_set_mark"))
@@ -175,10 +178,10 @@ class Verifier:
         """The pairs ``a, b`` whose sets are alike; ``tested`` says that size and parity maps left them."""
         side = lambda name: self.mapped().toDF(name, f"n_{name}", *(f"{m}_{name}" for m in _MAPS))
         left = cut(pairs if tested else pairs.join(side("a"), "a").join(side("b"), "b").where(_may_be_alike()).select("a", "b"))
-        sets = self._sets(cut(left.select(F.explode(F.array("a", "b")).alias("fp")).distinct()))
-        if left.count() <= simhash.MOST_SENT:
-            # The pairs go to the sets, so that a set moves once, to its partner.
-            left = F.broadcast(left)
+        wanted = cut(left.select(F.explode(F.array("a", "b")).alias("fp")).distinct())
+        sets = self._sets(wanted)
+        # Few pairs go to the sets, so that a set moves once, to its partner.
+        sent = F.broadcast(left) if left.count() <= simhash.MOST_SENT else left
 
         def verify(source):
             for batch in source:
@@ -192,8 +195,11 @@ class Verifier:
                 yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
         first, second = sets.toDF("a", "_a"), sets.toDF("b", "_b")
-        met = first.join(left, "a").join(second, "b").select("a", "b", "_a", "_b")
-        return cut(met.mapInArrow(verify, "a bigint, b bigint").distinct())
+        met = first.join(sent, "a").join(second, "b").select("a", "b", "_a", "_b")
+        found = cut(met.mapInArrow(verify, "a bigint, b bigint").distinct())
+        for table in (left, wanted, sets):
+            discard(table)
+        return found
 
 
 def _near_size(a: Column, b: Column) -> Column:
@@ -215,8 +221,11 @@ def _every_pair(members: DataFrame) -> DataFrame:
 
 
 def _rooted(members: DataFrame, links: DataFrame) -> DataFrame:
-    found = simhash.components(links).toDF("fp", "root")
-    return members.drop("root").join(found, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    """Members with their components, written."""
+    found = simhash.components(links)
+    out = cut(members.drop("root").join(found.toDF("fp", "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp")))
+    discard(found)
+    return out
 
 
 def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
@@ -232,35 +241,51 @@ def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
 def near_links(documents: DataFrame, nodes: DataFrame, id_column: str = "doc_id", text: str = "text", few: int = FEW) -> DataFrame:
     """Links ``a, b`` between alike nodes that have the components of all such pairs."""
     check = Verifier(documents, nodes, id_column, text)
+    try:
+        return _all_links(check, nodes, few)
+    finally:
+        check.done()
+
+
+def _all_links(check: Verifier, nodes: DataFrame, few: int) -> DataFrame:
     links = check.alike(fingerprint_pairs(nodes))
     postings = nodes.select("fp", F.explode("keys").alias("key"))
     shared = postings.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("b")).where("a <> b").select("key")
-    met = cut(postings.join(cut(shared), "key", "left_semi").distinct())
+    shared = cut(shared)
+    met = cut(postings.join(shared, "key", "left_semi").distinct())
+    discard(shared)
     # Of keys with the same members one is enough.
     marks = [F.sum(F.xxhash64("fp", F.lit(k)).cast("decimal(38,0)")).alias(f"mark{k}") for k in (0, 1)]
     lists = met.groupBy("key").agg(F.count("*").alias("size"), *marks)
     single = cut(lists.groupBy("size", "mark0", "mark1").agg(F.min("key").alias("key")).select("key", "size"))
-    members = cut(_rooted(met.join(single, "key"), links).join(check.mapped(), "fp"))
+    members = _rooted(met.join(single, "key").join(check.mapped(), "fp"), links)
     discard(met)
+    discard(single)
     links = links.unionByName(check.alike(_every_pair(members.where(F.col("size") <= few)), tested=True))
-    crowded = members.where(F.col("size") > few)
+    crowded = cut(members.where(F.col("size") > few))
+    discard(members)
     if crowded.isEmpty():
+        discard(crowded)
         return links
     for turn in range(ROUNDS + 1):
-        last, crowded = crowded, cut(_rooted(crowded, links))
+        last, crowded = crowded, _rooted(crowded, links)
         discard(last)
         parts = crowded.groupBy("key", "root").agg(F.count("*").cast("double").alias("c"))
         sizes = cut(parts.groupBy("key").agg(F.sum("c").alias("m"), ((F.sum("c") ** 2 - F.sum(F.col("c") ** 2)) / 2).alias("open")).where("open > 0"))
         state = sizes.agg(F.sum("m").alias("rows"), F.sum("open").alias("open")).first()
         if not state.open:
-            return links
+            break
         open_keys = crowded.join(sizes.select("key"), "key", "left_semi")
         if turn == ROUNDS or state.open <= few * state.rows:
-            return links.unionByName(check.alike(_every_pair(open_keys), tested=True))
+            links = links.unionByName(check.alike(_every_pair(open_keys), tested=True))
+            break
         heads = open_keys.groupBy("key").agg(F.min_by(F.struct("fp", "root"), F.xxhash64("fp", F.lit(turn))).alias("head"))
         rest = open_keys.join(heads, "key").where(F.col("head.root") != F.col("root"))
         pairs = rest.select(F.least("fp", "head.fp").alias("a"), F.greatest("fp", "head.fp").alias("b")).distinct()
         links = links.unionByName(check.alike(pairs))
+        discard(sizes)
+    discard(sizes)
+    discard(crowded)
     return links
 
 
@@ -269,7 +294,9 @@ def classify(documents: DataFrame, id_column: str = "doc_id", text: str = "text"
     with freeing(documents.sparkSession):
         nodes = cut(signed(documents, common_shingles(documents, text), id_column, text))
         links = near_links(documents, nodes, id_column, text, few)
-    return simhash.grouped(nodes.select("doc_id", "mark", "fp"), links)
+        printed = cut(nodes.select("doc_id", "mark", "fp"))
+        discard(nodes)
+    return simhash.grouped(printed, links)
 
 
 def keep_one(documents: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:

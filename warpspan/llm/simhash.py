@@ -19,8 +19,10 @@ At most 65 fingerprints can meet under one such hub, and each links to the
 smallest. Components come out the same, and no group is ever larger than a
 constant.
 
-Components are found by alternating star contractions over the links, with a
-reliable checkpoint each round; then documents fetch their component by
+Components of few links (``MOST_COLLECTED``) are found on the driver, as a
+shuffled round costs a task for every partition however few the rows are. More
+links go through alternating star contractions, with a reliable checkpoint each
+round. Both give the same roots. Then documents fetch their component by
 fingerprint. A hot fingerprint only ever sits on the streamed side of that
 join, where adaptive execution can split it.
 
@@ -191,15 +193,47 @@ def near_pairs(prints: DataFrame, segments: int | None = None, few: int = FEW) -
     return paired.unionByName(hubs).distinct()
 
 
-def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """``node, root`` for every node of ``links(a, b)``; root is the smallest node of its component.
+#: Links whose components the driver finds (16 bytes each); more are contracted by the executors.
+MOST_COLLECTED = 500_000
+
+
+def smallest_reachable(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The nodes of links and the smallest node of each one's component."""
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    u, v = at[: len(u)], at[len(u) :]
+    root = np.arange(len(nodes))
+    while len(u):
+        one, two = root[u], root[v]
+        np.minimum.at(root, np.maximum(one, two), np.minimum(one, two))
+        while not np.array_equal(root, up := root[root]):
+            root = up
+        apart = root[u] != root[v]
+        u, v = u[apart], v[apart]
+    return nodes, nodes[root]
+
+
+def components(links: DataFrame, most_rounds: int = 60, most_collected: int = MOST_COLLECTED) -> DataFrame:
+    """``node, root`` for every node of ``links(a, b)`` but the roots; root is the smallest node of its component."""
+    edges = cut(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v"))
+    if edges.count() > most_collected:
+        return _contracted(edges, most_rounds)
+    table = edges.toArrow()
+    discard(edges)
+    node, root = smallest_reachable(*(np.array(table.column(c), dtype=np.int64) for c in ("u", "v")))
+    moved = node != root
+    return F.broadcast(links.sparkSession.createDataFrame(pa.table({"node": node[moved], "root": root[moved]})))
+
+
+def _contracted(links: DataFrame, most_rounds: int) -> DataFrame:
+    """``components`` of links ``u > v`` that ``cut`` wrote.
 
     Each round is a large-star step (a node's larger neighbours move to its
     smallest one) and a small-star step (its smaller neighbours move to the
     smallest); rounds grow with the logarithm of the longest chain. Stars keep
     one row per link, so no neighbourhood is ever collected.
     """
-    edges = cut(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
+    edges = cut(links.distinct())
+    discard(links)
     before = None
     for _ in range(most_rounds):
         both = edges.select("u", "v").union(edges.select("v", "u"))
@@ -212,7 +246,9 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         with freeing(edges.sparkSession):
             state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            out = edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            out._cut_at = edges._cut_at
+            return out
         before = state
     raise RuntimeError("components did not settle")
 
@@ -241,6 +277,8 @@ def grouped(printed: DataFrame, links: DataFrame) -> DataFrame:
     of_print = cut(
         firsts.join(moved, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("component_id", "first_id").alias("component_id"))
     )
+    discard(firsts)
+    discard(found)
     return printed.join(of_print, "fp").select(*printed.columns, "root", "component_id")
 
 
